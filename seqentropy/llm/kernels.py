@@ -84,7 +84,7 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     if have is None or len(have[0]) < n:
         inverse = pow(_MULT, -1, 1 << 64)
         size = max(n, PIECE + (PIECE >> 2))
-        have = tuple(np.cumprod(np.concatenate([[1], np.full(size - 1, m, np.uint64)]).astype(np.uint64)) for m in (_MULT, inverse))
+        have = tuple(np.cumprod(np.concatenate([np.ones(1, np.uint64), np.full(size - 1, m, np.uint64)]), dtype=np.uint64) for m in (_MULT, inverse))
         if n <= 4 * PIECE:
             _cache["powers"] = have
     return have
