@@ -6,11 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontamination
+from . import decontamination, quality
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_winnowing_decontamination": decontamination.op1_winnowing_decontamination}
+    return {
+        "op1_winnowing_decontamination": decontamination.op1_winnowing_decontamination,
+        "op6_hashed_ratio_quality": quality.op6_hashed_ratio_quality,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
