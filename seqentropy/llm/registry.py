@@ -6,13 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontamination, quality
+from . import decontamination, langid, quality
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_winnowing_decontamination": decontamination.op1_winnowing_decontamination,
         "op6_hashed_ratio_quality": quality.op6_hashed_ratio_quality,
+        "op9_ftrl_language_id": langid.op9_ftrl_language_id,
     }
 
 
