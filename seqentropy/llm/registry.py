@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontamination, langid, quality
+from . import archive, decontamination, langid, quality
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -14,8 +14,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_winnowing_decontamination": decontamination.op1_winnowing_decontamination,
         "op6_hashed_ratio_quality": quality.op6_hashed_ratio_quality,
         "op9_ftrl_language_id": langid.op9_ftrl_language_id,
+        "op10_warc_round_trip": archive.op10_warc_round_trip,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_winnowing_decontamination": decontamination.OP1_SQL}
+    return {"op1_winnowing_decontamination": decontamination.OP1_SQL, "op10_warc_round_trip": archive.OP10_SQL}
