@@ -121,10 +121,15 @@ class Words:
 
 
 def span_hashes(body: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """64-bit hashes of byte spans: differences of one running polynomial, shifted back to power 0."""
-    power, back = _powers(len(body) + 1)
-    run = np.zeros(len(body) + 1, np.uint64)
-    np.cumsum(table("byte")[body] * power[:len(body)], out=run[1:])
+    """64-bit hashes of byte spans."""
+    return run_hashes(table("byte")[body], start, end)
+
+
+def run_hashes(values: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """64-bit hashes of runs of 64-bit values: differences of one running polynomial, shifted back to power 0."""
+    power, back = _powers(len(values) + 1)
+    run = np.zeros(len(values) + 1, np.uint64)
+    np.cumsum(values * power[:len(values)], out=run[1:])
     return mix((run[end] - run[start]) * back[start] + (end - start).astype(np.uint64))
 
 
