@@ -6,12 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import archive, decontamination, langid, quality, repeats
+from . import archive, decontamination, langid, licenses, quality, repeats
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_winnowing_decontamination": decontamination.op1_winnowing_decontamination,
+        "op2_signature_license_scan": licenses.op2_signature_license_scan,
         "op6_hashed_ratio_quality": quality.op6_hashed_ratio_quality,
         "op8_line_hash_dedup": repeats.op8_line_hash_dedup,
         "op9_ftrl_language_id": langid.op9_ftrl_language_id,
