@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import archive, decontamination, langid, licenses, quality, repeats, urls
+from . import archive, decontamination, langid, licenses, quality, repeats, secrets, urls
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -14,6 +14,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_winnowing_decontamination": decontamination.op1_winnowing_decontamination,
         "op2_signature_license_scan": licenses.op2_signature_license_scan,
         "op4_url_markov_filter": urls.op4_url_markov_filter,
+        "op5_crf_secret_scan": secrets.op5_crf_secret_scan,
         "op6_hashed_ratio_quality": quality.op6_hashed_ratio_quality,
         "op8_line_hash_dedup": repeats.op8_line_hash_dedup,
         "op9_ftrl_language_id": langid.op9_ftrl_language_id,
