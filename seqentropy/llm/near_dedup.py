@@ -12,7 +12,8 @@ with a chance of some 5 in a million.  Documents are posted under each (coordina
    over the whole signatures, the survivors are confirmed on the full sets, and confirmed links become components.
 4. A pair whose nodes both were linked elsewhere needs no check any more.  In lists that still hold several components
    the pairs between different ones are compared too, so no link between components is lost; long lists are cut into
-   blocks, compared in pairs of blocks, and return only pairs with enough matches.
+   blocks of a bounded number of rows and bytes, whose pairs are compared on the full sets and return only links that
+   join components.
 
 Nothing of all documents reaches the driver; intermediate tables are written to the shared folder.
 
@@ -38,7 +39,7 @@ from .common import cut, read, scratch_path
 from .graph import components
 
 SHINGLE, COORDINATES, MATCHES, PERCENT = 5, 64, 32, 75
-SHORT_LIST, BLOCK = 48, 512
+SHORT_LIST, BLOCK, BLOCK_BYTES = 48, 2048, 8 << 20
 _LAST = 2**63 - 1
 _SIGNED = "row long, doc_id long, n_shingles long, set_high long, set_low long, keys array<long>"
 
@@ -100,23 +101,50 @@ def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([u, v], ["u", "v"]).filter(pa.array(keep, pa.bool_()))
 
 
-def _blocks(frame):
-    """Of a pair of blocks of one list, the pairs of different components with enough matches."""
-    import pandas as pd
-
-    first, second = int(frame["i"].iloc[0]), int(frame["j"].iloc[0])
-    frame = frame.sort_values("node")
-    a, b = frame[frame["block"] == first], frame[frame["block"] == second]
-    left, right = (np.array(x["keys"].tolist(), np.int64).reshape(len(x), -1) for x in (a, b))
-    out = []
-    nodes_b, roots_b, sizes_b = (b[k].to_numpy() for k in ("node", "root", "n"))
-    for node, root, n, own in zip(a["node"], a["root"], a["n"], left, strict=True):
-        small, large = np.minimum(n, sizes_b), np.maximum(n, sizes_b)
-        fit = (roots_b != root) & (100 * small >= PERCENT * large) & ((nodes_b > node) if first == second else True)
-        if fit.any():
-            fit[fit] = (right[fit] == own).sum(1) >= MATCHES
-            out += [(node, x) for x in nodes_b[fit].tolist()]
-    return pd.DataFrame(out, columns=["u", "v"]).astype("int64")
+def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        sets = [own.tobytes() for own in shingle_sets(_column(batch, "text"))]
+        yield pa.RecordBatch.from_arrays([_column(batch, "node"), pa.array(sets, pa.binary())], ["node", "shingles"])
+
+
+def _blocks(table: pa.Table) -> pa.Table:
+    """Of a pair of blocks of one list: links between different components, confirmed on the full sets, one for each pair of components that they join."""
+    first, second = table["i"][0].as_py(), table["j"][0].as_py()
+    order = np.argsort(table["node"].to_numpy(), kind="stable")
+    node, root, block = (table[k].to_numpy()[order] for k in ("node", "root", "block"))
+    own = table["shingles"].to_pylist()
+    sets = [np.frombuffer(own[k], np.uint64) for k in order]
+    size = np.array([len(x) for x in sets])
+    names, root, count = np.unique(root, return_inverse=True, return_counts=True)
+    out: list[tuple[int, int]] = []
+    if len(names) > 1:
+        up = list(range(len(names)))
+
+        def top(k: int) -> int:
+            while up[k] != k:
+                up[k] = up[up[k]]
+                k = up[k]
+            return k
+
+        flat = np.concatenate(sets)
+        of = np.repeat(np.arange(len(sets)), size)
+        by = np.argsort(flat, kind="stable")
+        flat, of = flat[by], of[by]
+        # of two nodes of different components one is outside the largest: those are held against all
+        for a in np.flatnonzero(root != count.argmax()).tolist():
+            lo, hi = np.searchsorted(flat, sets[a]), np.searchsorted(flat, sets[a], "right")
+            width = hi - lo
+            at = np.repeat(lo - (np.cumsum(width) - width), width) + np.arange(int(width.sum()))
+            both = np.bincount(of[at], minlength=len(sets))
+            near = (100 * both >= PERCENT * (size + size[a] - both)) & (both > 0) & (root != root[a])
+            if first != second:
+                near &= block != block[a]
+            for b in np.flatnonzero(near).tolist():
+                x, y = top(int(root[a])), top(int(root[b]))
+                if x != y:
+                    up[x] = y
+                    out.append((int(node[a]), int(node[b])))
+    return pa.table({"u": pa.array([x for x, _ in out], pa.int64()), "v": pa.array([y for _, y in out], pa.int64())})
 
 
 def _matched(pairs: DataFrame, signed: DataFrame) -> DataFrame:
@@ -163,16 +191,15 @@ def near_classes(docs: DataFrame) -> DataFrame:
     short = rest.where(F.col("n") <= SHORT_LIST)
     other = short.select("key", F.col("node").alias("v"), F.col("root").alias("root_v"))
     pairs = short.select("key", F.col("node").alias("u"), "root").join(other, "key").where("u < v and root <> root_v").select("u", "v").distinct()
-    more = _matched(pairs, signed)
-    long = rest.where(F.col("n") > SHORT_LIST)
-    count = F.ceil(F.col("n") / BLOCK).cast("int")
-    block = F.pmod(F.xxhash64("node"), count).cast("int")
-    dealt = long.select("key", "node", "root", block.alias("block"), F.explode(F.sequence(F.lit(0), count - 1)).alias("other")).select("key", "node", "root", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
-    dealt = dealt.join(signed.select(F.col("row").alias("node"), F.col("n_shingles").alias("n"), "keys"), "node")
-    far = dealt.groupBy("key", "i", "j").applyInPandas(_blocks, "u long, v long").distinct()
-    found = cut(more.unionAll(far).distinct())
-    if not found.isEmpty():
-        again = cut(_confirmed(found, texts))
+    more = _confirmed(_matched(pairs, signed), texts)
+    long = rest.where(F.col("n") > SHORT_LIST).join(signed.select(F.col("row").alias("node"), F.col("n_shingles").alias("size")), "node")
+    blocks = long.groupBy("key").agg(F.greatest(F.ceil(F.count("*") / BLOCK), F.ceil(F.sum("size") * 8 / BLOCK_BYTES)).cast("int").alias("blocks"))
+    block = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
+    dealt = long.join(blocks, "key").select("key", "node", "root", block.alias("block"), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")).select("key", "node", "root", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
+    sets = long.select("node").distinct().join(texts.withColumnRenamed("row", "node"), "node").mapInArrow(_sets, "node long, shingles binary")
+    far = dealt.join(sets, "node").groupBy("key", "i", "j").applyInArrow(_blocks, "u long, v long")
+    if not rest.isEmpty():
+        again = cut(more.unionAll(far).distinct())
         if not again.isEmpty():
             roots = components(links.unionAll(again))
 
