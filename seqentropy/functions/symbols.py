@@ -36,7 +36,7 @@ def sequences(df: DataFrame, key: str, text: Column) -> DataFrame:
 
 def explode_symbols(seqs: DataFrame) -> DataFrame:
     """seq_id, pos (from 1), sym (a one-character string)."""
-    return seqs.select("seq_id", F.posexplode(F.split("t", "(?!^)")).alias("pos", "sym")).select("seq_id", (F.col("pos") + 1).cast("long").alias("pos"), "sym")
+    return seqs.select("seq_id", F.posexplode(F.split("t", "")).alias("pos", "sym")).select("seq_id", (F.col("pos") + 1).cast("long").alias("pos"), "sym")
 
 
 def gather(symbols: DataFrame) -> DataFrame:
@@ -112,7 +112,7 @@ def corpus_chunks(seqs: DataFrame, left: int, size: int = CHUNK) -> DataFrame:
 
 def events(chunked: DataFrame, order: int) -> DataFrame:
     """A row for every symbol: seq_id, pos, sym, past (the up to ``order`` symbols before it)."""
-    both = chunked.select("seq_id", "start", F.length("left").alias("l"), F.concat("left", "body").alias("s"), F.posexplode(F.split("body", "(?!^)")).alias("i", "sym"))
+    both = chunked.select("seq_id", "start", F.length("left").alias("l"), F.concat("left", "body").alias("s"), F.posexplode(F.split("body", "")).alias("i", "sym"))
     have = F.least(F.col("l") + F.col("i"), F.lit(order))
     return both.select("seq_id", (F.col("start") + F.col("i")).cast("long").alias("pos"), "sym", (F.substring(F.col("s"), F.col("l") + F.col("i") - have + 1, have) if order else F.lit("")).alias("past"))
 

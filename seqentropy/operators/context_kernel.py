@@ -104,7 +104,7 @@ def levels(sym: np.ndarray, bound: np.ndarray, t: Tree):
             s = step[order]
             run = np.concatenate([[0.0], np.cumsum(s)])[:-1]
             start = np.arange(len(s)) - rank
-            gain[order] = run - run[start]
+            gain[order] = np.round(run - run[start], 9)  # sums that cancel out are ties
         yield j, alive, n, na, p, gain, len(np.unique(key))
         p_parent[alive] = p
         run_parent[:] = 0

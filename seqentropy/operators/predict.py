@@ -149,13 +149,14 @@ def window_predictions(events: DataFrame, t: Tree, block: int | None = None, cro
     df = df.withColumns({"born": F.lit(-1).cast("long"), "alive": F.lit(True), "run": F.lit(0).cast("long"), "p_up": uniform, "out": uniform, "flag": F.lit(False), "cand": uniform, "done": F.lit(False), "going": F.lit(True), "total": F.lit(0.0), "best": F.lit(0.0), "novel": F.lit(1.0)})
     for j in range(t.order + 1):
         b = block if j <= crowded else None
-        df = df.withColumn("key", F.when(F.length("past") >= j, F.substring(F.col("past"), F.length("past") - j + 1, F.lit(j)) if j else F.lit("")))
+        deep = F.length("past") >= j  # the others share the empty key, and are not alive
+        df = df.withColumn("key", F.when(deep, F.substring(F.col("past"), F.length("past") - j + 1, F.lit(j))).otherwise("") if j else F.lit(""))
         if j and t.tree == "incremental":
             may = F.col("alive") & (F.col("pos") > F.col("born")) & (F.col("run") >= 2)
             df = df.withColumn("birth", F.min(F.when(may, F.col("pos"))).over(Window.partitionBy("seq_id", "key")))
-            df = df.withColumn("alive", F.coalesce(F.col("alive") & F.col("key").isNotNull() & (F.col("pos") >= F.col("birth")), F.lit(False))).withColumn("born", F.coalesce("birth", "born")).drop("birth")
+            df = df.withColumn("alive", F.coalesce(F.col("alive") & deep & (F.col("pos") >= F.col("birth")), F.lit(False))).withColumn("born", F.coalesce("birth", "born")).drop("birth")
         else:
-            df = df.withColumn("alive", F.col("key").isNotNull())
+            df = df.withColumn("alive", deep)
         live = F.when(F.col("alive"), one).otherwise(zero)
         df = _before(df, "n", live, ["seq_id", "key"], b)
         df = _before(df, "na", live, ["seq_id", "key", "sym"], b)
@@ -163,7 +164,7 @@ def window_predictions(events: DataFrame, t: Tree, block: int | None = None, cro
         if j:
             step = F.ln("p_up") - F.ln("p")
             counts = F.col("alive") & (F.col("n") > 0) if t.gain_from == "second" else F.col("alive")
-            df = _before(df, "gain", F.when(counts, step).otherwise(0.0), ["seq_id", "key"], b)
+            df = _before(df, "gain", F.when(counts, step).otherwise(0.0), ["seq_id", "key"], b).withColumn("gain", F.round("gain", 9))
         else:
             df = df.withColumn("gain", F.lit(-1.0))
         df = _fold(df, j, t)

@@ -64,7 +64,7 @@ def levels(order: int, d: int, beta: float, rule: str, delta: float = 0.0, tree:
         over = "ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING"
         out.append(f"c{j} AS (SELECT *, coalesce(sum({live}) OVER (PARTITION BY seq_id, key {over}), 0) AS n, coalesce(sum({live}) OVER (PARTITION BY seq_id, key, sym {over}), 0) AS na FROM b{j})")
         out.append(f"d{j} AS (SELECT *, (na + {beta}) / (n + {beta * d}) AS p FROM c{j})")
-        gain = f"coalesce(sum(CASE WHEN alive AND n > 0 THEN ln(p_up) - ln(p) ELSE 0.0 END) OVER (PARTITION BY seq_id, key {over}), 0.0)" if j else "-1.0"
+        gain = f"round(coalesce(sum(CASE WHEN alive AND n > 0 THEN ln(p_up) - ln(p) ELSE 0.0 END) OVER (PARTITION BY seq_id, key {over}), 0.0), 9)" if j else "-1.0"
         out.append(f"e{j} AS (SELECT *, {gain} AS gain FROM d{j})")
         ok = "(alive AND n > 0)" if j else "true"
         good = f"({ok} AND gain < {-delta})"

@@ -467,7 +467,7 @@ def _taps(steps: int) -> str:
     return " + ".join(f"CAST(substr(t, CAST(i AS INTEGER) + ({o}), 1) AS INTEGER)" for o in D.odd_offsets(steps))
 
 
-@query("g4_g5_automaton", f"WITH {Q.with_seqs(_BITS)} " + " UNION ALL ".join(f"SELECT {s} AS steps, seq_id, md5(array_to_string(list_transform(range({s + 1}, len(t) - {s} + 1), i -> CAST(({_taps(s)}) % 2 AS VARCHAR)), '')) AS digest FROM seqs WHERE len(t) > {2 * s}" for s in (2, 4, 6)))
+@query("g4_g5_automaton", f"WITH {Q.with_seqs(_BITS)} " + " UNION ALL ".join(f"SELECT {s} AS steps, seq_id, md5(array_to_string(list_transform(range({s + 1}, len(t) - {s} + 1), lambda i: CAST(({_taps(s)}) % 2 AS VARCHAR)), '')) AS digest FROM seqs WHERE len(t) > {2 * s}" for s in (2, 4, 6)))
 def g4(spark, d):
     bits = supplier_bits(spark, d)
     out = None
@@ -671,7 +671,7 @@ def w20(spark, d):
     return _rate(S.gather(s), Tree(6, 2))
 
 
-@query("w20_embedding_signs", f"WITH {Q.with_seqs('SELECT vec_id AS seq_id, array_to_string(list_transform(embedding, x -> CASE WHEN x >= 0 THEN 1 ELSE 0 END), CAST(chr(0) AS VARCHAR)) AS t FROM embeddings').replace('CAST(chr(0) AS VARCHAR)', chr(39) * 2)}, {Q.events(2)}, {Q.levels(2, 2, 0.5, 'deepest')} {Q.RATE}")
+@query("w20_embedding_signs", f"WITH {Q.with_seqs('SELECT vec_id AS seq_id, array_to_string(list_transform(embedding, lambda x: CASE WHEN x >= 0 THEN 1 ELSE 0 END), CAST(chr(0) AS VARCHAR)) AS t FROM embeddings').replace('CAST(chr(0) AS VARCHAR)', chr(39) * 2)}, {Q.events(2)}, {Q.levels(2, 2, 0.5, 'deepest')} {Q.RATE}")
 def w20e(spark, d):
     e = table(spark, d, "embeddings")
     seqs = e.select(F.col("vec_id").alias("seq_id"), F.array_join(F.transform("embedding", lambda x: F.when(x >= 0, "1").otherwise("0")), "").alias("t"))

@@ -108,10 +108,10 @@ def json_and_arrays(spark, d):
     return e.groupBy((F.col("v") % 10).alias("k")).agg(F.count("*").alias("n"), F.max(F.size(F.when(F.col("v") > 0, F.sequence(F.lit(0), F.col("v") - 1)).otherwise(F.array()))).cast("long").alias("longest"))
 
 
-@query("r_strings_and_dates", "SELECT date_trunc('month', o_orderdate)::DATE AS month, count(*) AS n, min(lpad(CAST(o_orderkey AS VARCHAR), 10, '0')) AS first_key, max(levenshtein(o_orderstatus, 'OPEN')) AS far, min(date_diff('day', DATE '1992-01-01', o_orderdate::DATE)) AS days FROM orders GROUP BY 1")
+@query("r_strings_and_dates", "SELECT strftime(date_trunc('month', o_orderdate), '%Y-%m') AS month, count(*) AS n, min(lpad(CAST(o_orderkey AS VARCHAR), 10, '0')) AS first_key, max(levenshtein(o_orderstatus, 'OPEN')) AS far, min(date_diff('day', DATE '1992-01-01', o_orderdate::DATE)) AS days FROM orders GROUP BY 1")
 def strings_and_dates(spark, d):
     o = table(spark, d, "orders")
-    return o.groupBy(F.to_date(F.date_trunc("month", "o_orderdate")).alias("month")).agg(F.count("*").alias("n"), F.min(F.lpad(F.col("o_orderkey").cast("string"), 10, "0")).alias("first_key"), F.max(F.levenshtein("o_orderstatus", F.lit("OPEN"))).cast("long").alias("far"), F.min(F.datediff(F.to_date("o_orderdate"), F.lit("1992-01-01").cast("date"))).cast("long").alias("days"))
+    return o.groupBy(F.date_format("o_orderdate", "yyyy-MM").alias("month")).agg(F.count("*").alias("n"), F.min(F.lpad(F.col("o_orderkey").cast("string"), 10, "0")).alias("first_key"), F.max(F.levenshtein("o_orderstatus", F.lit("OPEN"))).cast("long").alias("far"), F.min(F.datediff(F.to_date("o_orderdate"), F.lit("1992-01-01").cast("date"))).cast("long").alias("days"))
 
 
 @query("r_scalar_subquery", "SELECT count(*) AS above FROM documents WHERE n_chars > (SELECT avg(n_chars) FROM documents)")

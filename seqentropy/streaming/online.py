@@ -9,6 +9,7 @@ from collections.abc import Iterator
 from pyspark.cloudpickle import register_pickle_by_value
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, StructField, StructType
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
@@ -96,7 +97,7 @@ def run_available(stream: DataFrame, path: str, mode: str = "append") -> DataFra
         batch.withColumn("batch", F.lit(number)).write.mode("append").parquet(path)
 
     writer.outputMode(mode).foreachBatch(keep).start().awaitTermination()
-    return spark.read.schema(schema.add("batch", "int")).parquet(path)
+    return spark.read.schema(StructType([*schema.fields, StructField("batch", IntegerType())])).parquet(path)
 
 
 register_pickle_by_value(sys.modules[__name__])
