@@ -12,8 +12,8 @@ with a chance of some 5 in a million.  Documents are posted under each (coordina
    over the whole signatures, the survivors are confirmed on the full sets, and confirmed links become components.
 4. A pair whose nodes both were linked elsewhere needs no check any more.  In lists that still hold several components
    the pairs between different ones are compared too, so no link between components is lost; long lists are cut into
-   blocks of a bounded number of rows and bytes, whose pairs are compared on the full sets and return only links that
-   join components.
+   blocks of a bounded number of rows and bytes.  Pairs of blocks first tell which rows have a partner with enough
+   matches; those are compared on the full sets, and return only links that join components.
 
 Nothing of all documents reaches the driver; intermediate tables are written to the shared folder.
 
@@ -101,6 +101,47 @@ def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([u, v], ["u", "v"]).filter(pa.array(keep, pa.bool_()))
 
 
+def _dealt(lists: DataFrame, row_bytes: F.Column) -> DataFrame:
+    """The rows of lists, dealt to the pairs (i, j) of blocks of their list; a block has a bounded number of rows and bytes."""
+    blocks = lists.groupBy("key").agg(F.greatest(F.ceil(F.count("*") / BLOCK), F.ceil(F.sum(row_bytes) / BLOCK_BYTES)).cast("int").alias("blocks"))
+    block = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
+    each = lists.join(blocks, "key").withColumn("block", block).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    return each.withColumn("i", F.least("block", "other")).withColumn("j", F.greatest("block", "other")).drop("blocks", "other")
+
+
+def _short_keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        keys = _column(batch, "keys")
+        rows = keys.flatten().to_numpy().reshape(len(keys), -1).astype(np.uint64).astype(np.uint32)
+        yield pa.RecordBatch.from_arrays([_column(batch, "node"), pa.array([r.tobytes() for r in rows], pa.binary())], ["node", "short"])
+
+
+def _candidates(table: pa.Table) -> pa.Table:
+    """Of a pair of blocks of one list: rows with a partner of another component whose size and signature allow a link.
+
+    A pair is looked at in one of its common lists only: that of the lowest coordinate which is in both prefixes.
+    """
+    root, block, size, mask = (table[k].to_numpy() for k in ("root", "block", "size", "mask"))
+    coordinate = table["coordinate"][0].as_py()
+    short = np.frombuffer(b"".join(table["short"].to_pylist()), np.uint32).reshape(len(root), -1)
+    bit = (mask.astype(np.uint64)[:, None] >> np.arange(COORDINATES, dtype=np.uint64)) & np.uint64(1) > 0
+    names, number, count = np.unique(root, return_inverse=True, return_counts=True)
+    hit = np.zeros(len(root), bool)
+    if len(names) > 1:
+        for a in np.flatnonzero(number != count.argmax()).tolist():
+            fit = (number != number[a]) & (100 * np.minimum(size, size[a]) >= PERCENT * np.maximum(size, size[a]))
+            if table["i"][0].as_py() != table["j"][0].as_py():
+                fit &= block != block[a]
+            at = np.flatnonzero(fit)
+            same = short[at] == short[a]
+            at, same = at[same.sum(1) >= MATCHES], same[same.sum(1) >= MATCHES]
+            at = at[(same & bit[at] & bit[a]).argmax(1) == coordinate] if len(at) else at
+            if len(at):
+                hit[a] = True
+                hit[at] = True
+    return table.select(["key", "node", "root", "size"]).filter(pa.array(hit))
+
+
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         sets = [own.tobytes() for own in shingle_sets(_column(batch, "text"))]
@@ -173,10 +214,12 @@ def near_classes(docs: DataFrame) -> DataFrame:
     classes = full.groupBy("set_high", "set_low", "n_shingles").agg(F.min_by("row", rank).alias("node"), F.min(rank).alias("first"))
 
     nodes = full.select("row", "keys").join(classes.select(F.col("node").alias("row")), "row")
-    postings = nodes.select(F.col("row").alias("node"), F.explode("keys").alias("key"))
+    postings = nodes.select(F.col("row").alias("node"), F.posexplode("keys").alias("coordinate", "key"))
     shared = postings.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
-    held = postings.join(shared, "key").groupBy("node").agg(F.array_sort(F.collect_list(F.struct("n", "key"))).alias("held")).where(F.size("held") >= MATCHES)
-    prefix = cut(held.select("node", F.explode(F.slice("held", F.lit(1), F.size("held") - MATCHES + 1)).alias("p")).select("node", F.col("p.key").alias("key")))
+    held = postings.join(shared, "key").groupBy("node").agg(F.array_sort(F.collect_list(F.struct("n", "key", "coordinate"))).alias("held")).where(F.size("held") >= MATCHES)
+    own = held.select("node", F.slice("held", F.lit(1), F.size("held") - MATCHES + 1).alias("own"))
+    mask = F.aggregate("own", F.lit(0).cast("long"), lambda m, p: m.bitwiseOR(F.call_function("shiftleft", F.lit(1).cast("long"), p["coordinate"])))
+    prefix = cut(own.select("node", mask.alias("mask"), F.explode("own").alias("p")).select("node", "mask", F.col("p.key").alias("key"), F.col("p.coordinate").alias("coordinate")))
 
     heads = prefix.groupBy("key").agg(F.min("node").alias("head"), F.count("*").alias("n")).where("n > 1")
     stars = prefix.join(heads, "key").where("node <> head").select(F.col("head").alias("u"), F.col("node").alias("v")).distinct()
@@ -184,20 +227,20 @@ def near_classes(docs: DataFrame) -> DataFrame:
     links = cut(_confirmed(_matched(stars, signed), texts))
     roots = components(links)
 
-    rooted = prefix.join(roots, "node", "left").select("key", "node", F.coalesce("root", "node").alias("root"))
+    rooted = prefix.join(roots, "node", "left").select("key", "coordinate", "mask", "node", F.coalesce("root", "node").alias("root"))
     open_ = rooted.groupBy("key").agg(F.count("*").alias("n"), F.min("root").alias("a"), F.max("root").alias("b"), F.min("node").alias("head")).where("n > 2 and a <> b").select("key", "n", "head")
     # pairs with the head are compared already
-    rest = cut(rooted.join(open_, "key").where("node <> head").select("key", "n", "node", "root"))
+    rest = cut(rooted.join(open_, "key").where("node <> head").select("key", "coordinate", "mask", "n", "node", "root"))
     short = rest.where(F.col("n") <= SHORT_LIST)
     other = short.select("key", F.col("node").alias("v"), F.col("root").alias("root_v"))
     pairs = short.select("key", F.col("node").alias("u"), "root").join(other, "key").where("u < v and root <> root_v").select("u", "v").distinct()
     more = _confirmed(_matched(pairs, signed), texts)
-    long = rest.where(F.col("n") > SHORT_LIST).join(signed.select(F.col("row").alias("node"), F.col("n_shingles").alias("size")), "node")
-    blocks = long.groupBy("key").agg(F.greatest(F.ceil(F.count("*") / BLOCK), F.ceil(F.sum("size") * 8 / BLOCK_BYTES)).cast("int").alias("blocks"))
-    block = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
-    dealt = long.join(blocks, "key").select("key", "node", "root", block.alias("block"), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")).select("key", "node", "root", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
-    sets = long.select("node").distinct().join(texts.withColumnRenamed("row", "node"), "node").mapInArrow(_sets, "node long, shingles binary")
-    far = dealt.join(sets, "node").groupBy("key", "i", "j").applyInArrow(_blocks, "u long, v long")
+    long = rest.where(F.col("n") > SHORT_LIST).join(signed.select(F.col("row").alias("node"), F.col("n_shingles").alias("size")), "node").drop("n")
+    packed = signed.join(long.select(F.col("node").alias("row")).distinct(), "row", "left_semi").select(F.col("row").alias("node"), "keys").mapInArrow(_short_keys, "node long, short binary")
+    seen = _dealt(long, F.lit(4 * COORDINATES)).join(packed, "node").groupBy("key", "i", "j").applyInArrow(_candidates, "key long, node long, root long, size long")
+    flagged = cut(seen.distinct())
+    sets = texts.withColumnRenamed("row", "node").join(flagged.select("node").distinct(), "node").mapInArrow(_sets, "node long, shingles binary")
+    far = _dealt(flagged, F.col("size") * 8).join(sets, "node").groupBy("key", "i", "j").applyInArrow(_blocks, "u long, v long")
     if not rest.isEmpty():
         again = cut(more.unionAll(far).distinct())
         if not again.isEmpty():
