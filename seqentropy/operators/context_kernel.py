@@ -9,7 +9,7 @@ older than that, has seen the same symbol twice.  Rules fold the levels into one
 from __future__ import annotations
 
 import sys
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 import numpy as np
 from pyspark.cloudpickle import register_pickle_by_value
@@ -40,7 +40,6 @@ class Tree:
     gain_from: str = "second"
     residual: str = "uniform"
     static: list[float] | None = None
-    extra: dict = field(default_factory=dict)
 
 
 def _ranks(group: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

@@ -117,6 +117,21 @@ def first_occurrences(seqs: DataFrame, p_max: int) -> DataFrame:
     return words.groupBy("seq_id", "p", F.substring(F.col("t"), F.col("i"), F.col("p")).alias("word")).agg(F.min("i").alias("first"), F.count("*").alias("cnt"))
 
 
+def match_lengths_levels(chunked: DataFrame, p_max: int) -> DataFrame:
+    """seq_id, pos, len for sequences of any length, by joins and aggregates; lengths beyond p_max are null.
+
+    chunked has p_max - 1 symbols to the left.  A position is resolved at the first level at which it is the first start
+    of its word.  The first starts are partial aggregates; the join back to the positions is split where words are hot.
+    """
+    text = chunked.select("seq_id", "start", F.length("left").alias("l"), F.length("body").alias("b"), F.concat("left", "body").alias("s"))
+    ends = text.select("seq_id", "s", "start", "l", F.explode(F.sequence(F.col("l") + 1, F.col("l") + F.col("b"))).alias("e"))
+    words = ends.select("seq_id", "s", "e", (F.col("start") + F.col("e") - F.col("l") - 1).alias("end"), F.explode(F.sequence(F.lit(1), F.least(F.lit(p_max), "e"))).alias("p"))
+    words = words.select("seq_id", "p", (F.col("end") - F.col("p") + 1).alias("pos"), F.substring(F.col("s"), F.col("e") - F.col("p") + 1, F.col("p")).alias("word"))
+    first = words.groupBy("seq_id", "p", "word").agg(F.min("pos").alias("first"))
+    known = words.join(first, ["seq_id", "p", "word"])
+    return known.groupBy("seq_id", "pos").agg(F.min(F.when(F.col("pos") == F.col("first"), F.col("p"))).alias("len"))
+
+
 def prefix_tree(seqs: DataFrame, n: int) -> DataFrame:
     """seq_id, node, depth, is_leaf, key_pos, visits of the prefix tree of the starts 1..n: leaves are shortest words that tell a start from all others."""
     ends = seqs.select("seq_id", "t", F.explode(F.sequence(F.lit(1), F.least(F.lit(n), F.length("t")))).alias("i"))

@@ -11,7 +11,6 @@ LN2 = math.log(2)
 #: Sequence sources as SQL: seq_id, t.
 DOCS27 = "SELECT * FROM (SELECT doc_id AS seq_id, trim(regexp_replace(lower(text), '[^a-z]+', ' ', 'g')) AS t FROM documents WHERE text IS NOT NULL) WHERE t <> ''"
 BENCH27 = "SELECT * FROM (SELECT item_id AS seq_id, trim(regexp_replace(lower(text), '[^a-z]+', ' ', 'g')) AS t FROM benchmark WHERE text IS NOT NULL) WHERE t <> ''"
-TURNS27 = "SELECT * FROM (SELECT conv_id * 1000 + turn AS seq_id, trim(regexp_replace(lower(text), '[^a-z]+', ' ', 'g')) AS t FROM conversations WHERE text IS NOT NULL) WHERE t <> ''"
 
 
 def with_seqs(source: str) -> str:
@@ -26,7 +25,7 @@ words AS (SELECT {b}t, e, unnest(range(1, least({n_max}, e) + 1)) AS n FROM ends
 counts AS (SELECT {b}CAST(n AS INTEGER) AS n, substr(t, e - n + 1, n) AS word, count(*) AS cnt FROM words GROUP BY ALL)"""
 
 
-def block_entropy(d: int, beta: float = 0.5, by: str = "", n_max: int = 6) -> str:
+def block_entropy(d: int, beta: float = 0.5, by: str = "") -> str:
     """h([by,] n, method, n_windows, n_words, h_block) in bits from counts."""
     b = f"{by}, " if by else ""
     psi = sql_digamma("cnt")

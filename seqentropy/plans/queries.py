@@ -332,10 +332,6 @@ def c1(spark, d):
     return P.context_counts(S.chunks(seq, 2), 2).where("ctx in ('', '1', '11')").select("ctx", "sym", F.col("cnt").cast("int").alias("cnt"))
 
 
-def _depth_sql(tree: str) -> str:
-    return f"WITH {Q.with_seqs(CUSTOMERS)}, {Q.events(4)}, {Q.levels(4, 5, 0.5, 'deepest', tree=tree)}"
-
-
 @query("c3_c6_tree_statistics")
 def c6(spark, d):
     """Nodes and depth of the full and the incremental trees of whole documents."""
@@ -713,6 +709,61 @@ def w21c(spark, d):
     return got.groupBy("user_id").agg(F.max("n").alias("n"), r6(F.max_by("nats", "n")).alias("nats"))
 
 
+@query("w21_sliding_entropy", "WITH e AS (SELECT date_trunc('day', ts) - unnest([INTERVAL 0 DAY, INTERVAL 1 DAY]) AS start, event_type FROM events), c AS (SELECT start, event_type, count(*) AS c FROM e GROUP BY ALL), n AS (SELECT start, sum(c) AS n FROM c GROUP BY start) SELECT CAST(n.n AS BIGINT) AS n, round(sum(-(c / n.n) * log2(c / n.n)), 6) AS bits, strftime(n.start, '%Y-%m-%d') AS day FROM c JOIN n USING (start) GROUP BY n.n, n.start")
+def w21s(spark, d):
+    stream = O.windowed_entropy(O.event_stream(spark, d), O.TYPES, "2 days", "1 day")
+    got = O.run_available(stream, scratch(spark, "windows"), "complete")
+    last = got.agg(F.max("batch").alias("batch"))
+    return got.join(F.broadcast(last), "batch").select("n", r6("bits").alias("bits"), F.date_format("start", "yyyy-MM-dd").alias("day"))
+
+
+@query("w21_sessions", "WITH s AS (SELECT user_id, ts, sum(CASE WHEN ts < before + INTERVAL 30 MINUTE THEN 0 ELSE 1 END) OVER (PARTITION BY user_id ORDER BY ts) AS k FROM (SELECT user_id, ts, lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS before FROM events)) SELECT user_id, count(*) AS sessions, CAST(sum(n) AS BIGINT) AS events FROM (SELECT user_id, k, count(*) AS n FROM s GROUP BY ALL) GROUP BY user_id")
+def w21ses(spark, d):
+    """The sessions' function on the whole table (a stream closes its last sessions only with later events)."""
+    e = table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    return O.session_counts(e).groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("n").alias("events"))
+
+
+@query("w21_deduplicated", "SELECT event_type, count(DISTINCT event_id) AS n FROM events GROUP BY event_type")
+def w21d(spark, d):
+    twice = O.event_stream(spark, d)
+    got = O.run_available(O.deduplicated(twice.unionAll(O.event_stream(spark, d)), "60 days"), scratch(spark, "deduplicated"))
+    return got.groupBy("event_type").agg(F.count("*").alias("n"))
+
+
+@query("w21_stream_static_join", "SELECT c_mktsegment, count(*) AS n FROM events LEFT JOIN customer ON user_id = c_custkey GROUP BY c_mktsegment")
+def w21j(spark, d):
+    got = O.run_available(O.enriched(O.event_stream(spark, d), table(spark, d, "customer")), scratch(spark, "enriched"))
+    return got.groupBy("c_mktsegment").agg(F.count("*").alias("n"))
+
+
+@query("w21_stream_stream_join", "SELECT a.user_id, count(*) AS pairs FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 6 HOUR GROUP BY a.user_id")
+def w21ss(spark, d):
+    got = O.run_available(O.followed_by(O.event_stream(spark, d), "click", "purchase", "6 hours"), scratch(spark, "followed"))
+    return got.groupBy("user_id").agg(F.count("*").alias("pairs"))
+
+
+@query("b7_expected_bias", "SELECT n, round(-(pow(2.0, n) - 1) / 2000 + (1 - pow(1 / 0.05 + 1 / 0.95, n)) / 12000000, 9) AS bias FROM (SELECT CAST(unnest(range(1, 7)) AS INTEGER) AS n)")
+def b7(spark, d):
+    """Bias of the likelihood estimate for biased bits (0.05) and 1000 symbols, from the true word probabilities."""
+    from itertools import product
+
+    rows = [(n, math.prod(0.05 if x == "0" else 0.95 for x in w)) for n in range(1, 7) for w in product("01", repeat=n)]
+    return B.bias_expected(spark.createDataFrame(rows, "n int, p double"), 1000).select("n", F.round("bias", 9).alias("bias"))
+
+
+@query("a3_ideal_growth", "SELECT a, round(ln(2.0) - h, 6) AS log_growth, round(2.0 / exp(h), 6) AS factor FROM (VALUES (1.8, 0.405), (1.7499, 0.184)) v(a, h)")
+def a3(spark, d):
+    rows = [(a, *G.ideal_growth(h, 2)) for a, h in ((1.8, 0.405), (1.7499, 0.184))]
+    return spark.createDataFrame(rows, "a double, g double, f double").select("a", r6("g").alias("log_growth"), r6("f").alias("factor"))
+
+
+@query("p4_repeat_lengths_in_levels", f"WITH {Q.with_seqs(Q.DOCS27)}, e AS (SELECT seq_id, t, unnest(range(1, len(t) + 1)) AS i FROM seqs), w AS (SELECT seq_id, i, unnest(range(1, least(4, len(t) - i + 1) + 1)) AS p, t FROM e), g AS (SELECT seq_id, i, p, min(i) OVER (PARTITION BY seq_id, p, substr(t, i, p)) AS first FROM w), l AS (SELECT seq_id, i, min(p) FILTER (first = i) AS len FROM g GROUP BY seq_id, i) SELECT CAST(len AS INTEGER) AS len, count(*) AS n FROM l GROUP BY len")
+def p4l(spark, d):
+    """Positions by repeat length up to 4 (null: longer), by joins: the way for sequences that fit no task."""
+    return R.match_lengths_levels(S.chunks(docs27(spark, d), 3), 4).groupBy("len").agg(F.count("*").alias("n"))
+
+
 # --- limits ----------------------------------------------------------------------------------------------------------
 
 
