@@ -39,6 +39,7 @@ KINDS = ["assign", "access", "hex", "crf"]
 MASK = {"assign": "<secret>", "access": "<key>", "hex": "<hex>", "crf": "<secret>"}
 
 WINDOWS, AROUND, ROUNDS, RATE, DECAY = 1200, 16, 80, 0.4, 1e-4
+SHARES = 16
 CAUTION = 1.5  # added to the score of O when texts are tagged: precision before recall
 B, I, O = 0, 1, 2
 _SIZES = [32 * 8, 5 * 8, 64, 4096, 4096, 256, 256, 64]
@@ -248,9 +249,16 @@ def fit(docs: DataFrame, windows: int = WINDOWS) -> Chain | None:
 
 
 def _smallest(table: DataFrame, windows: int) -> list[tuple]:
-    """Both kinds' windows with the smallest ranks, in one pass (each task has sent its smallest alone)."""
-    place = F.row_number().over(Window.partitionBy("label").orderBy("rank", "tags", "f"))
-    rows = table.withColumn("place", place).where(F.col("place") <= windows).collect()
+    """Both kinds' windows with the smallest ranks, in one pass.
+
+    Each task has sent its smallest alone; they are thinned in ``SHARES`` shares first, so the last step reads at most
+    2 * SHARES * windows rows however many tasks there were.
+    """
+    order = ["rank", "tags", "f"]
+    share = F.pmod(F.xxhash64("rank"), F.lit(SHARES))
+    thin = table.withColumn("share", share).withColumn("place", F.row_number().over(Window.partitionBy("label", "share").orderBy(*order))).where(F.col("place") <= windows)
+    last = F.row_number().over(Window.partitionBy("label").orderBy(*order))
+    rows = thin.withColumn("place", last).where(F.col("place") <= windows).collect()
     return sorted(((r.label, r["rank"], list(r.f), list(r.tags)) for r in rows), key=lambda r: (-r[0], r[1], r[3], r[2]))
 
 
