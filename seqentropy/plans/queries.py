@@ -359,11 +359,11 @@ query("e5_shortest_gain_documents", f"WITH {Q.with_seqs(Q.DOCS27)}, {Q.events(3)
 query("e8_blend_documents", f"WITH {Q.with_seqs(Q.DOCS27)}, {Q.events(3)}, {Q.levels(3, 27, 1 / 27, 'blend')} {Q.RATE}")(lambda spark, d: _rate(docs27(spark, d), Tree(27, 3, beta=1 / 27, rule="blend")))
 
 
-@query("e4_window_engine", f"WITH {Q.with_seqs(USERS)}, {Q.events(3)}, {Q.levels(3, 5, 0.5, 'min_total_gain', 2.0, 'incremental')} SELECT seq_id, count(*) AS n, round(sum(-ln(p)), 6) AS nats FROM pred GROUP BY seq_id")
+@query("e4_window_engine", f"WITH {Q.with_seqs(USERS)}, {Q.events(2)}, {Q.levels(2, 5, 0.5, 'min_total_gain', 2.0, 'incremental')} SELECT seq_id, count(*) AS n, round(sum(-ln(p)), 6) AS nats FROM pred GROUP BY seq_id")
 def e4(spark, d):
     """The same by windows over rows of events, counts in blocks of positions."""
-    ev = S.events(S.chunks(users(spark, d), 3), 3)
-    pred = P.window_predictions(ev, Tree(5, 3, "incremental", 0.5, "min_total_gain", 2.0), block=512, crowded=1)
+    ev = S.events(S.chunks(users(spark, d), 2), 2)
+    pred = P.window_predictions(ev, Tree(5, 2, "incremental", 0.5, "min_total_gain", 2.0), block=512, crowded=0)
     return pred.groupBy("seq_id").agg(F.count("*").alias("n"), r6(F.sum(-F.ln("p"))).alias("nats"))
 
 
@@ -758,10 +758,10 @@ def a3(spark, d):
     return spark.createDataFrame(rows, "a double, g double, f double").select("a", r6("g").alias("log_growth"), r6("f").alias("factor"))
 
 
-@query("p4_repeat_lengths_in_levels", f"WITH {Q.with_seqs(Q.DOCS27)}, e AS (SELECT seq_id, t, unnest(range(1, len(t) + 1)) AS i FROM seqs), w AS (SELECT seq_id, i, unnest(range(1, least(4, len(t) - i + 1) + 1)) AS p, t FROM e), g AS (SELECT seq_id, i, p, min(i) OVER (PARTITION BY seq_id, p, substr(t, i, p)) AS first FROM w), l AS (SELECT seq_id, i, min(p) FILTER (first = i) AS len FROM g GROUP BY seq_id, i) SELECT CAST(len AS INTEGER) AS len, count(*) AS n FROM l GROUP BY len")
+@query("p4_repeat_lengths_in_levels", f"WITH {Q.with_seqs(Q.TURNS27)}, e AS (SELECT seq_id, t, unnest(range(1, len(t) + 1)) AS i FROM seqs), w AS (SELECT seq_id, i, unnest(range(1, least(4, len(t) - i + 1) + 1)) AS p, t FROM e), g AS (SELECT seq_id, i, p, min(i) OVER (PARTITION BY seq_id, p, substr(t, i, p)) AS first FROM w), l AS (SELECT seq_id, i, min(p) FILTER (first = i) AS len FROM g GROUP BY seq_id, i) SELECT CAST(len AS INTEGER) AS len, count(*) AS n FROM l GROUP BY len")
 def p4l(spark, d):
     """Positions by repeat length up to 4 (null: longer), by joins: the way for sequences that fit no task."""
-    return R.match_lengths_levels(S.chunks(docs27(spark, d), 3), 4).groupBy("len").agg(F.count("*").alias("n"))
+    return R.match_lengths_levels(S.chunks(turns27(spark, d), 3), 4).groupBy("len").agg(F.count("*").alias("n"))
 
 
 # --- limits ----------------------------------------------------------------------------------------------------------
