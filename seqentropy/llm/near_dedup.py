@@ -39,7 +39,7 @@ from .common import cut, read, scratch_path
 from .graph import components
 
 SHINGLE, COORDINATES, MATCHES, PERCENT = 5, 64, 32, 75
-SHORT_LIST, BLOCK, BLOCK_BYTES = 48, 2048, 8 << 20
+SHORT_LIST, BLOCK, BLOCK_BYTES = 48, 4096, 8 << 20
 _LAST = 2**63 - 1
 _SIGNED = "row long, doc_id long, n_shingles long, set_high long, set_low long, keys array<long>"
 
