@@ -18,10 +18,18 @@ def with_seqs(source: str) -> str:
     return f"seqs AS ({source})"
 
 
+def places(source: str, left: int, by: str = "") -> str:
+    """[by,] s, t, k, e: every position as the end e of a short piece t, which has the k <= left symbols before its start s (long strings are slow to index)."""
+    b = f"{by}, " if by else ""
+    return f"""SELECT {b}s, l || b AS t, len(l) AS k, unnest(range(len(l) + 1, len(l) + len(b) + 1)) AS e
+  FROM (SELECT {b}s, substr(t, greatest(s - {left}, 1), s - greatest(s - {left}, 1)) AS l, substr(t, s, 256) AS b
+  FROM (SELECT {b}t, unnest(range(1, len(t) + 1, 256)) AS s FROM ({source})))"""
+
+
 def words(n_max: int, by: str = "") -> str:
     """counts([by,] n, word, cnt) from seqs."""
     b = f"{by}, " if by else ""
-    return f"""ends AS (SELECT {b}t, unnest(range(1, len(t) + 1)) AS e FROM seqs),
+    return f"""ends AS ({places("SELECT * FROM seqs", n_max - 1, by)}),
 words AS (SELECT {b}t, e, unnest(range(1, least({n_max}, e) + 1)) AS n FROM ends),
 counts AS (SELECT {b}CAST(n AS INTEGER) AS n, substr(t, e - n + 1, n) AS word, count(*) AS cnt FROM words GROUP BY ALL)"""
 
@@ -45,8 +53,8 @@ h AS (
 
 def events(order: int) -> str:
     """events(seq_id, pos, sym, past) from seqs."""
-    return f"""events AS (SELECT seq_id, pos, substr(t, pos, 1) AS sym, substr(t, greatest(pos - {order}, 1), pos - greatest(pos - {order}, 1)) AS past
-  FROM (SELECT seq_id, t, CAST(unnest(range(1, len(t) + 1)) AS BIGINT) AS pos FROM seqs))"""
+    return f"""events AS (SELECT seq_id, CAST(s + e - k - 1 AS BIGINT) AS pos, substr(t, e, 1) AS sym, substr(t, greatest(e - {order}, 1), e - greatest(e - {order}, 1)) AS past
+  FROM ({places("SELECT * FROM seqs", order, "seq_id")}))"""
 
 
 def levels(order: int, d: int, beta: float, rule: str, delta: float = 0.0, tree: str = "full", q: float = 1.0) -> str:

@@ -168,7 +168,10 @@ def w2lang(spark, d):
 _CORPUS = "SELECT 0 AS seq_id, string_agg(t, ' ' ORDER BY seq_id) || ' ' AS t FROM ({})"
 
 
-@query("w2_english_corpus", f"WITH line AS ({_CORPUS.format(EN27)}), chopped AS (SELECT t, unnest(range(1, len(t) + 1, 4096)) AS s FROM line), pieces AS (SELECT s, substr(t, greatest(s - 5, 1), least(s - 1, 5)) AS l, substr(t, s, 4096) AS b FROM chopped), ends AS (SELECT l || b AS t, unnest(range(len(l) + 1, len(l) + len(b) + 1)) AS e FROM pieces), words AS (SELECT t, e, unnest(range(1, least(6, e) + 1)) AS n FROM ends), counts AS (SELECT CAST(n AS INTEGER) AS n, substr(t, e - n + 1, n) AS word, count(*) AS cnt FROM words GROUP BY ALL), {Q.block_entropy(27)} SELECT {_H.format(p='')}")
+_LINE = f"line AS ({_CORPUS.format(EN27)}), big AS (SELECT s0 - greatest(s0 - 5, 1) AS k0, substr(t, greatest(s0 - 5, 1), 8192 + s0 - greatest(s0 - 5, 1)) AS t FROM (SELECT t, unnest(range(1, len(t) + 1, 8192)) AS s0 FROM line)), pieces AS (SELECT substr(t, greatest(s - 5, 1), s - greatest(s - 5, 1)) AS l, substr(t, s, 256) AS b FROM (SELECT t, unnest(range(k0 + 1, len(t) + 1, 256)) AS s FROM big)), ends AS (SELECT l || b AS t, unnest(range(len(l) + 1, len(l) + len(b) + 1)) AS e FROM pieces)"
+
+
+@query("w2_english_corpus", f"WITH {_LINE}, words AS (SELECT t, e, unnest(range(1, least(6, e) + 1)) AS n FROM ends), counts AS (SELECT CAST(n AS INTEGER) AS n, substr(t, e - n + 1, n) AS word, count(*) AS cnt FROM words GROUP BY ALL), {Q.block_entropy(27)} SELECT {_H.format(p='')}")
 def w2corpus(spark, d):
     """English texts as one sequence, blocks of 1 to 6 letters, all estimators."""
     return _entropies(B.block_entropy(B.block_counts(S.corpus_chunks(english(spark, d), 5), 6), 27))
@@ -320,7 +323,7 @@ def w5(spark, d):
 # --- context trees and prediction ------------------------------------------------------------------------------------
 
 
-@query("c2_context_counts", f"WITH {Q.with_seqs(Q.DOCS27)}, e AS (SELECT t, unnest(range(1, len(t) + 1)) AS e FROM seqs), r AS (SELECT t, e, unnest(range(0, least(3, e - 1) + 1)) AS depth FROM e) SELECT CAST(depth AS INTEGER) AS depth, substr(t, e - depth, depth) AS ctx, substr(t, e, 1) AS sym, count(*) AS cnt FROM r GROUP BY ALL")
+@query("c2_context_counts", f"WITH e AS ({Q.places(Q.DOCS27, 3)}), r AS (SELECT t, e, unnest(range(0, least(3, e - 1) + 1)) AS depth FROM e) SELECT CAST(depth AS INTEGER) AS depth, substr(t, e - depth, depth) AS ctx, substr(t, e, 1) AS sym, count(*) AS cnt FROM r GROUP BY ALL")
 def c2(spark, d):
     return P.context_counts(S.chunks(docs27(spark, d), 3), 3)
 
@@ -383,10 +386,10 @@ def e9(spark, d):
     return P.tree_mixture(bits, 4, 2).agg(F.sum("n").alias("n"), r6(F.sum("nats") / F.sum("n") / math.log(2)).alias("bits"))
 
 
-_FORECAST = "WITH c AS (SELECT t, unnest(range(1, len(t) + 1)) AS e FROM ({s})), r AS (SELECT t, e, unnest(range(0, least(3, e - 1) + 1)) AS depth FROM c), k AS (SELECT depth, substr(t, e - depth, depth) AS ctx, substr(t, e, 1) AS sym, count(*) AS cnt FROM r GROUP BY ALL), own AS (SELECT * FROM k WHERE ends_with('{x}', ctx) QUALIFY depth = max(depth) OVER ()), l AS (SELECT substr('abcdefghijklmnopqrstuvwxyz ', unnest(range(1, 28)), 1) AS sym) SELECT l.sym, round((coalesce(cnt, 0) + 1.0 / 27) / ((SELECT sum(cnt) FROM own) + 1), 6) AS p FROM l LEFT JOIN own ON l.sym = own.sym"
+_FORECAST = "WITH c AS ({s}), r AS (SELECT t, e, unnest(range(0, least(3, e - 1) + 1)) AS depth FROM c), k AS (SELECT depth, substr(t, e - depth, depth) AS ctx, substr(t, e, 1) AS sym, count(*) AS cnt FROM r GROUP BY ALL), own AS (SELECT * FROM k WHERE ends_with('{x}', ctx) QUALIFY depth = max(depth) OVER ()), l AS (SELECT substr('abcdefghijklmnopqrstuvwxyz ', unnest(range(1, 28)), 1) AS sym) SELECT l.sym, round((coalesce(cnt, 0) + 1.0 / 27) / ((SELECT sum(cnt) FROM own) + 1), 6) AS p FROM l LEFT JOIN own ON l.sym = own.sym"
 
 
-@query("e11_next_letter", _FORECAST.format(s=Q.DOCS27, x="and th"))
+@query("e11_next_letter", _FORECAST.format(s=Q.places(Q.DOCS27, 3), x="and th"))
 def e11(spark, d):
     counts = P.context_counts(S.chunks(docs27(spark, d), 3), 3)
     return P.forecast(counts, "and th", 27, 1 / 27, list("abcdefghijklmnopqrstuvwxyz ")).select("sym", r6("p").alias("p"))
@@ -591,10 +594,10 @@ def w14(spark, d):
     return out
 
 
-_K = "k AS (SELECT depth, ctx, sym, cnt FROM (SELECT depth, substr(t, e - depth, depth) AS ctx, substr(t, e, 1) AS sym, count(*) AS cnt FROM (SELECT t, e, unnest(range(0, least(3, e - 1) + 1)) AS depth FROM (SELECT t, unnest(range(1, len(t) + 1)) AS e FROM ({s}))) GROUP BY ALL))"
+_K = "k AS (SELECT depth, ctx, sym, cnt FROM (SELECT depth, substr(t, e - depth, depth) AS ctx, substr(t, e, 1) AS sym, count(*) AS cnt FROM (SELECT t, e, unnest(range(0, least(3, e - 1) + 1)) AS depth FROM ({s})) GROUP BY ALL))"
 
 
-@query("w15_forecast_table", f"WITH {Q.with_seqs(Q.BENCH27)}, {Q.events(3)}, {_K.format(s=EN27)}, c AS (SELECT seq_id, pos, sym AS actual, unnest(range(0, len(past) + 1)) AS depth, past FROM events), j AS (SELECT seq_id, pos, actual, k.sym AS letter, cnt, c.depth, max(c.depth) OVER (PARTITION BY seq_id, pos) AS most FROM c JOIN k ON k.depth = c.depth AND k.ctx = right(past, c.depth)), o AS (SELECT seq_id, pos, actual, letter, (cnt + {1 / 27!r}) / (sum(cnt) OVER (PARTITION BY seq_id, pos) + 1) AS p FROM j WHERE depth = most) SELECT seq_id, pos, actual, CAST(row_number() OVER (PARTITION BY seq_id, pos ORDER BY p DESC, letter) AS INTEGER) AS rank, letter, round(p, 6) AS p, CASE WHEN p >= 0.6 THEN '0.6' WHEN p >= 0.25 THEN '0.25' ELSE '0.1' END AS band FROM o WHERE p >= 0.1")
+@query("w15_forecast_table", f"WITH {Q.with_seqs(Q.BENCH27)}, {Q.events(3)}, {_K.format(s=Q.places(EN27, 3))}, c AS (SELECT seq_id, pos, sym AS actual, unnest(range(0, len(past) + 1)) AS depth, past FROM events), j AS (SELECT seq_id, pos, actual, k.sym AS letter, cnt, c.depth, max(c.depth) OVER (PARTITION BY seq_id, pos) AS most FROM c JOIN k ON k.depth = c.depth AND k.ctx = right(past, c.depth)), o AS (SELECT seq_id, pos, actual, letter, (cnt + {1 / 27!r}) / (sum(cnt) OVER (PARTITION BY seq_id, pos) + 1) AS p FROM j WHERE depth = most) SELECT seq_id, pos, actual, CAST(row_number() OVER (PARTITION BY seq_id, pos ORDER BY p DESC, letter) AS INTEGER) AS rank, letter, round(p, 6) AS p, CASE WHEN p >= 0.6 THEN '0.6' WHEN p >= 0.25 THEN '0.25' ELSE '0.1' END AS band FROM o WHERE p >= 0.1")
 def w15(spark, d):
     """Letters forecast at every place of the benchmark's texts by the documents' contexts."""
     ev = S.events(S.chunks(bench27(spark, d), 3), 3)
