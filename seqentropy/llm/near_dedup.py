@@ -113,7 +113,7 @@ def _short_keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         keys = _column(batch, "keys")
         rows = keys.flatten().to_numpy().reshape(len(keys), -1).astype(np.uint64).astype(np.uint32)
-        yield pa.RecordBatch.from_arrays([_column(batch, "node"), pa.array([r.tobytes() for r in rows], pa.binary())], ["node", "short"])
+        yield pa.RecordBatch.from_arrays([_column(batch, "node"), _column(batch, "size"), pa.array([r.tobytes() for r in rows], pa.binary())], ["node", "size", "short"])
 
 
 def _candidates(table: pa.Table) -> pa.Table:
@@ -235,8 +235,8 @@ def near_classes(docs: DataFrame) -> DataFrame:
     other = short.select("key", F.col("node").alias("v"), F.col("root").alias("root_v"))
     pairs = short.select("key", F.col("node").alias("u"), "root").join(other, "key").where("u < v and root <> root_v").select("u", "v").distinct()
     more = _confirmed(_matched(pairs, signed), texts)
-    long = rest.where(F.col("n") > SHORT_LIST).join(signed.select(F.col("row").alias("node"), F.col("n_shingles").alias("size")), "node").drop("n")
-    packed = signed.join(long.select(F.col("node").alias("row")).distinct(), "row", "left_semi").select(F.col("row").alias("node"), "keys").mapInArrow(_short_keys, "node long, short binary")
+    long = rest.where(F.col("n") > SHORT_LIST).drop("n")
+    packed = signed.join(long.select(F.col("node").alias("row")).distinct(), "row", "left_semi").select(F.col("row").alias("node"), F.col("n_shingles").alias("size"), "keys").mapInArrow(_short_keys, "node long, size long, short binary")
     seen = _dealt(long, F.lit(4 * COORDINATES)).join(packed, "node").groupBy("key", "i", "j").applyInArrow(_candidates, "key long, node long, root long, size long")
     flagged = cut(seen.distinct())
     sets = texts.withColumnRenamed("row", "node").join(flagged.select("node").distinct(), "node").mapInArrow(_sets, "node long, shingles binary")
