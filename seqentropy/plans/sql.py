@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -18,8 +19,6 @@ def register_all(spark: SparkSession) -> None:
 
 
 def seq_entropy_udf():
-    import pandas as pd
-
     def entropy(texts: pd.Series) -> float:
         import math
         from collections import Counter
