@@ -3,8 +3,7 @@
 Lines are cut after words that end in ``.``, ``!`` or ``?``; a unit is normalised (A-Z in lower case, white space as one
 blank) and hashed to 128 bits.  Digests are grouped over all documents: the unit of the earliest document (smallest
 doc_id) stays, and so does the first one within it; all others are removed, with their offsets in the original text.
-Units are removed only in runs of neighbours that hold ``MIN_WORDS`` words together, so that short phrases which many
-texts have by chance stay.
+Every repeated unit is removed, whatever its length.
 
 A digest that a large part of all rows share costs one partial aggregate row for each task, and its join is split by
 adaptive execution; repeats within a text never leave the kernel that reads it.
@@ -28,7 +27,6 @@ from pyspark.sql import functions as F
 from . import kernels as K
 from .common import read
 
-MIN_WORDS = 16
 _LAST = 2**63 - 1
 _UNITS = "row long, doc_id long, unit int, start long, end long, words int, high long, low long, local boolean"
 
@@ -72,8 +70,8 @@ def _units(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(rows[of]), pa.array(ids[of]), pa.array(u["unit"].astype(np.int32)), pa.array(u["start"]), pa.array(u["end"]), pa.array(u["words"].astype(np.int32)), pa.array(u["high"]), pa.array(u["low"]), pa.array(u["local"])], ["row", "doc_id", "unit", "start", "end", "words", "high", "low", "local"])
 
 
-def repeats(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
-    """A row for every removed unit: row, doc_id, first_doc_id (the document that keeps it), unit, start, end, words."""
+def repeats(docs: DataFrame) -> DataFrame:
+    """A row for every removed unit: row, doc_id, first_doc_id (the document that keeps it), unit, start, end, words, and the words of its run of neighbours."""
     units = docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text").mapInArrow(_units, _UNITS)
     fresh = units.where("not local")
     known = fresh.groupBy("high", "low").agg(F.count("*").alias("n"), F.min_by("row", "doc_id").alias("first_row"), F.min("doc_id").alias("first_doc_id")).where("n > 1").drop("n")
@@ -83,7 +81,7 @@ def repeats(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     order = Window.partitionBy("row").orderBy("unit")
     runs = both.withColumn("run", F.col("unit") - F.row_number().over(order)).withColumn("run_words", F.sum("words").over(Window.partitionBy("row", "run")))
     real = lambda c: F.when(F.col(c) != _LAST, F.col(c)).alias(c)
-    return runs.where(F.col("run_words") >= min_words).select("row", real("doc_id"), real("first_doc_id"), "unit", "start", "end", "words", "run_words")
+    return runs.select("row", real("doc_id"), real("first_doc_id"), "unit", "start", "end", "words", "run_words")
 
 
 def cut_spans(text: str, spans: list[tuple[int, int]]) -> str:

@@ -259,6 +259,15 @@ def test_repeats(spark):
     assert clean[0] is None and repeats.repeats(frame(spark, [])).count() == 0
 
 
+def test_repeats_of_any_length(spark):
+    texts = ["Own start here.\nSubscribe now. Read on\nOf.\nOwn end here.", "Another start.\nsubscribe NOW.  Read on\nAnother end.", "Third. Read on\nOf. Of. Last words"]
+    docs = frame(spark, texts)
+    got = repeats.repeats(docs)
+    spans = {(r.doc_id, r.first_doc_id, texts[r.doc_id][r.start:r.end], r.words) for r in got.collect()}
+    assert spans == {(1, 0, "subscribe NOW.", 2), (1, 0, "Read on", 2), (2, 0, "Read on", 2), (2, 0, "Of.", 1), (2, 2, "Of.", 1)}
+    assert [" ".join(r.text.split()) for r in repeats.remove(docs, got).orderBy("doc_id").collect()] == [" ".join(texts[0].split()), "Another start. Another end.", "Third. Last words"]
+
+
 # --- language
 
 
