@@ -3,16 +3,18 @@
 Every document's words (unigrams and bigrams) and byte trigrams are hashed into ``BINS`` bins a family.  Two
 multinomials over the bins are counted: over all documents (raw), and over the trusted ones (label quality 1 and not
 toxic).  A document's score is the sum over the families of its mean log ratio: a length-normalised log-likelihood
-ratio.  A document whose score is under the threshold is rejected; the threshold is set on labelled documents: where
-``LOSS`` of the trusted ones fall under it, less a margin.
-
-Bounds: raw counts cover every document; the trusted are the ``TARGET_DOCS`` labelled documents with the smallest
-hashed ids; the threshold is set on ``CALIBRATION_DOCS`` of each kind.  What the driver gathers is 3 * BINS counts
-and those ids and scores.
-
-Defined cases: null or empty text has no words and fails the base rules (n_words < 20); without trusted labels, or
-without labels of rejected documents, only the base rules decide; several labels of a document: all must be trusted;
-null labels or ids count as none; repeated rows are each judged; other columns pass through the pipeline's stage.
+ratio.  A document whose score is under the threshold is rejected; the threshold separates the labelled documents that
+pass the base rules best: trusted ones against bad ones (quality 0 or toxic), by balanced accuracy over a histogram of
+all of them.
+
+Bounds: raw counts cover every document; the trusted that are counted are the ``TARGET_DOCS`` labelled documents with
+the smallest hashed ids; the threshold is set on all labelled documents.  What the driver gathers is 3 * BINS counts,
+those ids and the bins of the histogram (2 * CELLS at most).
+
+Defined cases: null or empty text has no words and fails the base rules (n_words < 20); without trusted or without bad
+labelled documents that pass the base rules, only these decide; several labels of a document: all must be trusted, and
+one bad label makes it bad; null labels or ids count as none; repeated rows are each judged; other columns pass through
+the pipeline's stage.
 """
 
 from __future__ import annotations
@@ -32,7 +34,8 @@ from .common import read
 BINS = 1 << 14
 FAMILIES = 3
 SMOOTHING = 1.0
-TARGET_DOCS, CALIBRATION_DOCS, LOSS = 20_000, 2_000, 0.002
+TARGET_DOCS = 20_000
+CELLS, SPAN = 1 << 16, 16.0
 SYMBOLS = b"#*$%&|<>"
 MIN_WORDS, REPEAT_WINDOW, REPEAT_PERCENT = 20, 8, 30
 
@@ -161,16 +164,23 @@ class Model:
         self.ratio, self.threshold = ratio, threshold
 
 
-def _labelled(labels: DataFrame, trusted: bool, most: int) -> np.ndarray:
-    judged = labels.where("doc_id is not null").groupBy("doc_id").agg(F.min(F.coalesce((F.col("quality") == 1) & (F.col("toxic") == 0), F.lit(False))).alias("good"), F.max(F.coalesce(F.col("quality") == 0, F.lit(False))).alias("bad"))
-    rows = judged.where("good" if trusted else "bad").select("doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(most).collect()
+def _labels(labels: DataFrame) -> DataFrame:
+    """doc_id, good (all labels trusted), bad (a label says quality 0 or toxic)."""
+    good = F.coalesce((F.col("quality") == 1) & (F.col("toxic") == 0), F.lit(False))
+    bad = F.coalesce(F.col("quality") == 0, F.lit(False)) | F.coalesce(F.col("toxic") == 1, F.lit(False))
+    return labels.where("doc_id is not null").groupBy("doc_id").agg(F.min(good).alias("good"), F.max(bad).alias("bad"))
+
+
+def _trusted(judged: DataFrame, most: int) -> np.ndarray:
+    rows = judged.where("good").select("doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(most).collect()
     return np.array(sorted(r.doc_id for r in rows), np.int64)
 
 
 def fit(docs: DataFrame, labels: DataFrame) -> Model:
-    """Counts over all documents; the threshold on labelled ones."""
+    """Counts over all documents; the threshold on all labelled ones."""
     docs = docs.select("doc_id", "text")
-    trusted = _labelled(labels, True, TARGET_DOCS)
+    known = _labels(labels)
+    trusted = _trusted(known, TARGET_DOCS)
     counts = docs.mapInArrow(_counter(trusted), "bin int, raw long, own long").groupBy("bin").agg(F.sum("raw").alias("raw"), F.sum("own").alias("own")).collect()
     raw, own = (np.zeros(FAMILIES * BINS) for _ in range(2))
     for r in counts:
@@ -178,19 +188,21 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
     ratio = np.concatenate([np.log((o + SMOOTHING) / (o.sum() + SMOOTHING * BINS)) - np.log((a + SMOOTHING) / (a.sum() + SMOOTHING * BINS)) for a, o in zip(raw.reshape(FAMILIES, BINS), own.reshape(FAMILIES, BINS), strict=True)])
     if not own.sum():
         return Model(np.zeros_like(ratio), None)
-    good, bad = (_labelled(labels, x, CALIBRATION_DOCS) for x in (True, False))
-    if not len(good) or not len(bad):
-        return Model(ratio, None)
-    held = docs.where(F.col("doc_id").isin([int(x) for x in np.union1d(good, bad)])).mapInArrow(_scorer(ratio, None), SCORE_SCHEMA).where("not base_failed").select("doc_id", "score").collect()
-    good_scores = np.array(sorted(r.score for r in held if r.doc_id in set(good.tolist())))
-    return Model(ratio, threshold_of(good_scores))
+    cell = F.greatest(F.lit(0), F.least(F.lit(CELLS - 1), F.floor((F.col("score") + SPAN) / (2 * SPAN) * CELLS)))
+    scored = docs.mapInArrow(_scorer(ratio, None), SCORE_SCHEMA).where("not base_failed and doc_id is not null").select("doc_id", cell.cast("int").alias("cell"))
+    hist = np.zeros((2, CELLS))
+    for r in scored.join(known.where("good or bad"), "doc_id").groupBy("bad", "cell").agg(F.count("*").alias("n")).collect():
+        hist[int(r.bad), r.cell] = r.n
+    return Model(ratio, threshold_of(hist[0], hist[1]))
 
 
-def threshold_of(good: np.ndarray) -> float | None:
-    """The LOSS quantile of the trusted scores (given in order), less the distance of their quartiles as a margin."""
-    if not len(good):
+def threshold_of(good: np.ndarray, bad: np.ndarray) -> float | None:
+    """The lowest of the cells' borders with the best balanced accuracy, from which documents are kept; None without either kind."""
+    if not good.sum() or not bad.sum():
         return None
-    return round(float(good[int(len(good) * LOSS)] - (good[int(len(good) * 0.75)] - good[int(len(good) * 0.25)])), 9)
+    gain = np.round(np.cumsum(bad) / bad.sum() - np.cumsum(good) / good.sum(), 12)
+    at = int(gain.argmax())
+    return float((at + 1) / CELLS * 2 * SPAN - SPAN) if gain[at] > 0 else None
 
 
 def judged(docs: DataFrame, labels: DataFrame) -> DataFrame:

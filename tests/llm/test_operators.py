@@ -208,6 +208,19 @@ def test_quality(spark, sf):
     assert quality.keep_good(spark, frame(spark, texts), sf).columns == ["doc_id", "text", "source", "lang"]
 
 
+def test_quality_cut(spark):
+    words = [f"{a}{b}" for a in "abcdefghkl" for b in ("in", "on", "er", "th", "es", "al")]
+    sly = [f"sly{k}" for k in range(40)]
+    rng = random.Random(5)
+    good = [" ".join(rng.sample(words, 40)) for _ in range(100)]
+    toxic = [" ".join(rng.sample(words, 36) + rng.sample(sly, 4)) for _ in range(30)]
+    labels = spark.createDataFrame([(k, 1, int(k >= 100)) for k in range(130)], "doc_id long, quality int, toxic int")
+    got = {r.doc_id: r.kept for r in quality.judged(frame(spark, good + toxic), labels).collect()}
+    assert sum(got[k] for k in range(100)) >= 95 and sum(got[k] for k in range(100, 130)) <= 3
+    assert quality.threshold_of(np.array([0, 0, 3.0]), np.zeros(3)) is None
+    assert quality.threshold_of(np.array([0, 1, 9.0]), np.array([5.0, 4, 0])) == 2 / quality.CELLS * 2 * quality.SPAN - quality.SPAN
+
+
 # --- packing
 
 
