@@ -82,11 +82,16 @@ def piece_base(piece: K.Piece) -> dict[int, list[tuple[int, int, str]]]:
         t[list(b"0123456789abcdef")] = True
         K._cache["hex"] = t
     hexed = K._cache["hex"][data]
-    edge = np.flatnonzero(np.diff(np.concatenate([[False], hexed, [False]]).astype(np.int8)))
-    begin, stop = edge[::2], edge[1::2]
+    # runs end at the rows' borders
+    opens, closes = hexed.copy(), hexed.copy()
+    opens[1:] &= ~hexed[:-1]
+    closes[:-1] &= ~hexed[1:]
+    filled = piece.off[:-1] < piece.off[1:]
+    head, last = piece.off[:-1][filled], piece.off[1:][filled] - 1
+    opens[head], closes[last] = hexed[head], hexed[last]
+    begin, stop = np.flatnonzero(opens), np.flatnonzero(closes) + 1
     some = np.zeros(piece.n + 1, bool)
-    # a run across rows only means that both are looked at
-    for at in (begin[stop - begin >= 16], np.maximum(stop[stop - begin >= 16] - 1, 0), np.flatnonzero((data == 61) | (data == 58))):
+    for at in (begin[stop - begin >= 16], np.flatnonzero((data == 61) | (data == 58))):
         some[np.searchsorted(piece.off, at, "right") - 1] = True
     if data.tobytes().find(b"AKIA") >= 0:
         some[:] = True

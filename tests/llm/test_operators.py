@@ -181,6 +181,17 @@ def test_secrets(spark, sf):
     assert all(not brute_base(r.text or "") and (r.text is None or r.n_chars == len(r.text)) for r in stage) and len(stage) == len(texts)
 
 
+def test_hex_rows_side_by_side(spark, sf):
+    digest = hashlib.md5(b"x").hexdigest()
+    texts = [digest] * 5 + ["", None, digest[:8], digest[8:16], digest[:15], "a" + digest + "é", digest]
+    for piece in kernels.pieces(pa.array(texts)):
+        got = secrets.piece_base(piece)
+        assert {r: secrets.written(s) for r, s in got.items() if s} == {r: brute_base(texts[piece.first + r] or "") for r in range(piece.n) if brute_base(texts[piece.first + r] or "")}
+    docs = frame(spark, texts).coalesce(1)
+    assert [r.n_hex for r in secrets.scan(docs, None).orderBy("doc_id").collect()] == [1] * 5 + [0] * 5 + [1, 1]
+    assert not any(brute_base(r.text or "") for r in secrets.mask_secrets(spark, docs, sf).collect())
+
+
 # --- quality
 
 
