@@ -3,11 +3,17 @@
 A rule is a host and the beginning of a path; it fits the host and its subdomains, the longest fitting rule decides.
 Urls that rules allow and block are the training data of two smoothed variable-order Markov models over bytes: the
 probability of a byte after its last n bytes is interpolated with that after n - 1 (Witten-Bell style weights), down
-to a uniform one.  Counts are kept in hashed tables.  A url's score is the difference of its log-likelihoods a byte;
-the cut is the one that separates the decided urls best (balanced accuracy over a histogram of all of them).
+to a uniform one.  A url's score is the difference of its log-likelihoods a byte; the cut is the one that separates the
+decided urls best (balanced accuracy over a histogram of all of them).
 
-Bounds: all decided urls are counted and all of them calibrate; the driver gathers ``2 * ORDERS * BUCKETS`` counts at
-most and ``BINS`` bins of the histogram.
+A key is a byte with the ``ORDERS - 1`` before it, packed without loss in a long; shorter contexts are its low bits.
+Keys are counted exactly in a distributed aggregate; shorter ones are sums of longer ones, so all further steps work on
+distinct keys.  The probabilities of each order are joined to the keys of the next one; a url's score is the
+sum of its keys' log ratios, a byte.  Log ratios are summed as whole numbers, so the order of the sums doesn't matter.
+
+Bounds: all decided urls are counted and all of them calibrate; the model grows with the table and never comes to the
+driver, which gathers ``2 * BINS`` bins of the histogram.
+The input must give the same rows in the same partitions when read twice (a table, or a checkpoint).
 
 Defined cases: null urls and urls without ``://`` have an empty host and path, fit no rule and are judged by the models
 on what there is; where a class has no decided url, the models allow all; repeated rows are each judged; other columns
@@ -26,11 +32,12 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import read
+from .common import read, scratch_path
 
 # The task's rules.
 RULES = [("allow", "com/"), ("block", "example.com/en/"), ("allow", "www.example.com/en/"), ("block", "net/es/"), ("block", "net/fr/")]
-ORDERS, BUCKETS, BINS, SPAN, PRIOR = 6, 1 << 15, 2000, 10.0, 4.0
+ORDERS, BINS, SPAN, PRIOR = 6, 2000, 10.0, 4.0
+BITS, MARK, UNIT = 9, 256, 1e12
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -70,76 +77,50 @@ def _column(batch: pa.RecordBatch, name: str) -> pa.Array:
     return batch.column(batch.schema.get_field_index(name))
 
 
-def cells(piece: K.Piece) -> tuple[np.ndarray, np.ndarray]:
-    """For each byte and order n: the cell of (last n bytes, this byte), and that of the last n bytes."""
-    data = K.table("lower")[piece.data].astype(np.uint64)
+def keys(piece: K.Piece) -> np.ndarray:
+    """For each byte, the byte and those before it, the byte lowest; before the beginning: marks."""
+    data = K.table("lower")[piece.data].astype(np.int64)
     n = len(data)
-    row = np.searchsorted(piece.off, np.arange(n), "right") - 1
-    at = np.arange(n) - piece.off[row]
-    own, before = np.zeros((ORDERS, n), np.int64), np.zeros((ORDERS, n), np.int64)
-    state = np.zeros(n, np.uint64)
-    for order in range(ORDERS):
-        if order:
-            older = np.zeros(n, np.uint64)
-            older[order:] = data[:-order] if order < n else older[order:]
-            older = np.where(at >= order, older, np.uint64(256))  # before the beginning: a mark
-            state = K.mix(state + older + np.uint64(257 * order))
-        before[order] = (state % np.uint64(BUCKETS)).astype(np.int64) + order * BUCKETS
-        own[order] = (K.mix(state ^ K.mix(data + np.uint64(1))) % np.uint64(BUCKETS)).astype(np.int64) + (ORDERS + order) * BUCKETS
-    return own, before
-
-
-def _counter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    counts = np.zeros((2, 2 * ORDERS * BUCKETS), np.int64)
+    at = np.arange(n) - np.repeat(piece.off[:-1], np.diff(piece.off))
+    out = data.copy()
+    for order in range(1, ORDERS):
+        older = np.full(n, MARK, np.int64)
+        older[order:] = data[:max(0, n - order)]
+        out |= np.where(at >= order, older, MARK) << (BITS * order)
+    return out
+
+
+def _keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        bad = np.array(_column(batch, "ruled").to_pylist()) == "block"
-        for piece in K.pieces(_column(batch, "url")):
-            own, before = cells(piece)
-            of = np.repeat(bad[piece.first:piece.first + piece.n], np.diff(piece.off))
-            for label in (0, 1):
-                for order in range(ORDERS):
-                    counts[label] += np.bincount(own[order][of == label], minlength=counts.shape[1])
-                    counts[label] += np.bincount(before[order][of == label], minlength=counts.shape[1])
-    at = np.flatnonzero(counts.any(0))
-    yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(counts[0][at]), pa.array(counts[1][at])], ["cell", "allow", "block"])
-
-
-def log_likelihoods(piece: K.Piece, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """For each row, the log-likelihood under either model and the number of bytes."""
-    own, before = cells(piece)
-    sums = []
-    for own_counts in counts:
-        p = np.full(own.shape[1], 1 / 256)
-        for order in range(ORDERS):
-            p = (own_counts[own[order]] + PRIOR * p) / (own_counts[before[order]] + PRIOR)
-        sums.append(K.row_sums(np.log(np.minimum(p, 1.0)), piece.off))
-    return np.array(sums), np.diff(piece.off)
-
-
-def scores(texts: pa.Array, counts: np.ndarray) -> np.ndarray:
-    """Log-likelihood differences a byte (allow less block); 0 for empty urls."""
-    out = [np.zeros(0)]
-    for piece in K.pieces(texts, 1 << 18):
-        (good, bad), size = log_likelihoods(piece, counts)
-        out.append(np.round((good - bad) / np.maximum(1, size), 9))
-    return np.concatenate(out)
-
-
-def _histogram(counts: np.ndarray):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        got = np.zeros((2, BINS), np.int64)
-        for batch in batches:
-            bad = (np.array(_column(batch, "ruled").to_pylist()) == "block").astype(np.int64)
-            at = bin_of(scores(_column(batch, "url"), counts))
-            np.add.at(got, (bad, at), 1)
-        label, at = np.nonzero(got)
-        yield pa.RecordBatch.from_arrays([pa.array(label.astype(np.int32)), pa.array(at.astype(np.int32)), pa.array(got[label, at])], ["label", "bin", "n"])
-
-    return run
-
-
-def bin_of(score: np.ndarray) -> np.ndarray:
-    return np.clip(np.floor((score + SPAN) / (2 * SPAN) * BINS), 0, BINS - 1).astype(np.int64)
+        rows, label = _column(batch, "row").to_numpy(), np.array([{"allow": 0, "block": 1}.get(x, 2) for x in _column(batch, "ruled").to_pylist()], np.int32)
+        for piece in K.pieces(_column(batch, "url"), 1 << 18):
+            of = np.repeat(np.arange(piece.first, piece.first + piece.n), np.diff(piece.off))
+            yield pa.RecordBatch.from_arrays([pa.array(rows[of]), pa.array(label[of]), pa.array(keys(piece))], ["row", "label", "key"])
+
+
+def ratios(keyed: DataFrame) -> DataFrame:
+    """key, gain (log of the byte's probability among allowed urls less that among blocked ones, in UNITs) for all keys; no rows if a class has no urls."""
+    low = lambda c, n: F.col(c).bitwiseAND(F.lit((1 << (BITS * n)) - 1))
+    counts = {ORDERS: keyed.groupBy("key").agg(*(F.sum((F.col("label") == k).cast("long")).alias(f"n{k}") for k in (0, 1)))}
+    for n in range(ORDERS - 1, 0, -1):
+        counts[n] = counts[n + 1].groupBy(low("key", n).alias("key")).agg(*(F.sum(f"n{k}").alias(f"n{k}") for k in (0, 1)))
+    total = counts[1].agg(*(F.sum(f"n{k}").alias(f"t{k}") for k in (0, 1))).where("t0 > 0 and t1 > 0")
+    known = counts[1].crossJoin(F.broadcast(total)).select("key", *(((F.col(f"n{k}") + PRIOR / 256) / (F.col(f"t{k}") + PRIOR)).alias(f"p{k}") for k in (0, 1)))
+    for n in range(2, ORDERS + 1):
+        context = counts[n].groupBy(F.shiftright("key", BITS).alias("context")).agg(*(F.sum(f"n{k}").alias(f"t{k}") for k in (0, 1)))
+        known = known.withColumnRenamed("key", "shorter")
+        joined = counts[n].withColumn("context", F.shiftright("key", BITS)).withColumn("shorter", low("key", n - 1)).join(context, "context").join(known, "shorter")
+        known = joined.select("key", *(((F.col(f"n{k}") + PRIOR * F.col(f"p{k}")) / (F.col(f"t{k}") + PRIOR)).alias(f"p{k}") for k in (0, 1)))
+    return known.select("key", F.round((F.log("p0") - F.log("p1")) * UNIT).cast("long").alias("gain"))
+
+
+def scores(pages: DataFrame) -> DataFrame:
+    """pages (row, url, ruled): row, score (log-likelihood difference a byte, allow less block); no rows for empty urls."""
+    spark = pages.sparkSession
+    keyed = pages.mapInArrow(_keyed, "row long, label int, key long")
+    path = scratch_path(spark, "url-model")
+    ratios(keyed).write.parquet(path)
+    return keyed.select("row", "key").join(spark.read.parquet(path), "key").groupBy("row").agg(F.round(F.sum("gain") / UNIT / F.count("*"), 9).alias("score"))
 
 
 def best_cut(allow: np.ndarray, block: np.ndarray) -> float:
@@ -151,44 +132,20 @@ def best_cut(allow: np.ndarray, block: np.ndarray) -> float:
     return float((best[0] + best[-1]) / 2 / BINS * 2 * SPAN - SPAN)
 
 
-class Model:
-    def __init__(self, counts: np.ndarray | None, cut: float):
-        self.counts, self.cut = counts, cut
-
-
-def fit(pages: DataFrame) -> Model:
-    """pages: with url and ruled."""
-    known = pages.where("ruled is not null").select("url", "ruled")
-    table = known.mapInArrow(_counter, "cell int, allow long, block long").groupBy("cell").agg(F.sum("allow").alias("allow"), F.sum("block").alias("block")).toArrow()
-    counts = np.zeros((2, 2 * ORDERS * BUCKETS))
-    at = table["cell"].to_numpy()
-    counts[0][at], counts[1][at] = table["allow"].to_numpy(), table["block"].to_numpy()
-    if not counts[0].any() or not counts[1].any():
-        return Model(None, 0.0)
-    hist = np.zeros((2, BINS))
-    for r in known.mapInArrow(_histogram(counts), "label int, bin int, n long").groupBy("label", "bin").agg(F.sum("n").alias("n")).collect():
-        hist[r.label, r.bin] = r.n
-    return Model(counts, best_cut(hist[0], hist[1]))
-
-
-def _judge(counts: np.ndarray | None, cut: float):
-    names = ["page_id", "host", "path", "rule", "verdict", "score"]
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            score = scores(_column(batch, "url"), counts) if counts is not None else np.zeros(batch.num_rows)
-            own = _column(batch, "ruled").to_pylist()
-            verdict = [r or ("allow" if s >= cut or counts is None else "block") for r, s in zip(own, score, strict=True)]
-            yield pa.RecordBatch.from_arrays([_column(batch, "page_id").cast(pa.int64()), *(_column(batch, k) for k in names[1:4]), pa.array(verdict, pa.string()), pa.array(score)], names)
-
-    return run
-
-
 def judged(pages: DataFrame, rules=RULES) -> DataFrame:
     """page_id, host, path, rule, verdict, score."""
-    known = ruled(pages, rules)
-    model = fit(known)
-    return known.mapInArrow(_judge(model.counts, model.cut), "page_id long, host string, path string, rule string, verdict string, score double")
+    spark = pages.sparkSession
+    known = ruled(pages, rules).withColumn("row", F.monotonically_increasing_id())
+    path = scratch_path(spark, "url-scores")
+    known.drop("url").join(scores(known.select("row", "url", "ruled")), "row", "left").withColumn("score", F.coalesce("score", F.lit(0.0))).write.parquet(path)
+    scored = spark.read.parquet(path)
+    at = F.greatest(F.lit(0), F.least(F.lit(BINS - 1), F.floor((F.col("score") + SPAN) / (2 * SPAN) * BINS))).cast("int")
+    hist = np.zeros((2, BINS))
+    for r in scored.where("ruled is not null").groupBy((F.col("ruled") == "block").alias("bad"), at.alias("bin")).agg(F.count("*").alias("n")).collect():
+        hist[int(r.bad), r.bin] = r.n
+    able = hist[0].any() and hist[1].any()
+    by_score = F.when(F.col("score") >= best_cut(hist[0], hist[1]), "allow").otherwise("block") if able else F.lit("allow")
+    return scored.select(F.col("page_id").cast("long").alias("page_id"), "host", "path", "rule", F.coalesce("ruled", by_score).alias("verdict"), "score")
 
 
 def op4_url_markov_filter(spark: SparkSession, sf_dir: str) -> DataFrame:

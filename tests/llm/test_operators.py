@@ -142,6 +142,33 @@ def test_urls(spark):
     assert {r.verdict for r in urls.judged(pages.where("false")).collect()} == set()
 
 
+def test_url_counts_are_exact(spark):
+    rng = random.Random(2)
+    known = [("".join(rng.choices("abcdefghijklmnopqrstuvwxyzÀ", k=rng.choice([3, 9, 40]))), rng.choice(["allow", "block"])) for _ in range(300)]
+    all_ = [*known, ("abc\U0001F600x", None), ("", None), (None, "allow"), ("q", None)]
+    pages = spark.createDataFrame([(k, u, r) for k, (u, r) in enumerate(all_)], "row long, url string, ruled string")
+    got = {r.row: r.score for r in urls.scores(pages).collect()}
+    counts = {"allow": Counter(), "block": Counter()}
+
+    def windows(u):
+        b = [256] * 5 + list(u.translate(LOW).encode())
+        return [tuple(b[i - 5:i + 1]) for i in range(5, len(b))]
+
+    for u, r in known:
+        for w in windows(u):
+            counts[r].update([(n, w[5 - n:]) for n in range(6)] + [("context", n, w[5 - n:5]) for n in range(6)])
+    for k, (u, _) in enumerate(all_):
+        total = 0.0
+        for w in windows(u or ""):
+            p = {}
+            for r, c in counts.items():
+                p[r] = 1 / 256
+                for n in range(6):
+                    p[r] = (c[n, w[5 - n:]] + 4 * p[r]) / (c["context", n, w[5 - n:5]] + 4)
+            total += np.log(p["allow"]) - np.log(p["block"])
+        assert got.get(k, 0.0) == pytest.approx(total / max(1, len(windows(u or ""))), abs=2e-9)
+
+
 # --- secrets
 
 
