@@ -5,6 +5,7 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -29,7 +30,16 @@ def scratch_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """Writes the rows to the shared folder and goes on from there: a short lineage that outlives executors."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+def cut(df: DataFrame, name: str = "step") -> DataFrame:
+    """Writes the rows to the shared folder and reads them again: a plan of one scan that outlives executors.
+
+    Rows are the same at every later read, whatever cores there are; small files are read several to a task.
+    """
+    path = scratch_path(df.sparkSession, name)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def wrapped(df: DataFrame, name: str = "whole") -> DataFrame:
+    """All columns as one struct, so that columns added beside it can't clash with any of theirs."""
+    return df.select(F.struct(*(F.col(f"`{c}`") for c in df.columns)).alias(name))

@@ -2,25 +2,29 @@
 
 A document's set is its distinct shingles of five words.  ``COORDINATES`` minima of independent hashes are its
 signature; two sets of similarity 0.75 agree in 48 of 64 coordinates on average, and in fewer than ``MATCHES`` of them
-with a chance of some 5 in a million.  Documents are posted under each (coordinate, value).
+with a chance of some 5 in a million.  Documents are posted under each (coordinate, value).  ``matches`` = 1 is the
+exact mode: pairs are then missed only if no coordinate agrees at all (chance 4 in 10^39 at that similarity).
 
-1. Documents with equal sets (128-bit digests) are one node, so that copies cost nothing further.
+1. Documents with equal sets (128-bit digests) are one node, so that copies cost nothing further.  Nodes are numbered
+   once, in a written table.
 2. Postings that stand alone match nothing and leave.  Of the others, ordered by their frequency, a node keeps only as
    many as any partner with enough matches must meet one of (prefix filter): long lists, of passages that very many
    documents share, are skipped.
-3. In each list all nodes are paired with its smallest one (no list is expanded into all pairs).  Matches are counted
-   over the whole signatures, the survivors are confirmed on the full sets, and confirmed links become components.
-4. A pair whose nodes both were linked elsewhere needs no check any more.  In lists that still hold several components
-   the pairs between different ones are compared too, so no link between components is lost; long lists are cut into
-   blocks of a bounded number of rows and bytes.  Pairs of blocks first tell which rows have a partner with enough
-   matches; those are compared on the full sets, and return only links that join components.
+3. In each list all nodes are paired with its head (no list is expanded into all pairs); ``HEADS`` groups of coordinates
+   choose different heads, so a node meets several members of its group.  Matches are counted over the whole signatures,
+   the survivors are confirmed on the full sets, and confirmed links become components.
+4. What is then left of a list is its outsiders: nodes outside its head's component.  They alone are compared with the
+   list's nodes of other components, so no link between components is lost.  Short lists do so in a join; long ones are
+   cut into blocks of bounded rows and bytes, outsiders against all, which first tell which rows have a partner with
+   enough matches; those are compared on the full sets, and return only links that join components.
 
-Nothing of all documents reaches the driver; intermediate tables are written to the shared folder.
+A list of n nodes with m outsiders costs 2 n m / ``BLOCK`` rows.  Nothing of all documents reaches the driver; every
+step is written to the shared folder, so plans stay short.
 
 Defined cases: null or empty texts, or texts of blanks, have empty sets and link with nothing; with fewer than five
 words the whole sequence is the only shingle; rows with equal ids are linked if their sets are; null ids are null in
-the result, rank last and are not kept, and a group of them alone has a null component; other columns are ignored.
-The input must give the same rows in the same partitions when read twice (a table, or a checkpoint).
+the result, rank last and are not kept, and a group of them alone has a null component; other columns are ignored.  A
+row's key is its id and two hashes of its text, so the input may be read again in any order.
 """
 
 from __future__ import annotations
@@ -35,16 +39,17 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import cut, read, scratch_path
-from .graph import components
+from .common import cut, read, wrapped
+from .graph import Forest, components
 
 SHINGLE, COORDINATES, MATCHES, PERCENT = 5, 64, 32, 75
-SHORT_LIST, BLOCK, BLOCK_BYTES = 48, 4096, 8 << 20
+HEADS, SHORT_LIST, BLOCK, BLOCK_BYTES = 4, 48, 4096, 8 << 20
 _LAST = 2**63 - 1
-_SIGNED = "row long, doc_id long, n_shingles long, set_high long, set_low long, keys array<long>"
+_SIGNED = "doc_id long, text_a long, text_b long, n_shingles long, set_high long, set_low long, keys array<long>"
+_LOW = np.uint64(COORDINATES - 1)
 
 
-def _column(batch: pa.RecordBatch, name: str) -> pa.Array:
+def _column(batch, name: str):
     return batch.column(batch.schema.get_field_index(name))
 
 
@@ -63,14 +68,14 @@ def shingle_sets(texts: pa.Array) -> Iterator[np.ndarray]:
 
 
 def signature(own: np.ndarray) -> np.ndarray:
-    """The (coordinate, value) keys of a set: 64-bit hashes."""
+    """The (coordinate, value) keys of a set: 64-bit hashes whose low bits are the coordinate."""
     if "minima" not in K._cache:
-        K._cache["minima"] = (K.mix(np.arange(1, COORDINATES + 1, dtype=np.uint64)) | np.uint64(1), K.mix(np.arange(5001, 5001 + COORDINATES, dtype=np.uint64)))
-    factor, shift = K._cache["minima"]
+        K._cache["minima"] = (K.mix(np.arange(1, COORDINATES + 1, dtype=np.uint64)) | np.uint64(1), K.mix(np.arange(5001, 5001 + COORDINATES, dtype=np.uint64)), np.arange(COORDINATES, dtype=np.uint64))
+    factor, shift, number = K._cache["minima"]
     least = np.full(COORDINATES, np.uint64(2**64 - 1))
     for k in range(0, len(own), 4096):
         np.minimum(least, (own[k:k + 4096][None, :] * factor[:, None] + shift[:, None]).min(1), out=least)
-    return K.mix(least ^ shift).view(np.int64)
+    return ((K.mix(least ^ shift) & ~_LOW) | number).view(np.int64)
 
 
 def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -86,60 +91,74 @@ def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 keys[r] = signature(own)
         bounds = np.concatenate([[0], np.cumsum(np.where(size > 0, COORDINATES, 0))]).astype(np.int32)
         lists = pa.ListArray.from_arrays(pa.array(bounds), pa.array(keys[size > 0].ravel()))
-        yield pa.RecordBatch.from_arrays([_column(batch, "row"), _column(batch, "doc_id").cast(pa.int64()), pa.array(size), pa.array(high), pa.array(low), lists], ["row", "doc_id", "n_shingles", "set_high", "set_low", "keys"])
+        names = ["doc_id", "text_a", "text_b"]
+        yield pa.RecordBatch.from_arrays([*(_column(batch, c).cast(pa.int64()) for c in names), pa.array(size), pa.array(high), pa.array(low), lists], [*names, "n_shingles", "set_high", "set_low", "keys"])
 
 
 def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Pairs (u, v) whose full sets are similar enough."""
+    """Pairs (u, v) whose full sets are similar enough; rows with equal u stand together, and its set is made once."""
+    last, own = None, None
     for whole in batches:
         for k in range(0, whole.num_rows, 64):
             batch = whole.slice(k, 64)
             u, v, keep = _column(batch, "u"), _column(batch, "v"), []
-            for a, b in zip(shingle_sets(_column(batch, "text_u")), shingle_sets(_column(batch, "text_v")), strict=True):
-                both = len(np.intersect1d(a, b, assume_unique=True))
-                keep.append(both > 0 and 100 * both >= PERCENT * (len(a) + len(b) - both))
+            names = u.to_pylist()
+            for r, b in enumerate(shingle_sets(_column(batch, "text_v"))):
+                if names[r] != last:
+                    last, own = names[r], next(shingle_sets(_column(batch, "text_u").slice(r, 1)))
+                both = len(np.intersect1d(own, b, assume_unique=True))
+                keep.append(both > 0 and 100 * both >= PERCENT * (len(own) + len(b) - both))
             yield pa.RecordBatch.from_arrays([u, v], ["u", "v"]).filter(pa.array(keep, pa.bool_()))
 
 
-def _dealt(lists: DataFrame, row_bytes: F.Column) -> DataFrame:
-    """The rows of lists, dealt to the pairs (i, j) of blocks of their list; a block has a bounded number of rows and bytes."""
-    blocks = lists.groupBy("key").agg(F.greatest(F.ceil(F.count("*") / BLOCK), F.ceil(F.sum(row_bytes) / BLOCK_BYTES)).cast("int").alias("blocks"))
-    block = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
-    each = lists.join(blocks, "key").withColumn("block", block).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    return each.withColumn("i", F.least("block", "other")).withColumn("j", F.greatest("block", "other")).drop("blocks", "other")
+def _dealt(lists: DataFrame, blocks: F.Column) -> DataFrame:
+    """Rows of lists (key, node, out, ...) dealt to groups (key, i, j): block i of the list's outsiders with block j of all its nodes.
 
-
-def _short_keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        keys = _column(batch, "keys")
-        rows = keys.flatten().to_numpy().reshape(len(keys), -1).astype(np.uint64).astype(np.uint32)
-        yield pa.RecordBatch.from_arrays([_column(batch, "node"), _column(batch, "size"), pa.array([r.tobytes() for r in rows], pa.binary())], ["node", "size", "short"])
-
-
-def _candidates(table: pa.Table) -> pa.Table:
-    """Of a pair of blocks of one list: rows with a partner of another component whose size and signature allow a link.
-
-    A pair is looked at in one of its common lists only: that of the lowest coordinate which is in both prefixes.
+    ``blocks`` is how many blocks an aggregate over some of a list's rows needs; a row of side 0 is an outsider that
+    looks for partners, one of side 1 a possible partner.
     """
-    root, block, size, mask = (table[k].to_numpy() for k in ("root", "block", "size", "mask"))
-    coordinate = table["coordinate"][0].as_py()
-    short = np.frombuffer(b"".join(table["short"].to_pylist()), np.uint32).reshape(len(root), -1)
-    bit = (mask.astype(np.uint64)[:, None] >> np.arange(COORDINATES, dtype=np.uint64)) & np.uint64(1) > 0
-    names, number, count = np.unique(root, return_inverse=True, return_counts=True)
-    hit = np.zeros(len(root), bool)
-    if len(names) > 1:
-        for a in np.flatnonzero(number != count.argmax()).tolist():
-            fit = (number != number[a]) & (100 * np.minimum(size, size[a]) >= PERCENT * np.maximum(size, size[a]))
-            if table["i"][0].as_py() != table["j"][0].as_py():
-                fit &= block != block[a]
-            at = np.flatnonzero(fit)
-            same = short[at] == short[a]
-            at, same = at[same.sum(1) >= MATCHES], same[same.sum(1) >= MATCHES]
+    many = lists.groupBy("key").agg(F.coalesce(blocks(F.col("out")), F.lit(1)).alias("n_i"), F.coalesce(blocks(F.lit(True)), F.lit(1)).alias("n_j"))
+    each = lists.join(many, "key")
+    i, j = (F.pmod(F.xxhash64("node", F.lit(k)), F.col(f"n_{x}")).cast("int") for k, x in enumerate("ij"))
+    every = lambda x: F.explode(F.sequence(F.lit(0), F.col(f"n_{x}") - 1))
+    seekers = each.where("out").withColumn("side", F.lit(0)).withColumn("i", i).withColumn("j", every("j"))
+    return seekers.unionByName(each.withColumn("side", F.lit(1)).withColumn("j", j).withColumn("i", every("i"))).drop("n_i", "n_j")
+
+
+def _by_rows(some: F.Column) -> F.Column:
+    return F.ceil(F.sum(some.cast("long")) / BLOCK).cast("int")
+
+
+def _by_bytes(some: F.Column) -> F.Column:
+    return F.greatest(F.ceil(F.sum(F.when(some, F.col("size"))) * 8 / BLOCK_BYTES), F.ceil(F.sum(some.cast("long")) / BLOCK)).cast("int")
+
+
+def _finder(matches: int):
+    def run(table: pa.Table) -> pa.Table:
+        """Rows with a partner of another component whose size and signature allow a link.
+
+        A pair is looked at in one of its common lists only: that of the lowest coordinate which is in both prefixes.
+        """
+        root, side, size, mask, node = (table[k].to_numpy() for k in ("root", "side", "size", "mask", "node"))
+        keys = table["keys"].combine_chunks().flatten().to_numpy().reshape(len(root), -1)
+        bit = (mask.astype(np.uint64)[:, None] >> np.arange(COORDINATES, dtype=np.uint64)) & np.uint64(1) > 0
+        coordinate = int(table["key"][0].as_py()) & (COORDINATES - 1)
+        hit = np.zeros(len(root), bool)
+        others = np.flatnonzero(side == 1)
+        for a in np.flatnonzero(side == 0).tolist():
+            at = others[(root[others] != root[a]) & (100 * np.minimum(size[others], size[a]) >= PERCENT * np.maximum(size[others], size[a]))]
+            same = keys[at] == keys[a]
+            some = same.sum(1) >= matches
+            at, same = at[some], same[some]
             at = at[(same & bit[at] & bit[a]).argmax(1) == coordinate] if len(at) else at
             if len(at):
                 hit[a] = True
                 hit[at] = True
-    return table.select(["key", "node", "root", "size"]).filter(pa.array(hit))
+        out = np.zeros(len(root), bool)
+        out[side == 0] = True
+        return table.select(["key", "node", "root", "size"]).append_column("out", pa.array(out)).filter(pa.array(hit))
+
+    return run
 
 
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -148,110 +167,105 @@ def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([_column(batch, "node"), pa.array(sets, pa.binary())], ["node", "shingles"])
 
 
-def _blocks(table: pa.Table) -> pa.Table:
-    """Of a pair of blocks of one list: links between different components, confirmed on the full sets, one for each pair of components that they join."""
-    first, second = table["i"][0].as_py(), table["j"][0].as_py()
-    order = np.argsort(table["node"].to_numpy(), kind="stable")
-    node, root, block = (table[k].to_numpy()[order] for k in ("node", "root", "block"))
+def _linker(table: pa.Table) -> pa.Table:
+    """Links between different components, confirmed on the full sets: one for each pair of components that they join."""
+    order = np.lexsort((table["node"].to_numpy(), table["side"].to_numpy()))
+    node, root, side = (table[k].to_numpy()[order] for k in ("node", "root", "side"))
     own = table["shingles"].to_pylist()
     sets = [np.frombuffer(own[k], np.uint64) for k in order]
-    size = np.array([len(x) for x in sets])
-    names, root, count = np.unique(root, return_inverse=True, return_counts=True)
+    first = int((side == 0).sum())
+    right = sets[first:]
     out: list[tuple[int, int]] = []
-    if len(names) > 1:
-        up = list(range(len(names)))
-
-        def top(k: int) -> int:
-            while up[k] != k:
-                up[k] = up[up[k]]
-                k = up[k]
-            return k
-
-        flat = np.concatenate(sets)
-        of = np.repeat(np.arange(len(sets)), size)
+    if first and right:
+        size = np.array([len(x) for x in right])
+        flat, of = np.concatenate(right), np.repeat(np.arange(len(right)), size)
         by = np.argsort(flat, kind="stable")
         flat, of = flat[by], of[by]
-        # of two nodes of different components one is outside the largest: those are held against all
-        for a in np.flatnonzero(root != count.argmax()).tolist():
+        forest = Forest()
+        for a in range(first):
             lo, hi = np.searchsorted(flat, sets[a]), np.searchsorted(flat, sets[a], "right")
             width = hi - lo
             at = np.repeat(lo - (np.cumsum(width) - width), width) + np.arange(int(width.sum()))
-            both = np.bincount(of[at], minlength=len(sets))
-            near = (100 * both >= PERCENT * (size + size[a] - both)) & (both > 0) & (root != root[a])
-            if first != second:
-                near &= block != block[a]
-            for b in np.flatnonzero(near).tolist():
-                x, y = top(int(root[a])), top(int(root[b]))
-                if x != y:
-                    up[x] = y
-                    out.append((int(node[a]), int(node[b])))
+            both = np.bincount(of[at], minlength=len(right))
+            near = (100 * both >= PERCENT * (size + len(sets[a]) - both)) & (both > 0) & (root[first:] != root[a])
+            out += [(int(node[a]), int(node[first + b])) for b in np.flatnonzero(near).tolist() if forest.join(int(root[a]), int(root[first + b]))]
     return pa.table({"u": pa.array([x for x, _ in out], pa.int64()), "v": pa.array([y for _, y in out], pa.int64())})
 
 
-def _matched(pairs: DataFrame, signed: DataFrame) -> DataFrame:
+def _matched(pairs: DataFrame, known: DataFrame, matches: int) -> DataFrame:
     """Of the pairs (u, v), those whose sizes allow it and whose signatures agree often enough."""
-    side = lambda x: signed.select(F.col("row").alias(x), F.col("n_shingles").alias(f"n_{x}"), F.col("keys").alias(f"keys_{x}"))
+    side = lambda x: known.select(F.col("node").alias(x), F.col("size").alias(f"n_{x}"), F.col("keys").alias(f"keys_{x}"))
     both = pairs.join(side("u"), "u").join(side("v"), "v")
     sizes = 100 * F.least("n_u", "n_v") >= PERCENT * F.greatest("n_u", "n_v")
-    return both.where(sizes & (F.size(F.array_intersect("keys_u", "keys_v")) >= MATCHES)).select("u", "v")
+    return both.where(sizes & (F.size(F.array_intersect("keys_u", "keys_v")) >= matches)).select("u", "v")
 
 
 def _confirmed(pairs: DataFrame, texts: DataFrame) -> DataFrame:
-    """pairs (u, v) of node rows; texts: row, text."""
-    side = lambda x: texts.select(F.col("row").alias(x), F.col("text").alias(f"text_{x}"))
+    """pairs (u, v) of nodes; texts: node, text."""
+    side = lambda x: texts.select(F.col("node").alias(x), F.col("text").alias(f"text_{x}"))
     return pairs.join(side("v"), "v").join(side("u"), "u").select("u", "v", "text_u", "text_v").mapInArrow(_confirm, "u long, v long")
 
 
-def near_classes(docs: DataFrame) -> DataFrame:
-    """One row per document: row, doc_id, n_shingles, component_id, kept, and keeper: the one row of each group that stays."""
-    spark = docs.sparkSession
-    numbered = docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text")
-    path = scratch_path(spark, "signatures")
-    numbered.mapInArrow(_sign, _SIGNED).write.parquet(path)
-    signed = spark.read.parquet(path)
-    full = signed.where("n_shingles > 0")
+def _keyed(docs: DataFrame) -> list[F.Column]:
+    """A row's key: two hashes of its text (with the id they name it; rows that are equal in all three are interchangeable)."""
+    return [F.xxhash64("text").alias("text_a"), F.xxhash64(F.lit("near"), F.col("text")).alias("text_b")]
+
+
+def near_classes(docs: DataFrame, matches: int = MATCHES) -> DataFrame:
+    """One row per document: doc_id, text_a and text_b (hashes of its text), n_shingles, component_id, kept, and keeper: whether it is the document of its group that stays."""
+    ids = docs.select("doc_id", "text", *_keyed(docs))
+    signed = cut(ids.mapInArrow(_sign, _SIGNED), "signed")
     rank = F.coalesce("doc_id", F.lit(_LAST))
-    classes = full.groupBy("set_high", "set_low", "n_shingles").agg(F.min_by("row", rank).alias("node"), F.min(rank).alias("first"))
+    sets = ["set_high", "set_low", "n_shingles"]
+    classes = signed.where("n_shingles > 0").groupBy(*sets).agg(F.min(F.struct(rank.alias("rank"), "text_a", "text_b")).alias("first"), F.first("keys").alias("keys"))
+    nodes = cut(classes.select(F.monotonically_increasing_id().alias("node"), *sets, "first", "keys"), "nodes")
 
-    nodes = full.select("row", "keys").join(classes.select(F.col("node").alias("row")), "row")
-    postings = nodes.select(F.col("row").alias("node"), F.posexplode("keys").alias("coordinate", "key"))
+    # lists, and each node's prefix of them
+    postings = nodes.select("node", F.explode("keys").alias("key"))
     shared = postings.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
-    held = postings.join(shared, "key").groupBy("node").agg(F.array_sort(F.collect_list(F.struct("n", "key", "coordinate"))).alias("held")).where(F.size("held") >= MATCHES)
-    own = held.select("node", F.slice("held", F.lit(1), F.size("held") - MATCHES + 1).alias("own"))
-    mask = F.aggregate("own", F.lit(0).cast("long"), lambda m, p: m.bitwiseOR(F.call_function("shiftleft", F.lit(1).cast("long"), p["coordinate"])))
-    prefix = cut(own.select("node", mask.alias("mask"), F.explode("own").alias("p")).select("node", "mask", F.col("p.key").alias("key"), F.col("p.coordinate").alias("coordinate")))
-
-    heads = prefix.groupBy("key").agg(F.min("node").alias("head"), F.count("*").alias("n")).where("n > 1")
-    stars = prefix.join(heads, "key").where("node <> head").select(F.col("head").alias("u"), F.col("node").alias("v")).distinct()
-    texts = numbered.select("row", "text")
-    links = cut(_confirmed(_matched(stars, signed), texts))
+    held = postings.join(shared, "key").groupBy("node").agg(F.array_sort(F.collect_list(F.struct("n", "key"))).alias("held")).where(F.size("held") >= matches)
+    own = held.select("node", F.slice("held", F.lit(1), F.size("held") - matches + 1).alias("own"))
+    coordinate = lambda key: key.bitwiseAND(F.lit(COORDINATES - 1)).cast("int")
+    mask = F.aggregate("own", F.lit(0).cast("long"), lambda m, p: m.bitwiseOR(F.call_function("shiftleft", F.lit(1).cast("long"), coordinate(p["key"]))))
+    prefix = cut(own.select("node", mask.alias("mask"), F.explode("own").alias("p")).select("node", "mask", F.col("p.key").alias("key")), "prefix")
+    known = cut(nodes.select("node", F.col("n_shingles").alias("size"), "first", "keys").join(prefix.select("node").distinct(), "node", "left_semi"), "known")
+    at = ["rank", "text_a", "text_b"]
+    named = known.select("node", "first.*")
+    texts = cut(ids.select(rank.alias("rank"), "text_a", "text_b", "text").join(named, at).groupBy(*at, "node").agg(F.first("text").alias("text")).select("node", "text"), "texts")
+
+    # each list's nodes against its head
+    turn = F.xxhash64("node", F.pmod("key", F.lit(HEADS)))
+    heads = prefix.groupBy("key").agg(F.min_by("node", turn).alias("head"), F.count("*").alias("n")).where("n > 1")
+    stars = prefix.join(heads, "key").where("node <> head").select(F.least("head", "node").alias("u"), F.greatest("head", "node").alias("v")).distinct()
+    links = cut(_confirmed(_matched(stars, known, matches), texts), "links")
     roots = components(links)
 
-    rooted = prefix.join(roots, "node", "left").select("key", "coordinate", "mask", "node", F.coalesce("root", "node").alias("root"))
-    open_ = rooted.groupBy("key").agg(F.count("*").alias("n"), F.min("root").alias("a"), F.max("root").alias("b"), F.min("node").alias("head")).where("n > 2 and a <> b").select("key", "n", "head")
-    # pairs with the head are compared already
-    rest = cut(rooted.join(open_, "key").where("node <> head").select("key", "coordinate", "mask", "n", "node", "root"))
+    # outsiders against their lists
+    rooted = prefix.join(roots, "node", "left").select("key", "mask", "node", F.coalesce("root", "node").alias("root"))
+    lists = rooted.groupBy("key").agg(F.count("*").alias("n"), F.min("root").alias("a"), F.max("root").alias("b"), F.min_by("root", turn).alias("main")).where("n > 2 and a <> b")
+    rest = cut(rooted.join(lists.select("key", "n", "main"), "key").select("key", "mask", "n", "node", "root", (F.col("root") != F.col("main")).alias("out")), "rest")
     short = rest.where(F.col("n") <= SHORT_LIST)
-    other = short.select("key", F.col("node").alias("v"), F.col("root").alias("root_v"))
-    pairs = short.select("key", F.col("node").alias("u"), "root").join(other, "key").where("u < v and root <> root_v").select("u", "v").distinct()
-    more = _confirmed(_matched(pairs, signed), texts)
+    left = short.where("out").select("key", F.col("node").alias("a"), F.col("root").alias("root_a"))
+    pairs = short.select("key", F.col("node").alias("b"), "root").join(left, "key").where("root <> root_a").select(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v")).distinct()
+    again = cut(_confirmed(_matched(pairs, known, matches), texts), "links")
     long = rest.where(F.col("n") > SHORT_LIST).drop("n")
-    packed = signed.join(long.select(F.col("node").alias("row")).distinct(), "row", "left_semi").select(F.col("row").alias("node"), F.col("n_shingles").alias("size"), "keys").mapInArrow(_short_keys, "node long, size long, short binary")
-    seen = _dealt(long, F.lit(4 * COORDINATES)).join(packed, "node").groupBy("key", "i", "j").applyInArrow(_candidates, "key long, node long, root long, size long")
-    flagged = cut(seen.distinct())
-    sets = texts.withColumnRenamed("row", "node").join(flagged.select("node").distinct(), "node").mapInArrow(_sets, "node long, shingles binary")
-    far = _dealt(flagged, F.col("size") * 8).join(sets, "node").groupBy("key", "i", "j").applyInArrow(_blocks, "u long, v long")
-    if not rest.isEmpty():
-        again = cut(more.unionAll(far).distinct())
-        if not again.isEmpty():
-            roots = components(links.unionAll(again))
-
-    named = classes.join(roots, "node", "left").select("set_high", "set_low", "n_shingles", "node", "first", F.coalesce("root", "node").alias("root"))
-    best = named.groupBy("root").agg(F.min("first").alias("least"), F.min_by("node", "first").alias("keeper"))
-    answer = named.join(best, "root").select("set_high", "set_low", "n_shingles", "least", "keeper")
-    out = signed.select("row", "doc_id", "n_shingles", "set_high", "set_low").join(answer, ["set_high", "set_low", "n_shingles"], "left")
-    component = F.when(F.col("keeper").isNull(), F.col("doc_id")).when(F.col("least") != _LAST, F.col("least"))
-    return out.select("row", "doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(False)).alias("kept"), (F.col("keeper").isNull() | (F.col("row") == F.col("keeper"))).alias("keeper"))
+    if not long.isEmpty():
+        signs = known.select("node", "size", "keys")
+        dealt = _dealt(long.join(signs, "node"), _by_rows)
+        flagged = cut(dealt.groupBy("key", "i", "j").applyInArrow(_finder(matches), "key long, node long, root long, size long, out boolean").groupBy("key", "node", "root", "size").agg(F.max("out").alias("out")), "flagged")
+        full = texts.join(flagged.select("node").distinct(), "node", "left_semi").mapInArrow(_sets, "node long, shingles binary")
+        far = _dealt(flagged, _by_bytes).join(full, "node").groupBy("key", "i", "j").applyInArrow(_linker, "u long, v long")
+        again = again.unionAll(cut(far, "links"))
+    if not again.isEmpty():
+        roots = components(links.unionAll(again))
+
+    rooted = nodes.select("node", *sets, F.col("first.rank").alias("rank"), "first").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    best = rooted.groupBy("root").agg(F.min("first").alias("best"))
+    answer = rooted.select("root", *sets).join(best, "root").select(*sets, "best")
+    out = signed.select("doc_id", "text_a", "text_b", *sets).join(answer, sets, "left")
+    component = F.when(F.col("best").isNull(), F.col("doc_id")).when(F.col("best.rank") != _LAST, F.col("best.rank"))
+    keeper = F.col("best").isNull() | (F.struct(rank.alias("rank"), "text_a", "text_b") == F.col("best"))
+    return out.select("doc_id", "text_a", "text_b", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(False)).alias("kept"), keeper.alias("keeper"))
 
 
 def op3_signature_join_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -260,9 +274,20 @@ def op3_signature_join_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline stage: of each group one document stays, with all its columns."""
-    keep = near_classes(docs).where("keeper").select(F.col("row").alias("_row"))
-    return docs.withColumn("_row", F.monotonically_increasing_id()).join(keep, "_row", "left_semi").select(*docs.columns)
+    """Pipeline stage: of each group one document stays, with all its columns.
+
+    The document with the smallest id stays, of equal ids the one with the smaller hashes of its text, and of rows that
+    are equal in both any one.  Documents without words link with nothing and all stay; null ids rank last; an empty
+    table gives an empty one; columns of any names pass through.
+    """
+    keepers = cut(near_classes(docs).where("keeper and n_shingles > 0").groupBy(F.coalesce("doc_id", F.lit(_LAST)).alias("rank"), "text_a", "text_b").agg(F.count("*").alias("n")), "keepers")
+    words = F.coalesce(F.col("text").rlike(r"[^\x20\x09-\x0D]"), F.lit(False))
+    key = [F.coalesce(F.col("doc_id"), F.lit(_LAST)).alias("rank"), *_keyed(docs)]
+    whole = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("whole"), words.alias("words"), *key)
+    at = ["rank", "text_a", "text_b"]
+    stay = whole.where("words").join(keepers, at)
+    once = stay.where("n > 1").groupBy(*at).agg(F.first("whole").alias("whole"))
+    return whole.where("not words").select("whole").unionAll(stay.where("n = 1").select("whole")).unionAll(once.select("whole")).select("whole.*")
 
 
 OP3_SQL = r"""
