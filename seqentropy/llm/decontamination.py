@@ -2,22 +2,23 @@
 
 Of every ``w`` neighbouring hashes of k-word grams the smallest is kept as a fingerprint, in the benchmark and in
 the documents alike.  Two texts that share ``window = k + w - 1`` words therefore share a fingerprint: nothing that
-long is missed.  A document's fingerprints are looked up among the benchmark's, and each hit is extended: all windows
-around it are compared, and the words of those that occur in an item are marked.
+long is missed.  A document's fingerprints are joined to the benchmark's, and each hit is extended to the whole window
+around it (128-bit hashes of all its words); the words of windows that occur in an item are marked.
 
-Items shorter than a window are one window of their own length, compared at every place.
+Items shorter than a window are one window of their own length, which is its own fingerprint.
 
-The benchmark is dealt with in blocks of at most ``BLOCK_WORDS`` words (a stated bound: one block is what an executor
-holds), each against all documents, so nothing grows with the documents and there is no shuffle of documents.
+Before the join, a filter of a fixed size (``2 ** FILTER_BITS`` bits of the benchmark's fingerprints, whatever their
+number) drops the documents' windows that can't match; a crowded filter only lets more of them through to the join.
+Nothing else of the benchmark leaves its table, and there is one plan for benchmarks of any size.  Equal texts have equal
+hits, so hits are gathered by text: copies cost one group.
 
 Defined cases: a null or empty text has no words, hits nothing and is not contaminated; items with a null id or without
 words are left out; equal items with different ids are all reported; an id that occurs in several rows is one item;
-repeated document rows are each judged; other columns are ignored.
+repeated document rows are each judged; empty tables give no rows, or no hits; other columns are ignored.
 """
 
 from __future__ import annotations
 
-import hashlib
 import sys
 from collections.abc import Iterator
 
@@ -28,220 +29,132 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import read
-
-WINDOW, GRAM = 10, 5
-BLOCK_WORDS = 2_000_000
-HIT_SCHEMA = "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, n_chars_hit long"
-_PART_SCHEMA = "doc_id long, row long, n_words long, starts array<int>, ends array<int>, items array<string>"
-
-
-class Items:
-    """The windows and fingerprints of a block of items."""
-
-    def __init__(self, items: list[tuple[str, str]], window: int = WINDOW, gram: int = GRAM):
-        self.window, self.gram, self.w = window, gram, window - gram + 1
-        prints, full, short = [], {}, {}
-        piece = next(K.pieces(pa.array([t for _, t in items], pa.string()), 1 << 62), None)
-        if piece is not None:
-            words = K.Words(piece, "alnum", True)
-            h = words.hashes()
-            for r, (name, _) in enumerate(items):
-                own = h[words.bound[r]:words.bound[r + 1]]
-                if not len(own):
-                    continue
-                size = min(len(own), window)
-                into = full if size == window else short.setdefault(size, {})
-                for g in K.grams(own, size).tolist():
-                    into.setdefault(g, set()).add(name)
-                if size == window:
-                    g = K.grams(own, gram)
-                    prints.append(g[K.sliding_min(g, self.w)])
-        self.prints = np.unique(np.concatenate(prints)) if prints else np.zeros(0, np.uint64)
-        self.tables = {window: full, **short}
-        self.sorted = {k: np.array(sorted(v), np.uint64) for k, v in self.tables.items()}
-        self.bits = {k: _bits(v) for k, v in (*self.sorted.items(), ("prints", self.prints))}
-
-    def find(self, h: np.ndarray, which) -> np.ndarray:
-        """Positions of h that are in a table."""
-        known = self.prints if which == "prints" else self.sorted[which]
-        at = np.flatnonzero(self.bits[which][(h >> np.uint64(44)).astype(np.int64)])
-        if len(at):
-            got = h[at]
-            at = at[known[np.minimum(np.searchsorted(known, got), len(known) - 1)] == got]
-        return at
-
-
-def _bits(known: np.ndarray) -> np.ndarray:
-    bits = np.zeros(1 << 20, bool)
-    bits[(known >> np.uint64(44)).astype(np.int64)] = True
-    return bits
-
-
-def piece_hits(piece: K.Piece, items: Items) -> tuple[K.Words, list[tuple[int, int, int, int]]]:
-    """(row, first word, length, hash) of every window of an item in the piece; words count from the row's first."""
-    words = K.Words(piece, "alnum", True)
-    h, found = words.hashes(), []
-    row = words.row()
-    for size, known in items.tables.items():
-        if not known:
-            continue
-        g = K.grams(h, size)
-        ok = K.within(words.bound, size, len(g))
-        if size == items.window:
-            small = K.grams(h, items.gram)
-            chosen = np.unique(K.sliding_min(np.where(K.within(words.bound, items.gram, len(small)), small, np.uint64(2**64 - 1)), items.w))
-            seen = chosen[items.find(small[chosen], "prints")]
-            near = np.unique((seen[:, None] - np.arange(items.w)[None, :]).ravel())
-            near = near[(near >= 0) & (near < len(g))]
-            near = near[ok[near]]
-        else:
-            near = np.flatnonzero(ok)
-        at = near[items.find(g[near], size)]
-        found += [(int(row[i]), int(i - words.bound[row[i]]), size, int(g[i])) for i in at]
-    return words, found
-
-
-def _column(batch: pa.RecordBatch, name: str) -> pa.Array:
-    return batch.column(batch.schema.get_field_index(name))
+from .common import cut, read, wrapped
+
+WINDOW, GRAM, FILTER_BITS = 10, 5, 24
+_SECOND = np.uint64(0x5851F42D4C957F2D)
+_PLACE = "size int, mark long, high long, low long"
+_SCANNED = "doc_id long, text_a long, text_b long, n_words long, places array<struct<start: int, size: int, mark: long, high: long, low: long>>"
+_WINDOW = ["size", "mark", "high", "low"]
+
 
+def _column(batch, name: str):
+    return batch.column(batch.schema.get_field_index(name))
 
-def item_digest(names) -> str:
-    return hashlib.sha256(",".join(sorted(names)).encode()).hexdigest()
 
+def windows(words: K.Words, size: int, window: int, gram: int) -> tuple[np.ndarray, ...]:
+    """Of all windows of ``size`` words that stay in their row: first word, fingerprint, and the two halves of the window's hash."""
+    h = words.hashes()
+    n = max(0, len(h) - size + 1)
+    at = np.flatnonzero(K.within(words.bound, size, n))
+    high, low = K.grams(h, size)[at], K.grams(K.mix(h ^ _SECOND), size)[at]
+    if size < window:
+        return at, high, high, low
+    small = K.grams(h, gram)
+    return at, small[K.sliding_min(small, window - gram + 1)][at] if len(at) else high, high, low
 
-def _whole(items: Items):
-    """Kernel where one block holds all items: final rows."""
-    none = item_digest(())
 
+def _item_windows(window: int, gram: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            n = batch.num_rows
-            counts, hit, items_n, chars = (np.zeros(n, np.int64) for _ in range(4))
-            digests = [none] * n
+            names = _column(batch, "item").to_pylist()
             for piece in K.pieces(_column(batch, "text")):
-                words, found = piece_hits(piece, items)
-                counts[piece.first:piece.first + piece.n] = words.count
-                by_row: dict[int, list] = {}
-                for f in found:
-                    by_row.setdefault(f[0], []).append(f)
-                for r, own in by_row.items():
-                    names = set().union(*(items.tables[size][g] for _, _, size, g in own))
-                    marked = np.zeros(words.count[r] + 1, np.int64)
-                    for _, start, size, _ in own:
-                        marked[start] += 1
-                        marked[start + size] -= 1
-                    inside = np.cumsum(marked)[:-1] > 0
-                    w = np.flatnonzero(inside) + words.bound[r]
-                    k = piece.first + r
-                    hit[k], items_n[k], digests[k] = inside.sum(), len(names), item_digest(names)
-                    chars[k] = (words.end[w] - words.start[w]).sum()
-            yield pa.RecordBatch.from_arrays([_column(batch, "doc_id").cast(pa.int64()), pa.array(counts), pa.array(hit), pa.array(items_n), pa.array(digests, pa.string()), pa.array(hit > 0), pa.array(chars)], ["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated", "n_chars_hit"])
+                words = K.Words(piece, "alnum", True)
+                for size in sorted({min(window, int(c)) for c in words.count if c}):
+                    at, mark, high, low = windows(words, size, window, gram)
+                    row = np.searchsorted(words.bound, at, "right") - 1
+                    own = np.minimum(words.count[row], window) == size
+                    k = [names[piece.first + r] for r in row[own].tolist()]
+                    yield pa.RecordBatch.from_arrays([pa.array(k, pa.string()), pa.array(np.full(len(k), size, np.int32)), *(pa.array(x[own].view(np.int64)) for x in (mark, high, low))], ["item", *_WINDOW])
 
     return run
 
 
-def _part(items: Items):
-    """Kernel of one block among several: the hits alone, of rows that have some."""
+def item_windows(benchmark: DataFrame, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
+    """size, mark (fingerprint), high, low, items: every distinct window of the items, with the sorted ids of those that hold it."""
+    items = benchmark.where("item_id is not null and text is not null").select(F.col("item_id").cast("string").alias("item"), "text")
+    rows = items.mapInArrow(_item_windows(window, gram), f"item string, {_PLACE}")
+    return rows.groupBy(*_WINDOW).agg(F.array_sort(F.collect_set("item")).alias("items"))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            rows = {k: [] for k in ("row", "starts", "ends", "items")}
-            ids = _column(batch, "row").to_pylist()
-            for piece in K.pieces(_column(batch, "text")):
-                _, found = piece_hits(piece, items)
-                for r in sorted({f[0] for f in found}):
-                    own = [f for f in found if f[0] == r]
-                    rows["row"].append(ids[piece.first + r])
-                    rows["starts"].append([f[1] for f in own])
-                    rows["ends"].append([f[1] + f[2] for f in own])
-                    rows["items"].append(sorted(set().union(*(items.tables[f[2]][f[3]] for f in own))))
-            yield pa.RecordBatch.from_arrays([pa.array(rows["row"], pa.int64()), pa.array(rows["starts"], pa.list_(pa.int32())), pa.array(rows["ends"], pa.list_(pa.int32())), pa.array(rows["items"], pa.list_(pa.string()))], ["row", "starts", "ends", "items"])
 
-    return run
+def mark_filter(known: DataFrame, bits: int = FILTER_BITS) -> np.ndarray:
+    """The fingerprints' first bits as a bit set of a fixed size."""
+    first = F.shiftrightunsigned("mark", 64 - bits)
+    cells = known.groupBy(F.shiftrightunsigned(first, 6).cast("int").alias("cell")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), first.bitwiseAND(F.lit(63)).cast("int"))).alias("set")).toArrow()
+    out = np.zeros(1 << max(0, bits - 6), np.int64)
+    out[cells["cell"].to_numpy()] = cells["set"].to_numpy()
+    return out
 
 
-def _merge(schema_names: list[str]):
+def _scanner(sizes: list[int], marks: np.ndarray, bits: int, window: int, gram: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = np.unpackbits(marks.view(np.uint8), bitorder="little").view(bool)
         for batch in batches:
-            out = []
-            for r in batch.to_pylist():
-                spans = sorted((a, b) for part in r["parts"] or () for a, b in zip(part["starts"], part["ends"], strict=True))
-                names = {x for part in r["parts"] or () for x in part["items"]}
-                total, last = 0, 0
-                for a, b in spans:
-                    total += max(0, b - max(a, last))
-                    last = max(last, b)
-                out.append({"doc_id": r["doc_id"], "n_words": r["n_words"], "n_hit": total, "n_items": len(names), "items_sha256": item_digest(names), "contaminated": total > 0, "n_chars_hit": None})
-            yield pa.RecordBatch.from_pylist(out, pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_hit", pa.int64()), ("n_items", pa.int64()), ("items_sha256", pa.string()), ("contaminated", pa.bool_()), ("n_chars_hit", pa.int64())]))
+            n = batch.num_rows
+            count, found = np.zeros(n, np.int64), []
+            for piece in K.pieces(_column(batch, "text")):
+                words = K.Words(piece, "alnum", True)
+                count[piece.first:piece.first + piece.n] = words.count
+                for size in sizes:
+                    at, mark, high, low = windows(words, size, window, gram)
+                    may = known[(mark >> np.uint64(64 - bits)).astype(np.int64)]
+                    at, row = at[may], np.searchsorted(words.bound, at[may], "right") - 1
+                    found.append((row + piece.first, at - words.bound[row], np.full(len(at), size), *(x[may].view(np.int64) for x in (mark, high, low))))
+            columns = [np.concatenate(c) for c in zip(*found, strict=True)] if found else [np.zeros(0, np.int64)] * 6
+            order = np.argsort(columns[0], kind="stable")
+            bound = np.concatenate([[0], np.cumsum(np.bincount(columns[0], minlength=n))]).astype(np.int32)
+            place = pa.StructArray.from_arrays([pa.array(c[order].astype(t)) for c, t in zip(columns[1:], [np.int32, np.int32, np.int64, np.int64, np.int64], strict=True)], ["start", *_WINDOW])
+            yield pa.RecordBatch.from_arrays([_column(batch, "doc_id").cast(pa.int64()), _column(batch, "text_a"), _column(batch, "text_b"), pa.array(count), pa.ListArray.from_arrays(pa.array(bound), place)], ["doc_id", "text_a", "text_b", "n_words", "places"])
 
     return run
 
 
-def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        counts = np.zeros(batch.num_rows, np.int64)
-        for piece in K.pieces(_column(batch, "text")):
-            counts[piece.first:piece.first + piece.n] = K.Words(piece, "alnum", True).count
-        yield pa.RecordBatch.from_arrays([_column(batch, "doc_id").cast(pa.int64()), _column(batch, "row"), pa.array(counts)], ["doc_id", "row", "n_words"])
+def _text_key() -> list[F.Column]:
+    return [F.xxhash64("text").alias("text_a"), F.xxhash64(F.lit("bench"), F.col("text")).alias("text_b")]
+
+
+def _hits(docs: DataFrame, benchmark: DataFrame, window: int, gram: int, bits: int) -> tuple[DataFrame, DataFrame]:
+    """The scanned documents (with their words and places that may match), and for every text with hits its spans and items."""
+    known = cut(item_windows(benchmark, window, gram), "bench-windows")
+    sizes = sorted(r.size for r in known.select("size").distinct().collect())
+    scanner = _scanner(sizes, mark_filter(known, bits), bits, window, gram)
+    scanned = cut(docs.select("doc_id", "text", *_text_key()).mapInArrow(scanner, _SCANNED), "bench-places")
+    places = scanned.select("text_a", "text_b", F.explode("places").alias("p")).select("text_a", "text_b", "p.*")
+    hits = places.join(known, _WINDOW).groupBy("text_a", "text_b").agg(F.collect_set(F.struct("start", (F.col("start") + F.col("size")).alias("end"))).alias("spans"), F.collect_set("items").alias("items"))
+    return scanned, hits
 
 
-def item_blocks(benchmark: DataFrame, block_words: int = BLOCK_WORDS) -> Iterator[list[tuple[str, str]]]:
-    """Items in blocks of a bounded number of characters (no word is shorter than one), one block on the driver at a time."""
-    items = benchmark.where("item_id is not null and text is not null").select(F.col("item_id").cast("string").alias("item_id"), "text")
-    block, size = [], 0
-    for row in items.toLocalIterator():
-        if block and size + len(row.text) > 4 * block_words:
-            yield block
-            block, size = [], 0
-        block.append((row.item_id, row.text))
-        size += len(row.text)
-    yield block
+def _covered(spans: F.Column) -> F.Column:
+    """How many words lie in at least one of the spans."""
+    zero = F.struct(F.lit(0).cast("long").alias("words"), F.lit(0).alias("last"))
+    step = lambda a, s: F.struct((a["words"] + F.greatest(F.lit(0), s["end"] - F.greatest(s["start"], a["last"]))).alias("words"), F.greatest(a["last"], s["end"]).alias("last"))
+    return F.aggregate(F.array_sort(spans), zero, step)["words"]
 
 
-def contamination(docs: DataFrame, benchmark: DataFrame, block_words: int = BLOCK_WORDS, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
+def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, gram: int = GRAM, bits: int = FILTER_BITS) -> DataFrame:
     """One row per document: its words, those inside windows of the benchmark, and the items they are of."""
-    docs = docs.select("doc_id", "text")
-    blocks = item_blocks(benchmark, block_words)
-    first, second = next(blocks), next(blocks, None)
-    if second is None:
-        return docs.mapInArrow(_whole(Items(first, window, gram)), HIT_SCHEMA)
-    rows = docs.select("doc_id", "text", F.monotonically_increasing_id().alias("row"))
-    parts = None
-    for block in (first, second, *blocks):
-        part = rows.select("row", "text").mapInArrow(_part(Items(block, window, gram)), "row long, starts array<int>, ends array<int>, items array<string>")
-        parts = part if parts is None else parts.unionAll(part)
-    hits = parts.groupBy("row").agg(F.collect_list(F.struct("starts", "ends", "items")).alias("parts"))
-    counted = rows.mapInArrow(_count, "doc_id long, row long, n_words long").join(hits, "row", "left")
-    return counted.select("doc_id", "n_words", "parts").mapInArrow(_merge([]), HIT_SCHEMA)
+    scanned, hits = _hits(docs, benchmark, window, gram, bits)
+    names = F.array_sort(F.array_distinct(F.flatten("items")))
+    named = hits.select("text_a", "text_b", _covered(F.col("spans")).alias("n_hit"), F.size(names).cast("long").alias("n_items"), F.sha2(F.array_join(names, ",").cast("binary"), 256).alias("items_sha256"))
+    out = scanned.select("doc_id", "n_words", "text_a", "text_b").join(named, ["text_a", "text_b"], "left")
+    zero, none = F.lit(0).cast("long"), F.sha2(F.lit("").cast("binary"), 256)
+    return out.select("doc_id", "n_words", F.coalesce("n_hit", zero).alias("n_hit"), F.coalesce("n_items", zero).alias("n_items"), F.coalesce("items_sha256", none).alias("items_sha256"), F.col("n_hit").isNotNull().alias("contaminated"))
 
 
 def op1_winnowing_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All ``documents`` against all of ``benchmark``."""
-    found = contamination(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark"))
-    return found.drop("n_chars_hit")
+    return contamination(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark"))
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline stage: documents without a window of the benchmark stay, with all their columns."""
-    bench = read(spark, sf_dir, "benchmark")
-    blocks = item_blocks(bench)
-    out = docs
-    for block in blocks:
-        out = _filtered(out, Items(block))
-    return out
-
-
-def _filtered(docs: DataFrame, items: Items) -> DataFrame:
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            clean = np.ones(batch.num_rows, bool)
-            for piece in K.pieces(_column(batch, "text")):
-                _, found = piece_hits(piece, items)
-                clean[[piece.first + f[0] for f in found]] = False
-            yield batch.filter(pa.array(clean))
-
-    return docs.mapInArrow(run, docs.schema)
+    """Pipeline stage: documents without a window of the benchmark stay, with all their columns.
+
+    Null and empty texts stay; every copy of a contaminated text goes; without items, or without documents, all that is
+    there stays; columns of any names pass through.
+    """
+    _, hits = _hits(docs, read(spark, sf_dir, "benchmark"), WINDOW, GRAM, FILTER_BITS)
+    whole = wrapped(docs).select("whole", F.xxhash64("whole.text").alias("text_a"), F.xxhash64(F.lit("bench"), F.col("whole.text")).alias("text_b"))
+    return whole.join(cut(hits.select("text_a", "text_b"), "bench-hits"), ["text_a", "text_b"], "left_anti").select("whole.*")
 
 
 OP1_SQL = r"""

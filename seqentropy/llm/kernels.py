@@ -2,7 +2,8 @@
 
 A batch's text column is one byte buffer with offsets, so every word of many documents is found and hashed
 by a few passes of numpy.  Batches are cut in pieces of about ``PIECE`` bytes, which bounds the memory of a
-Python worker whatever the batch size (one text longer than that is a piece of its own).
+Python worker whatever the batch size (one text longer than that is a piece of its own; hashes are taken in stretches of
+it, and what is kept besides is a few bytes for each of its bytes, and some numbers for each of its words).
 
 All functions here are pickled by value: executors need numpy and pyarrow, not this package.
 """
@@ -79,15 +80,11 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    have = _cache.get("powers")
-    if have is None or len(have[0]) < n:
-        inverse = pow(_MULT, -1, 1 << 64)
-        size = max(n, PIECE + (PIECE >> 2))
-        have = tuple(np.cumprod(np.concatenate([np.ones(1, np.uint64), np.full(size - 1, m, np.uint64)]), dtype=np.uint64) for m in (_MULT, inverse))
-        if n <= 4 * PIECE:
-            _cache["powers"] = have
-    return have
+def _powers() -> tuple[np.ndarray, np.ndarray]:
+    """Powers of the running hash's factor and of its inverse, for stretches of up to 2 * PIECE values."""
+    if "powers" not in _cache:
+        _cache["powers"] = tuple(np.cumprod(np.concatenate([np.ones(1, np.uint64), np.full(2 * PIECE, m, np.uint64)]), dtype=np.uint64) for m in (_MULT, pow(_MULT, -1, 1 << 64)))
+    return _cache["powers"]
 
 
 class Words:
@@ -112,25 +109,55 @@ class Words:
         self.end = np.flatnonzero(ends) + 1
         self.bound = np.searchsorted(self.start, piece.off)
         self.count = np.diff(self.bound)
+        self._hashes: np.ndarray | None = None
 
     def row(self) -> np.ndarray:
         return np.repeat(np.arange(self.piece.n), self.count)
 
     def hashes(self) -> np.ndarray:
-        return span_hashes(self.body, self.start, self.end)
+        if self._hashes is None:
+            self._hashes = span_hashes(self.body, self.start, self.end)
+        return self._hashes
 
 
 def span_hashes(body: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
     """64-bit hashes of byte spans."""
-    return run_hashes(table("byte")[body], start, end)
+    return run_hashes(body, start, end, table("byte"))
 
 
-def run_hashes(values: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """64-bit hashes of runs of 64-bit values: differences of one running polynomial, shifted back to power 0."""
-    power, back = _powers(len(values) + 1)
-    run = np.zeros(len(values) + 1, np.uint64)
-    np.cumsum(values * power[:len(values)], out=run[1:])
-    return mix((run[end] - run[start]) * back[start] + (end - start).astype(np.uint64))
+def run_hashes(values: np.ndarray, start: np.ndarray, end: np.ndarray, of: np.ndarray | None = None) -> np.ndarray:
+    """64-bit hashes of runs of 64-bit values (of ``of[values]``, if given): differences of one running polynomial, shifted back to power 0.
+
+    Runs stand in order and don't overlap; they are taken in stretches of about ``PIECE`` values, so a very long text
+    needs no more memory than that besides its words.
+    """
+    power, back = _powers()
+    out, lo, n = np.empty(len(start), np.uint64), 0, len(start)
+    while lo < n:
+        base = int(start[lo])
+        hi = max(lo + 1, int(np.searchsorted(end, base + PIECE, "right")))
+        stop = int(end[hi - 1])
+        if stop - base > 2 * PIECE:
+            out[lo] = _long_run(values, base, stop, of)
+            lo += 1
+            continue
+        own = values[base:stop] if of is None else of[values[base:stop]]
+        run = np.zeros(len(own) + 1, np.uint64)
+        np.cumsum(own * power[:len(own)], out=run[1:])
+        a, b = start[lo:hi] - base, end[lo:hi] - base
+        out[lo:hi] = (run[b] - run[a]) * back[a] + (b - a).astype(np.uint64)
+        lo = hi
+    return mix(out)
+
+
+def _long_run(values: np.ndarray, start: int, end: int, of: np.ndarray | None) -> np.uint64:
+    power, _ = _powers()
+    total, mask = 0, (1 << 64) - 1
+    for k in range(start, end, PIECE):
+        own = values[k:min(end, k + PIECE)]
+        own = own if of is None else of[own]
+        total += int(np.add.reduce(own * power[:len(own)])) * pow(_MULT, k - start, 1 << 64)
+    return np.uint64((total + end - start) & mask)
 
 
 def grams(h: np.ndarray, k: int) -> np.ndarray:

@@ -206,14 +206,14 @@ def _confirmed(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     return pairs.join(side("v"), "v").join(side("u"), "u").select("u", "v", "text_u", "text_v").mapInArrow(_confirm, "u long, v long")
 
 
-def _keyed(docs: DataFrame) -> list[F.Column]:
+def _keyed(text: F.Column) -> list[F.Column]:
     """A row's key: two hashes of its text (with the id they name it; rows that are equal in all three are interchangeable)."""
-    return [F.xxhash64("text").alias("text_a"), F.xxhash64(F.lit("near"), F.col("text")).alias("text_b")]
+    return [F.xxhash64(text).alias("text_a"), F.xxhash64(F.lit("near"), text).alias("text_b")]
 
 
 def near_classes(docs: DataFrame, matches: int = MATCHES) -> DataFrame:
     """One row per document: doc_id, text_a and text_b (hashes of its text), n_shingles, component_id, kept, and keeper: whether it is the document of its group that stays."""
-    ids = docs.select("doc_id", "text", *_keyed(docs))
+    ids = docs.select("doc_id", "text", *_keyed(F.col("text")))
     signed = cut(ids.mapInArrow(_sign, _SIGNED), "signed")
     rank = F.coalesce("doc_id", F.lit(_LAST))
     sets = ["set_high", "set_low", "n_shingles"]
@@ -281,9 +281,9 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
     table gives an empty one; columns of any names pass through.
     """
     keepers = cut(near_classes(docs).where("keeper and n_shingles > 0").groupBy(F.coalesce("doc_id", F.lit(_LAST)).alias("rank"), "text_a", "text_b").agg(F.count("*").alias("n")), "keepers")
-    words = F.coalesce(F.col("text").rlike(r"[^\x20\x09-\x0D]"), F.lit(False))
-    key = [F.coalesce(F.col("doc_id"), F.lit(_LAST)).alias("rank"), *_keyed(docs)]
-    whole = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("whole"), words.alias("words"), *key)
+    text = F.col("whole.text")
+    words = F.coalesce(text.rlike(r"[^\x20\x09-\x0D]"), F.lit(False))
+    whole = wrapped(docs).select("whole", words.alias("words"), F.coalesce(F.col("whole.doc_id"), F.lit(_LAST)).alias("rank"), *_keyed(text))
     at = ["rank", "text_a", "text_b"]
     stay = whole.where("words").join(keepers, at)
     once = stay.where("n > 1").groupBy(*at).agg(F.first("whole").alias("whole"))

@@ -4,12 +4,13 @@ Every document's words (unigrams and bigrams) and byte trigrams are hashed into
 multinomials over the bins are counted: over all documents (raw), and over the trusted ones (label quality 1 and not
 toxic).  A document's score is the sum over the families of its mean log ratio: a length-normalised log-likelihood
 ratio.  A document whose score is under the threshold is rejected; the threshold separates the labelled documents that
-pass the base rules best: trusted ones against bad ones (quality 0 or toxic), by balanced accuracy over a histogram of
-all of them.
+pass the base rules best: trusted ones that were not counted (one in ``HELD_OUT`` is held out) against bad ones (quality
+0 or toxic), by balanced accuracy over a histogram of all of them.
 
 Bounds: raw counts cover every document; the trusted that are counted are the ``TARGET_DOCS`` labelled documents with
-the smallest hashed ids; the threshold is set on all labelled documents.  What the driver gathers is 3 * BINS counts,
-those ids and the bins of the histogram (2 * CELLS at most).
+the smallest hashed ids outside the held-out fold; the threshold is set on all bad and all held-out trusted documents
+(on all trusted ones if none is held out).  What the driver gathers is 3 * BINS counts, those ids and the bins of the
+histogram (3 * CELLS at most).
 
 Defined cases: null or empty text has no words and fails the base rules (n_words < 20); without trusted or without bad
 labelled documents that pass the base rules, only these decide; several labels of a document: all must be trusted, and
@@ -34,7 +35,7 @@ from .common import read
 BINS = 1 << 14
 FAMILIES = 3
 SMOOTHING = 1.0
-TARGET_DOCS = 20_000
+TARGET_DOCS, HELD_OUT = 20_000, 5
 CELLS, SPAN = 1 << 16, 16.0
 SYMBOLS = b"#*$%&|<>"
 MIN_WORDS, REPEAT_WINDOW, REPEAT_PERCENT = 20, 8, 30
@@ -109,7 +110,8 @@ def _counter(trusted: np.ndarray):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         raw, own = (np.zeros(FAMILIES * BINS, np.int64) for _ in range(2))
         for batch in batches:
-            known = np.isin(_column(batch, "doc_id").fill_null(-1).to_numpy(), trusted) if len(trusted) else np.zeros(batch.num_rows, bool)
+            ids = _column(batch, "doc_id")
+            known = np.isin(ids.fill_null(-1).to_numpy(), trusted) & ids.is_valid().to_numpy(zero_copy_only=False)
             for piece in K.pieces(_column(batch, "text")):
                 words = K.Words(piece, "space", False)
                 mine = known[piece.first:piece.first + piece.n]
@@ -172,14 +174,14 @@ def _labels(labels: DataFrame) -> DataFrame:
 
 
 def _trusted(judged: DataFrame, most: int) -> np.ndarray:
-    rows = judged.where("good").select("doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(most).collect()
+    rows = judged.where("good and not held").select("doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(most).collect()
     return np.array(sorted(r.doc_id for r in rows), np.int64)
 
 
 def fit(docs: DataFrame, labels: DataFrame) -> Model:
     """Counts over all documents; the threshold on all labelled ones."""
     docs = docs.select("doc_id", "text")
-    known = _labels(labels)
+    known = _labels(labels).withColumn("held", F.pmod(F.xxhash64(F.lit("held"), "doc_id"), F.lit(HELD_OUT)) == 0)
     trusted = _trusted(known, TARGET_DOCS)
     counts = docs.mapInArrow(_counter(trusted), "bin int, raw long, own long").groupBy("bin").agg(F.sum("raw").alias("raw"), F.sum("own").alias("own")).collect()
     raw, own = (np.zeros(FAMILIES * BINS) for _ in range(2))
@@ -190,10 +192,11 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
         return Model(np.zeros_like(ratio), None)
     cell = F.greatest(F.lit(0), F.least(F.lit(CELLS - 1), F.floor((F.col("score") + SPAN) / (2 * SPAN) * CELLS)))
     scored = docs.mapInArrow(_scorer(ratio, None), SCORE_SCHEMA).where("not base_failed and doc_id is not null").select("doc_id", cell.cast("int").alias("cell"))
-    hist = np.zeros((2, CELLS))
-    for r in scored.join(known.where("good or bad"), "doc_id").groupBy("bad", "cell").agg(F.count("*").alias("n")).collect():
-        hist[int(r.bad), r.cell] = r.n
-    return Model(ratio, threshold_of(hist[0], hist[1]))
+    hist = np.zeros((3, CELLS))  # trusted and counted, bad, trusted and held out
+    kind = F.when(F.col("bad"), 1).when(F.col("held"), 2).otherwise(0)
+    for r in scored.join(known.where("good or bad"), "doc_id").groupBy(kind.alias("kind"), "cell").agg(F.count("*").alias("n")).collect():
+        hist[r.kind, r.cell] = r.n
+    return Model(ratio, threshold_of(hist[2] if hist[2].any() else hist[0], hist[1]))
 
 
 def threshold_of(good: np.ndarray, bad: np.ndarray) -> float | None:
@@ -216,7 +219,11 @@ def op6_hashed_ratio_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline stage: rejected documents go, the others keep all columns."""
+    """Pipeline stage: rejected documents go, the others keep all columns, whatever their names.
+
+    Null, empty and blank texts fail the base rules and go; repeated rows are each judged; without labels, or without
+    documents, only the base rules decide.
+    """
     model = fit(docs, read(spark, sf_dir, "labels"))
     ratio, threshold = model.ratio, model.threshold
 

@@ -9,8 +9,8 @@ A digest that a large part of all rows share costs one partial aggregate row for
 adaptive execution; repeats within a text never leave the kernel that reads it.
 
 Defined cases: null or empty texts and texts of blanks have no units; of rows with equal ids one counts as earlier; null
-ids rank last; an empty table gives no rows; other columns are ignored by the search and kept by ``remove``.
-The input must give the same rows in the same partitions when read twice (a table, or a checkpoint).
+ids rank last; an empty table gives no rows; other columns, whatever their names, are ignored by the search and kept by
+``remove``; a unit that another document keeps is removed at all its places, and each names that document.
 """
 
 from __future__ import annotations
@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import read
+from .common import cut, read, wrapped
 
 _LAST = 2**63 - 1
 _UNITS = "row long, doc_id long, unit int, start long, end long, words int, high long, low long, local boolean"
@@ -70,14 +70,18 @@ def _units(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(rows[of]), pa.array(ids[of]), pa.array(u["unit"].astype(np.int32)), pa.array(u["start"]), pa.array(u["end"]), pa.array(u["words"].astype(np.int32)), pa.array(u["high"]), pa.array(u["low"]), pa.array(u["local"])], ["row", "doc_id", "unit", "start", "end", "words", "high", "low", "local"])
 
 
-def repeats(docs: DataFrame) -> DataFrame:
-    """A row for every removed unit: row, doc_id, first_doc_id (the document that keeps it), unit, start, end, words, and the words of its run of neighbours."""
-    units = docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text").mapInArrow(_units, _UNITS)
+def numbered(docs: DataFrame) -> DataFrame:
+    """row, whole: the documents with a number each, written once, so that every later read has the same numbers."""
+    return cut(wrapped(docs).select(F.monotonically_increasing_id().alias("row"), "whole"), "numbered")
+
+
+def repeats(rows: DataFrame) -> DataFrame:
+    """Of numbered documents, a row for every removed unit: row, doc_id, first_doc_id (the document that keeps it), unit, start, end, words, and the words of its run of neighbours."""
+    units = rows.select("row", F.col("whole.doc_id").alias("doc_id"), F.col("whole.text").alias("text")).mapInArrow(_units, _UNITS)
     fresh = units.where("not local")
     known = fresh.groupBy("high", "low").agg(F.count("*").alias("n"), F.min_by("row", "doc_id").alias("first_row"), F.min("doc_id").alias("first_doc_id")).where("n > 1").drop("n")
-    again = fresh.join(known, ["high", "low"]).where("row <> first_row").select("row", "doc_id", "first_doc_id", "unit", "start", "end", "words")
-    inside = units.where("local").select("row", "doc_id", F.col("doc_id").alias("first_doc_id"), "unit", "start", "end", "words")
-    both = again.unionAll(inside)
+    found = units.join(known, ["high", "low"], "left").where("local or (first_row is not null and row <> first_row)")
+    both = found.select("row", "doc_id", F.coalesce("first_doc_id", "doc_id").alias("first_doc_id"), "unit", "start", "end", "words")
     order = Window.partitionBy("row").orderBy("unit")
     runs = both.withColumn("run", F.col("unit") - F.row_number().over(order)).withColumn("run_words", F.sum("words").over(Window.partitionBy("row", "run")))
     real = lambda c: F.when(F.col(c) != _LAST, F.col(c)).alias(c)
@@ -93,10 +97,9 @@ def cut_spans(text: str, spans: list[tuple[int, int]]) -> str:
     return "".join([*out, text[at:]])
 
 
-def remove(docs: DataFrame, removed: DataFrame) -> DataFrame:
-    """The documents without the removed units, with all their columns."""
-    spans = removed.groupBy("row").agg(F.collect_list(F.struct("start", "end")).alias("spans")).withColumnRenamed("row", "_row")
-    joined = docs.withColumn("_row", F.monotonically_increasing_id()).join(spans, "_row", "left")
+def remove(rows: DataFrame, removed: DataFrame) -> DataFrame:
+    """Of numbered documents and their removed units: the documents without them, with all their columns."""
+    spans = removed.groupBy("row").agg(F.collect_list(F.struct("start", "end")).alias("spans"))
 
     @F.pandas_udf("string")
     def clean(texts, own):
@@ -104,12 +107,14 @@ def remove(docs: DataFrame, removed: DataFrame) -> DataFrame:
 
         return pd.Series([t if s is None or t is None else cut_spans(t, [(x["start"], x["end"]) for x in s]) for t, s in zip(texts, own, strict=True)], dtype=object)
 
-    return joined.withColumn("text", F.when(F.col("spans").isNull(), F.col("text")).otherwise(clean("text", "spans"))).select(*docs.columns)
+    text = F.when(F.col("spans").isNull(), F.col("whole.text")).otherwise(clean("whole.text", "spans"))
+    return rows.join(spans, "row", "left").select(F.col("whole").withField("text", text).alias("whole")).select("whole.*")
 
 
 def op8_line_hash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The removed units of all ``documents``."""
-    return repeats(read(spark, sf_dir, "documents")).drop("row")
+    docs = read(spark, sf_dir, "documents").select("doc_id", "text")
+    return repeats(numbered(docs)).drop("row")
 
 
 register_pickle_by_value(sys.modules[__name__])

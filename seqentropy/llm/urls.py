@@ -2,18 +2,19 @@
 
 A rule is a host and the beginning of a path; it fits the host and its subdomains, the longest fitting rule decides.
 Urls that rules allow and block are the training data of two smoothed variable-order Markov models over bytes: the
-probability of a byte after its last n bytes is interpolated with that after n - 1 (Witten-Bell style weights), down
-to a uniform one.  A url's score is the difference of its log-likelihoods a byte; the cut is the one that separates the
-decided urls best (balanced accuracy over a histogram of all of them).
+probability of a byte after its last n bytes is interpolated with that after n - 1, down to a uniform one (the shorter
+context weighs as much as ``PRIOR`` bytes seen).  A url's score is the difference of its
+log-likelihoods a byte.  One in ``HELD_OUT`` of the decided urls, by their hash, is left out of the models; the cut is
+the one that separates those best (balanced accuracy over a histogram of all of them).
 
 A key is a byte with the ``ORDERS - 1`` before it, packed without loss in a long; shorter contexts are its low bits.
 Keys are counted exactly in a distributed aggregate; shorter ones are sums of longer ones, so all further steps work on
 distinct keys.  The probabilities of each order are joined to the keys of the next one; a url's score is the
 sum of its keys' log ratios, a byte.  Log ratios are summed as whole numbers, so the order of the sums doesn't matter.
 
-Bounds: all decided urls are counted and all of them calibrate; the model grows with the table and never comes to the
-driver, which gathers ``2 * BINS`` bins of the histogram.
-The input must give the same rows in the same partitions when read twice (a table, or a checkpoint).
+Bounds: all decided urls are counted or calibrate (all of them do both where a class has none held out); the model
+grows with the table and never comes to the driver, which gathers ``2 * BINS`` bins of the histogram.
+Rows are numbered once, in a written table.
 
 Defined cases: null urls and urls without ``://`` have an empty host and path, fit no rule and are judged by the models
 on what there is; where a class has no decided url, the models allow all; repeated rows are each judged; other columns
@@ -32,11 +33,12 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import read, scratch_path
+from .common import cut, read
 
 # The task's rules.
 RULES = [("allow", "com/"), ("block", "example.com/en/"), ("allow", "www.example.com/en/"), ("block", "net/es/"), ("block", "net/fr/")]
 ORDERS, BINS, SPAN, PRIOR = 6, 2000, 10.0, 4.0
+HELD_OUT = 10
 BITS, MARK, UNIT = 9, 256, 1e12
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -116,11 +118,8 @@ def ratios(keyed: DataFrame) -> DataFrame:
 
 def scores(pages: DataFrame) -> DataFrame:
     """pages (row, url, ruled): row, score (log-likelihood difference a byte, allow less block); no rows for empty urls."""
-    spark = pages.sparkSession
     keyed = pages.mapInArrow(_keyed, "row long, label int, key long")
-    path = scratch_path(spark, "url-model")
-    ratios(keyed).write.parquet(path)
-    return keyed.select("row", "key").join(spark.read.parquet(path), "key").groupBy("row").agg(F.round(F.sum("gain") / UNIT / F.count("*"), 9).alias("score"))
+    return keyed.select("row", "key").join(cut(ratios(keyed), "url-model"), "key").groupBy("row").agg(F.round(F.sum("gain") / UNIT / F.count("*"), 9).alias("score"))
 
 
 def best_cut(allow: np.ndarray, block: np.ndarray) -> float:
@@ -134,17 +133,18 @@ def best_cut(allow: np.ndarray, block: np.ndarray) -> float:
 
 def judged(pages: DataFrame, rules=RULES) -> DataFrame:
     """page_id, host, path, rule, verdict, score."""
-    spark = pages.sparkSession
-    known = ruled(pages, rules).withColumn("row", F.monotonically_increasing_id())
-    path = scratch_path(spark, "url-scores")
-    known.drop("url").join(scores(known.select("row", "url", "ruled")), "row", "left").withColumn("score", F.coalesce("score", F.lit(0.0))).write.parquet(path)
-    scored = spark.read.parquet(path)
+    apart = F.pmod(F.xxhash64(F.lit("held"), "url"), F.lit(HELD_OUT)) == 0
+    known = cut(ruled(pages, rules).select(F.monotonically_increasing_id().alias("row"), "*", apart.alias("apart")), "url-rows")
+    per_class = {(r.ruled, r.apart): r.n for r in known.where("ruled is not null").groupBy("ruled", "apart").agg(F.count("*").alias("n")).collect()}
+    able = all(per_class.get((c, a)) for c in ("allow", "block") for a in (True, False))
+    counted = F.when(~F.col("apart") | F.lit(not able), F.col("ruled"))
+    scored = cut(known.drop("url").join(scores(known.select("row", "url", counted.alias("ruled"))), "row", "left").withColumn("score", F.coalesce("score", F.lit(0.0))), "url-scores")
     at = F.greatest(F.lit(0), F.least(F.lit(BINS - 1), F.floor((F.col("score") + SPAN) / (2 * SPAN) * BINS))).cast("int")
     hist = np.zeros((2, BINS))
-    for r in scored.where("ruled is not null").groupBy((F.col("ruled") == "block").alias("bad"), at.alias("bin")).agg(F.count("*").alias("n")).collect():
+    for r in scored.where("ruled is not null").where(F.col("apart") | F.lit(not able)).groupBy((F.col("ruled") == "block").alias("bad"), at.alias("bin")).agg(F.count("*").alias("n")).collect():
         hist[int(r.bad), r.bin] = r.n
-    able = hist[0].any() and hist[1].any()
-    by_score = F.when(F.col("score") >= best_cut(hist[0], hist[1]), "allow").otherwise("block") if able else F.lit("allow")
+    both = hist[0].any() and hist[1].any()
+    by_score = F.when(F.col("score") >= best_cut(hist[0], hist[1]), "allow").otherwise("block") if both else F.lit("allow")
     return scored.select(F.col("page_id").cast("long").alias("page_id"), "host", "path", "rule", F.coalesce("ruled", by_score).alias("verdict"), "score")
 
 

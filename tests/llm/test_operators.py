@@ -11,7 +11,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from seqentropy.llm import archive, decontamination, kernels, langid, licenses, near_dedup, packing, quality, registry, repeats, secrets, tokens, urls
+from seqentropy.llm import archive, decontamination, graph, kernels, langid, licenses, near_dedup, packing, quality, registry, repeats, secrets, tokens, urls
 
 from ..oracle import same
 
@@ -52,15 +52,15 @@ def brute_hits(text, items):
     return len(w), len(hit), len(names), hashlib.sha256(",".join(sorted(names)).encode()).hexdigest()
 
 
-@pytest.mark.parametrize("block_words", [2_000_000, 5])
-def test_decontamination(spark, block_words):
+@pytest.mark.parametrize("bits", [decontamination.FILTER_BITS, 6])
+def test_decontamination(spark, bits):
     rng = random.Random(1)
     words = [f"w{k}" for k in range(12)]
     long = [" ".join(rng.choices(words, k=60)) for _ in range(5)]
     items = [("10", long[0]), ("9", " ".join(long[1].split()[5:25])), ("2", "w1 w2"), ("7", " ".join(long[0].split()[:12])), ("5", "!!")]
     texts = [*ODD, *long, long[0].upper().replace(" ", "--"), "zz " + " ".join(long[2].split()[:9]), "W1, w2; w1"]
     bench = spark.createDataFrame([(int(a), b) for a, b in items] + [(None, long[3]), (11, None), (10, long[0])], "item_id long, text string")
-    got = {r.doc_id: r for r in decontamination.contamination(frame(spark, texts), bench, block_words).collect()}
+    got = {r.doc_id: r for r in decontamination.contamination(frame(spark, texts), bench, bits=bits).collect()}
     for k, t in enumerate(texts):
         assert (got[k].n_words, got[k].n_hit, got[k].n_items, got[k].items_sha256) == brute_hits(t, items), t
         assert got[k].contaminated == (got[k].n_hit > 0)
@@ -126,6 +126,43 @@ def test_near_classes(spark, monkeypatch):
     assert near_dedup.near_classes(frame(spark, [])).count() == 0
 
 
+def test_near_copies_leave(spark):
+    rng = random.Random(9)
+    base = [f"w{rng.randrange(900)}" for _ in range(40)]
+    near = " ".join([*base[:-1], "end"])
+    texts = [" ".join(base), near, "quite another text of seven words", None, "", " \n", " ".join(base), "a b", "A  b"]
+    rows = [(k, t, "r", k, 0, "n", 1.5) for k, t in enumerate(texts)] + [(0, texts[0], "again", 0, 0, "n", 1.5), (None, near, "r", 1, 1, "n", 0.0), (None, "alone here", "r", 1, 1, "n", 0.0)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, row string, node long, key int, whole string, rank double")
+    out = near_dedup.drop_near_copies(spark, docs, "")
+    assert out.columns == docs.columns
+    assert sorted((r.doc_id is None, r.doc_id or 0) for r in out.collect()) == [(False, k) for k in (0, 2, 3, 4, 5, 7)] + [(True, 0)]
+    assert near_dedup.drop_near_copies(spark, docs.where("false"), "").count() == 0
+
+
+def test_components(spark):
+    rng = random.Random(4)
+    edges = [(k, k + 1) for k in range(0, 60)] + [(100 + rng.randrange(300), 100 + rng.randrange(300)) for _ in range(200)] + [(1000, 1000 + k) for k in range(1, 500)] + [(5, 5)]
+    rng.shuffle(edges)
+    up = {}
+    top = lambda k: k if up.get(k, k) == k else top(up[k])
+    for a, b in edges:
+        a, b = sorted((top(a), top(b)))
+        up[b] = a
+    got = {r.node: r.root for r in graph.components(spark.createDataFrame(edges, "u long, v long").repartition(7)).collect()}
+    assert got == {k: top(k) for k in {x for e in edges for x in e} if top(k) != k}
+
+
+def test_hashes_of_long_runs(monkeypatch):
+    rng = np.random.default_rng(1)
+    body = rng.integers(0, 256, 5000).astype(np.uint8)
+    start, end = np.array([0, 10, 300, 4200]), np.array([7, 200, 4100, 5000])
+    want = kernels.span_hashes(body, start, end)
+    monkeypatch.setattr(kernels, "PIECE", 64)
+    monkeypatch.setattr(kernels, "_cache", {})
+    assert (kernels.span_hashes(body, start, end) == want).all()
+    assert (want[2] != kernels.span_hashes(body, np.array([301]), np.array([4100]))).all()
+
+
 # --- urls
 
 
@@ -291,6 +328,35 @@ def test_packing(spark, sf):
             size += n
         assert size == 1024 or size & (size - 1) == 0
     assert packing.packed(docs.where("false")).count() == 0
+    assert len({(r.sequence_id, r.offset) for r in rows}) == len(rows)
+
+
+def test_retrieval_of_neighbours():
+    rng = np.random.default_rng(2)
+    tails = [rng.integers(1, 80, rng.integers(1, 60)).astype(np.uint32) for _ in range(50)] + [np.arange(10, dtype=np.uint32)] * 2
+    index, n, mean = packing.Index(tails), len(tails), np.mean([len(t) for t in tails])
+    for seed in range(n):
+        score = np.zeros(n)
+        for t in sorted(set(tails[seed].tolist())):
+            df = sum(t in x for x in tails)
+            for k, x in enumerate(tails):
+                tf = int((x == t).sum())
+                if tf and df > 1:
+                    score[k] += np.log(1 + (n - df + 0.5) / (df + 0.5)) * tf * (packing.K1 + 1) / (tf + packing.K1 * (1 - packing.NORM + packing.NORM * len(x) / mean))
+        want = sorted((k for k in range(n) if score[k] > 0), key=lambda k: (-round(score[k], 9), k))
+        assert index.neighbours(seed).tolist() == want
+
+
+def test_alike_documents_are_packed_together(spark):
+    rng = random.Random(6)
+    topics = [[f"{a}{b}{k}" for a in "bdgk" for b in ("an", "el", "or")] for k in range(30)]
+    docs = [(k, " ".join(rng.choices(topics[k % 30], k=150))) for k in range(600)]
+    rows = packing.packed(spark.createDataFrame(docs, "doc_id long, text string").repartition(5), shard_docs=64).collect()
+    seq = {}
+    for r in rows:
+        seq.setdefault(r.sequence_id, []).append(r.doc_id % 30)
+    pairs = [a == b for own in seq.values() for x, a in enumerate(own) for b in own[:x]]
+    assert np.mean(pairs) > 0.5  # by chance: 1 in 30
 
 
 # --- repeats
@@ -300,6 +366,7 @@ def test_repeats(spark):
     passage = "This passage of many words stands in several texts. It has two sentences, and more than sixteen words in all, so it is found. "
     texts = [*ODD, "First text. " + passage + "And its end.", "Other words come here. " + passage + "Something else follows here.", "No repeats in this one, which is clean.", passage.upper()]
     docs = frame(spark, texts)
+    docs = repeats.numbered(docs)
     got = repeats.repeats(docs)
     rows = [r for r in got.collect() if r.doc_id >= len(ODD)]
     n = len(ODD)
@@ -307,18 +374,64 @@ def test_repeats(spark):
     assert " ".join(texts[n + 1][r.start:r.end] for r in sorted(rows, key=lambda r: r.start) if r.doc_id == n + 1) == passage.strip()
     clean = {r.doc_id: r.text for r in repeats.remove(docs, got).collect()}
     assert clean[n] == texts[n] and clean[n + 2] == texts[n + 2] and "sentences" not in clean[n + 1] and "Something else" in clean[n + 1]
-    assert clean[0] is None and repeats.repeats(frame(spark, [])).count() == 0
+    assert clean[0] is None and repeats.repeats(repeats.numbered(frame(spark, []))).count() == 0
 
 
 def test_repeats_of_any_length(spark):
     texts = ["Own start here.\nSubscribe now. Read on\nOf.\nOwn end here.", "Another start.\nsubscribe NOW.  Read on\nAnother end.", "Third. Read on\nOf. Of. Last words"]
-    docs = frame(spark, texts)
+    docs = repeats.numbered(frame(spark, texts))
     got = repeats.repeats(docs)
-    spans = {(r.doc_id, r.first_doc_id, texts[r.doc_id][r.start:r.end], r.words) for r in got.collect()}
-    assert spans == {(1, 0, "subscribe NOW.", 2), (1, 0, "Read on", 2), (2, 0, "Read on", 2), (2, 0, "Of.", 1), (2, 2, "Of.", 1)}
+    spans = {(r.doc_id, r.first_doc_id, texts[r.doc_id][r.start:r.end], r.words, r.start) for r in got.collect()}
+    of = texts[2].index("Of.")
+    assert spans == {(1, 0, "subscribe NOW.", 2, 15), (1, 0, "Read on", 2, 31), (2, 0, "Read on", 2, 7), (2, 0, "Of.", 1, of), (2, 0, "Of.", 1, of + 4)}
     assert [" ".join(r.text.split()) for r in repeats.remove(docs, got).orderBy("doc_id").collect()] == [" ".join(texts[0].split()), "Another start. Another end.", "Third. Last words"]
 
 
+def brute_units(text):
+    """(start, end, words) of lines cut after words that end in . ! or ?"""
+    out = []
+    for line in re.finditer(r"[^\n]+", text or ""):
+        own = []
+        for w in re.finditer(r"[^\x20\x09-\x0D]+", line.group()):
+            own.append(w)
+            if w.group()[-1] in ".!?":
+                out.append(own)
+                own = []
+        out.append(own)
+        out[:] = [u if isinstance(u, tuple) else (line.start() + u[0].start(), line.start() + u[-1].end(), tuple(w.group().translate(LOW) for w in u)) for u in out if u]
+    return out
+
+
+def test_repeats_against_brute_force(spark):
+    rng = random.Random(8)
+    lines = [" ".join(rng.choices(["Ab", "ab", "c.", "d", "é!", "f"], k=rng.choice([1, 2, 3, 4]))) for _ in range(60)]
+    texts = [*ODD, *("\n".join(rng.choices(lines, k=rng.choice([1, 4, 9]))) for _ in range(60)), "", None, lines[0] + "\n" + lines[0]]
+    ids = [None if k % 23 == 5 else 7 if k % 19 == 3 else k for k in range(len(texts))]
+    docs = spark.createDataFrame([(i, t, "x", "y", 1) for i, t in zip(ids, texts, strict=True)], "doc_id long, text string, row string, spans string, whole int")
+    rows = repeats.numbered(docs)
+    number = {r["row"]: (r.whole.doc_id, r.whole.text) for r in rows.collect()}
+    got = repeats.repeats(rows)
+    rank = lambda i: 2**63 - 1 if i is None else i
+    keeper = {}
+    for i, t in zip(ids, texts, strict=True):
+        for _, _, u in brute_units(t):
+            keeper[u] = min(keeper.get(u, 2**63 - 1), rank(i))
+    total = Counter(u for t in texts for _, _, u in brute_units(t))
+    stays = Counter(total.keys())
+    found = Counter()
+    for r in got.collect():
+        i, t = number[r["row"]]
+        units = {(a, b): u for a, b, u in brute_units(t)}
+        u = units[r.start, r.end]
+        assert r.words == len(u) and r.doc_id == i and rank(r.first_doc_id) == keeper[u]
+        found[u] += 1
+    assert found == total - stays
+    clean = repeats.remove(rows, got)
+    assert clean.columns == docs.columns and clean.count() == len(texts)
+    left = Counter(u for r in clean.collect() for u in re.findall(r"[^\x20\x09-\x0D]+", (r.text or "").translate(LOW)))
+    assert left == Counter(w for u in total for w in u)
+
+
 # --- language
 
 
@@ -333,7 +446,32 @@ def test_language(spark, sf):
     assert all(r.held_out == (zlib.crc32(str(r.doc_id).encode()) % 3 == 1) for r in rows if r.doc_id is not None)
     assert all((r.lang_pred, r.score) == ("und", 0.0) for r in rows if r.doc_id in (10**6, 10**6 + 1)) and all(0 <= r.score <= 1 for r in rows)
     assert langid.fit(odd.where("false")) is None and {r.lang_pred for r in langid.predict(odd, None).collect()} == {"und"}
-    assert np.mean(model.weights == 0) > 0.5
+    assert len(model.at) < 0.5 * langid.ORDER * langid.BUCKETS and len(model.weights) == len(model.at)
+    copies = docs.where("lang = 'de'").limit(1)
+    many = docs.unionByName(copies).unionByName(copies)
+    few = {r.lang: r.n for r in langid._chosen(langid.learnable(many), 40).groupBy("lang").count().withColumnRenamed("count", "n").collect()}
+    assert set(few) == set(truth.values()) - {None} and all(v <= langid.LEAST for v in few.values())
+
+
+def test_follow_the_leader_step():
+    rng = np.random.default_rng(3)
+    ftrl, z, n = langid.FollowTheLeader(6, 3), np.zeros((6, 3)), np.zeros((6, 3))
+    for _ in range(40):
+        at, x, label = np.sort(rng.choice(6, 3, replace=False)), rng.random(3), int(rng.integers(3))
+        w = np.zeros((6, 3))
+        for i in range(6):
+            for c in range(3):
+                if abs(z[i, c]) > langid.L1:
+                    w[i, c] = -(z[i, c] - np.sign(z[i, c]) * langid.L1) / ((langid.BETA + n[i, c] ** 0.5) / langid.ALPHA + langid.L2)
+        assert np.allclose(ftrl.weights(), w)
+        logits = [sum(x[k] * w[i, c] for k, i in enumerate(at)) for c in range(3)]
+        p = np.exp(logits) / np.exp(logits).sum()
+        for k, i in enumerate(at):
+            for c in range(3):
+                g = x[k] * (p[c] - (c == label))
+                z[i, c] += g - ((n[i, c] + g * g) ** 0.5 - n[i, c] ** 0.5) / langid.ALPHA * w[i, c]
+                n[i, c] += g * g
+        ftrl.learn(at, x, label)
 
 
 # --- archives
@@ -345,7 +483,8 @@ def test_archive(spark):
     pages = spark.createDataFrame(rows, "page_id long, url string, html string").coalesce(1)
     path = archive.scratch_path(spark, "test-warc")
     archive.write_archive(pages, path)
-    got = archive.restore(archive.read_archive(spark, path, with_payload=True)).collect()
+    got = archive.restore(spark, path).collect()
+    assert sum(len(r.payload) for r in archive.read_archive(spark, path, ("response",)).where("shared > 1").collect()) == len(big.encode())  # once
     assert len(got) == len(rows)
     assert Counter((r.page_id, bytes(r.payload)) for r in got) == Counter((a, (c or "").encode()) for a, _, c in rows)
     assert all(hashlib.sha1(bytes(r.payload)).hexdigest() == r.digest for r in got)
