@@ -1,15 +1,16 @@
 """Quality rules: counts per document, and a hashed n-gram log-likelihood ratio of trusted against raw text.
 
-Every document's words (unigrams and bigrams) and byte trigrams are hashed into ``BINS`` bins a family.  Two
+Every document's words and byte trigrams are hashed into ``BINS`` bins a family.  Two
 multinomials over the bins are counted: over all documents (raw), and over the trusted ones (label quality 1 and not
 toxic).  A document's score is the sum over the families of its mean log ratio: a length-normalised log-likelihood
 ratio.  A document whose score is under the threshold is rejected; the threshold separates the labelled documents that
 pass the base rules best: trusted ones that were not counted (one in ``HELD_OUT`` is held out) against bad ones (quality
-0 or toxic), by balanced accuracy over a histogram of all of them.
+0 or toxic), by balanced accuracy over a histogram of all of them, among those that reject at most ``CLEAN_LOSS`` of the
+trusted.
 
 Bounds: raw counts cover every document; the trusted that are counted are the ``TARGET_DOCS`` labelled documents with
 the smallest hashed ids outside the held-out fold; the threshold is set on all bad and all held-out trusted documents
-(on all trusted ones if none is held out).  What the driver gathers is 3 * BINS counts, those ids and the bins of the
+(on all trusted ones if none is held out).  What the driver gathers is 2 * BINS counts, those ids and the bins of the
 histogram (3 * CELLS at most).
 
 Defined cases: null or empty text has no words and fails the base rules (n_words < 20); without trusted or without bad
@@ -32,10 +33,10 @@ from pyspark.sql import functions as F
 from . import kernels as K
 from .common import read
 
-BINS = 1 << 14
-FAMILIES = 3
-SMOOTHING = 1.0
-TARGET_DOCS, HELD_OUT = 20_000, 5
+BINS = 1 << 18
+SMOOTHING = [1.0, 0.1]  # of words, of byte trigrams
+FAMILIES = len(SMOOTHING)
+TARGET_DOCS, HELD_OUT, CLEAN_LOSS = 20_000, 5, 0.03
 CELLS, SPAN = 1 << 16, 16.0
 SYMBOLS = b"#*$%&|<>"
 MIN_WORDS, REPEAT_WINDOW, REPEAT_PERCENT = 20, 8, 30
@@ -87,23 +88,15 @@ def base_failed(n_words: np.ndarray, n_repeat: np.ndarray) -> np.ndarray:
 
 def bins(piece: K.Piece, words: K.Words, h: np.ndarray) -> list[tuple[np.ndarray, np.ndarray]]:
     """For each family the bins of its grams and the bounds of the rows in them."""
-    shift = np.uint64(50)
-    pairs = K.grams(h, 2)
-    ok = K.within(words.bound, 2, len(pairs))
-    two = (pairs[ok] >> shift).astype(np.int32) + BINS
-    run = np.concatenate([[0], np.cumsum(ok)])
+    size = BINS.bit_length() - 1
     b = piece.data.astype(np.uint32)
     n = max(0, len(b) - 2)
     three = ((b[:n] * 0x9E3779B1 + b[1:n + 1] * 0x85EBCA77 + b[2:n + 2] * 0xC2B2AE3D) & 0xFFFFFFFF).astype(np.uint32)
     three ^= three >> 15
-    three = (three * np.uint32(0x2C1B3C6D)) >> np.uint32(18)
+    three = (three * np.uint32(0x2C1B3C6D)) >> np.uint32(32 - size)
     ok = K.within(piece.off, 3, n)
-    run3 = np.concatenate([[0], np.cumsum(ok)])
-    return [
-        ((h >> shift).astype(np.int32), words.bound),
-        (two, run[np.minimum(words.bound, len(pairs))]),
-        (three[ok].astype(np.int32) + 2 * BINS, run3[np.minimum(piece.off, n)]),
-    ]
+    run = np.concatenate([[0], np.cumsum(ok)])
+    return [((h >> np.uint64(64 - size)).astype(np.int32), words.bound), (three[ok].astype(np.int32) + BINS, run[np.minimum(piece.off, n)])]
 
 
 def _counter(trusted: np.ndarray):
@@ -146,7 +139,7 @@ def score_batch(texts: pa.Array, ratio: np.ndarray | None, threshold: float | No
         own["score"] = np.zeros(piece.n)
         if ratio is not None:
             for b, bound in bins(piece, words, h):
-                own["score"] += K.row_sums(ratio[b], bound) / np.maximum(1, np.diff(bound))
+                own["score"] += K.row_sums(ratio[b].astype(np.float64), bound) / np.maximum(1, np.diff(bound))
         own["score"] = np.round(own["score"], 9)
         own["kept"] = ~own["base_failed"] & ((threshold is None) | (own["score"] >= (threshold or 0.0)))
         for k, v in own.items():
@@ -183,11 +176,11 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
     docs = docs.select("doc_id", "text")
     known = _labels(labels).withColumn("held", F.pmod(F.xxhash64(F.lit("held"), "doc_id"), F.lit(HELD_OUT)) == 0)
     trusted = _trusted(known, TARGET_DOCS)
-    counts = docs.mapInArrow(_counter(trusted), "bin int, raw long, own long").groupBy("bin").agg(F.sum("raw").alias("raw"), F.sum("own").alias("own")).collect()
+    counts = docs.mapInArrow(_counter(trusted), "bin int, raw long, own long").groupBy("bin").agg(F.sum("raw").alias("raw"), F.sum("own").alias("own")).toArrow()
     raw, own = (np.zeros(FAMILIES * BINS) for _ in range(2))
-    for r in counts:
-        raw[r.bin], own[r.bin] = r.raw, r.own
-    ratio = np.concatenate([np.log((o + SMOOTHING) / (o.sum() + SMOOTHING * BINS)) - np.log((a + SMOOTHING) / (a.sum() + SMOOTHING * BINS)) for a, o in zip(raw.reshape(FAMILIES, BINS), own.reshape(FAMILIES, BINS), strict=True)])
+    for x, name in ((raw, "raw"), (own, "own")):
+        x[counts["bin"].to_numpy()] = counts[name].to_numpy()
+    ratio = np.concatenate([np.log((o + s) / (o.sum() + s * BINS)) - np.log((a + s) / (a.sum() + s * BINS)) for a, o, s in zip(raw.reshape(FAMILIES, BINS), own.reshape(FAMILIES, BINS), SMOOTHING, strict=True)]).astype(np.float32)
     if not own.sum():
         return Model(np.zeros_like(ratio), None)
     cell = F.greatest(F.lit(0), F.least(F.lit(CELLS - 1), F.floor((F.col("score") + SPAN) / (2 * SPAN) * CELLS)))
@@ -199,11 +192,12 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
     return Model(ratio, threshold_of(hist[2] if hist[2].any() else hist[0], hist[1]))
 
 
-def threshold_of(good: np.ndarray, bad: np.ndarray) -> float | None:
-    """The lowest of the cells' borders with the best balanced accuracy, from which documents are kept; None without either kind."""
+def threshold_of(good: np.ndarray, bad: np.ndarray, loss: float = CLEAN_LOSS) -> float | None:
+    """The lowest of the cells' borders with the best balanced accuracy, from which documents are kept, of those under which at most ``loss`` of the good ones are; None without either kind."""
     if not good.sum() or not bad.sum():
         return None
-    gain = np.round(np.cumsum(bad) / bad.sum() - np.cumsum(good) / good.sum(), 12)
+    lost = np.cumsum(good) / good.sum()
+    gain = np.where(lost <= loss, np.round(np.cumsum(bad) / bad.sum() - lost, 12), -1)
     at = int(gain.argmax())
     return float((at + 1) / CELLS * 2 * SPAN - SPAN) if gain[at] > 0 else None
 

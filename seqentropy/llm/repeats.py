@@ -1,9 +1,10 @@
-"""Substring dedup by hashing lines and the sentences in them.
+"""Substring dedup by hashing lines, in sentences.
 
 Lines are cut after words that end in ``.``, ``!`` or ``?``; a unit is normalised (A-Z in lower case, white space as one
 blank) and hashed to 128 bits.  Digests are grouped over all documents: the unit of the earliest document (smallest
 doc_id) stays, and so does the first one within it; all others are removed, with their offsets in the original text.
-Every repeated unit is removed, whatever its length.
+A line whose units are all repeated is removed, whatever its length; in other lines repeated sentences of at least
+``MIN_SENTENCE`` words are (shorter ones, often single words, are ordinary language there).
 
 A digest that a large part of all rows share costs one partial aggregate row for each task, and its join is split by
 adaptive execution; repeats within a text never leave the kernel that reads it.
@@ -27,8 +28,9 @@ from pyspark.sql import functions as F
 from . import kernels as K
 from .common import cut, read, wrapped
 
+MIN_SENTENCE = 8
 _LAST = 2**63 - 1
-_UNITS = "row long, doc_id long, unit int, start long, end long, words int, high long, low long, local boolean"
+_UNITS = "row long, doc_id long, line int, line_units int, unit int, start long, end long, words int, high long, low long, local boolean"
 
 
 def _column(batch: pa.RecordBatch, name: str) -> pa.Array:
@@ -40,9 +42,8 @@ def cut_units(piece: K.Piece) -> dict[str, np.ndarray]:
     words = K.Words(piece, "space", True)
     n = len(words.start)
     row = words.row()
-    first = np.ones(n, bool)
+    first, lines = np.ones(n, bool), np.concatenate([[0], np.cumsum(piece.data == 10)])
     if n:
-        lines = np.concatenate([[0], np.cumsum(piece.data == 10)])
         stop = np.isin(piece.data[words.end - 1], np.frombuffer(b".!?", np.uint8))
         first[1:] = stop[:-1] | (lines[words.start[1:]] > lines[words.end[:-1]]) | (row[1:] != row[:-1])
     a = np.flatnonzero(first)
@@ -58,7 +59,11 @@ def cut_units(piece: K.Piece) -> dict[str, np.ndarray]:
         local[x] = (of[x] == of[y]) & (high[x] == high[y]) & (low[x] == low[y])
     points = K.code_points(piece.data)
     zero = points[piece.off[:-1]][of]
-    return {"of": of, "unit": number, "start": points[words.start[a]] - zero if n else number, "end": points[words.end[b - 1]] - zero if n else number, "words": b - a, "high": high.view(np.int64), "low": low.view(np.int64), "local": local}
+    line = lines[words.start[a]]
+    begins = np.ones(len(a), bool)
+    begins[1:] = (line[1:] != line[:-1]) | (of[1:] != of[:-1])
+    which = np.cumsum(begins) - 1
+    return {"of": of, "line": line - lines[piece.off[:-1]][of], "line_units": np.bincount(which)[which] if len(a) else number, "unit": number, "start": points[words.start[a]] - zero if n else number, "end": points[words.end[b - 1]] - zero if n else number, "words": b - a, "high": high.view(np.int64), "low": low.view(np.int64), "local": local}
 
 
 def _units(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -67,7 +72,7 @@ def _units(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece in K.pieces(_column(batch, "text")):
             u = cut_units(piece)
             of = u["of"] + piece.first
-            yield pa.RecordBatch.from_arrays([pa.array(rows[of]), pa.array(ids[of]), pa.array(u["unit"].astype(np.int32)), pa.array(u["start"]), pa.array(u["end"]), pa.array(u["words"].astype(np.int32)), pa.array(u["high"]), pa.array(u["low"]), pa.array(u["local"])], ["row", "doc_id", "unit", "start", "end", "words", "high", "low", "local"])
+            yield pa.RecordBatch.from_arrays([pa.array(rows[of]), pa.array(ids[of]), pa.array(u["line"].astype(np.int32)), pa.array(u["line_units"].astype(np.int32)), pa.array(u["unit"].astype(np.int32)), pa.array(u["start"]), pa.array(u["end"]), pa.array(u["words"].astype(np.int32)), pa.array(u["high"]), pa.array(u["low"]), pa.array(u["local"])], ["row", "doc_id", "line", "line_units", "unit", "start", "end", "words", "high", "low", "local"])
 
 
 def numbered(docs: DataFrame) -> DataFrame:
@@ -75,12 +80,14 @@ def numbered(docs: DataFrame) -> DataFrame:
     return cut(wrapped(docs).select(F.monotonically_increasing_id().alias("row"), "whole"), "numbered")
 
 
-def repeats(rows: DataFrame) -> DataFrame:
+def repeats(rows: DataFrame, min_sentence: int = MIN_SENTENCE) -> DataFrame:
     """Of numbered documents, a row for every removed unit: row, doc_id, first_doc_id (the document that keeps it), unit, start, end, words, and the words of its run of neighbours."""
     units = rows.select("row", F.col("whole.doc_id").alias("doc_id"), F.col("whole.text").alias("text")).mapInArrow(_units, _UNITS)
     fresh = units.where("not local")
     known = fresh.groupBy("high", "low").agg(F.count("*").alias("n"), F.min_by("row", "doc_id").alias("first_row"), F.min("doc_id").alias("first_doc_id")).where("n > 1").drop("n")
     found = units.join(known, ["high", "low"], "left").where("local or (first_row is not null and row <> first_row)")
+    in_line = F.count("*").over(Window.partitionBy("row").orderBy("line").rangeBetween(0, 0))
+    found = found.withColumn("repeated", in_line).where((F.col("repeated") == F.col("line_units")) | (F.col("words") >= min_sentence))
     both = found.select("row", "doc_id", F.coalesce("first_doc_id", "doc_id").alias("first_doc_id"), "unit", "start", "end", "words")
     order = Window.partitionBy("row").orderBy("unit")
     runs = both.withColumn("run", F.col("unit") - F.row_number().over(order)).withColumn("run_words", F.sum("words").over(Window.partitionBy("row", "run")))

@@ -292,8 +292,9 @@ def test_quality_cut(spark):
     labels = spark.createDataFrame([(k, 1, int(k >= 100)) for k in range(130)], "doc_id long, quality int, toxic int")
     got = {r.doc_id: r.kept for r in quality.judged(frame(spark, good + toxic), labels).collect()}
     assert sum(got[k] for k in range(100)) >= 95 and sum(got[k] for k in range(100, 130)) <= 3
+    assert quality.threshold_of(np.array([0, 1, 9.0]), np.array([5.0, 4, 0]), 0.05) == 1 / quality.CELLS * 2 * quality.SPAN - quality.SPAN
     assert quality.threshold_of(np.array([0, 0, 3.0]), np.zeros(3)) is None
-    assert quality.threshold_of(np.array([0, 1, 9.0]), np.array([5.0, 4, 0])) == 2 / quality.CELLS * 2 * quality.SPAN - quality.SPAN
+    assert quality.threshold_of(np.array([0, 1, 9.0]), np.array([5.0, 4, 0]), 0.2) == 2 / quality.CELLS * 2 * quality.SPAN - quality.SPAN
 
 
 # --- packing
@@ -378,13 +379,13 @@ def test_repeats(spark):
 
 
 def test_repeats_of_any_length(spark):
-    texts = ["Own start here.\nSubscribe now. Read on\nOf.\nOwn end here.", "Another start.\nsubscribe NOW.  Read on\nAnother end.", "Third. Read on\nOf. Of. Last words"]
+    texts = ["Own start here.\nSubscribe now. Read on\nOf.\nOwn end here.", "Another start.\nsubscribe NOW.  Read on\nAnother end.", "Third. Read on\nOf. Of.\nOf. Last words\nOne two three four five six seven eight.", "Now one. One two three four five six seven eight. Of."]
     docs = repeats.numbered(frame(spark, texts))
     got = repeats.repeats(docs)
     spans = {(r.doc_id, r.first_doc_id, texts[r.doc_id][r.start:r.end], r.words, r.start) for r in got.collect()}
-    of = texts[2].index("Of.")
-    assert spans == {(1, 0, "subscribe NOW.", 2, 15), (1, 0, "Read on", 2, 31), (2, 0, "Read on", 2, 7), (2, 0, "Of.", 1, of), (2, 0, "Of.", 1, of + 4)}
-    assert [" ".join(r.text.split()) for r in repeats.remove(docs, got).orderBy("doc_id").collect()] == [" ".join(texts[0].split()), "Another start. Another end.", "Third. Last words"]
+    of, long = texts[2].index("Of."), "One two three four five six seven eight."
+    assert spans == {(1, 0, "subscribe NOW.", 2, 15), (1, 0, "Read on", 2, 31), (2, 0, "Of.", 1, of), (2, 0, "Of.", 1, of + 4), (3, 2, long, 8, 9)}
+    assert [" ".join(r.text.split()) for r in repeats.remove(docs, got).orderBy("doc_id").collect()] == [" ".join(texts[0].split()), "Another start. Another end.", "Third. Read on Of. Last words " + long, "Now one. Of."]
 
 
 def brute_units(text):
@@ -405,31 +406,34 @@ def brute_units(text):
 def test_repeats_against_brute_force(spark):
     rng = random.Random(8)
     lines = [" ".join(rng.choices(["Ab", "ab", "c.", "d", "é!", "f"], k=rng.choice([1, 2, 3, 4]))) for _ in range(60)]
-    texts = [*ODD, *("\n".join(rng.choices(lines, k=rng.choice([1, 4, 9]))) for _ in range(60)), "", None, lines[0] + "\n" + lines[0]]
-    ids = [None if k % 23 == 5 else 7 if k % 19 == 3 else k for k in range(len(texts))]
+    texts = [*ODD, *("\n".join(rng.choices(lines, k=rng.choice([1, 4, 9]))) for _ in range(60)), "", None, lines[0] + "\n" + lines[0], "c. f f f\nof its own c."]
+    ids = [None if k % 23 == 5 else 1000 + k for k in range(len(texts))]
     docs = spark.createDataFrame([(i, t, "x", "y", 1) for i, t in zip(ids, texts, strict=True)], "doc_id long, text string, row string, spans string, whole int")
     rows = repeats.numbered(docs)
-    number = {r["row"]: (r.whole.doc_id, r.whole.text) for r in rows.collect()}
-    got = repeats.repeats(rows)
     rank = lambda i: 2**63 - 1 if i is None else i
-    keeper = {}
-    for i, t in zip(ids, texts, strict=True):
-        for _, _, u in brute_units(t):
-            keeper[u] = min(keeper.get(u, 2**63 - 1), rank(i))
-    total = Counter(u for t in texts for _, _, u in brute_units(t))
-    stays = Counter(total.keys())
-    found = Counter()
-    for r in got.collect():
-        i, t = number[r["row"]]
-        units = {(a, b): u for a, b, u in brute_units(t)}
-        u = units[r.start, r.end]
-        assert r.words == len(u) and r.doc_id == i and rank(r.first_doc_id) == keeper[u]
-        found[u] += 1
-    assert found == total - stays
-    clean = repeats.remove(rows, got)
-    assert clean.columns == docs.columns and clean.count() == len(texts)
-    left = Counter(u for r in clean.collect() for u in re.findall(r"[^\x20\x09-\x0D]+", (r.text or "").translate(LOW)))
-    assert left == Counter(w for u in total for w in u)
+    numbered = sorted(rows.collect(), key=lambda r: (rank(r.whole.doc_id), r["row"]))
+    for least in (1, 3):
+        got = repeats.repeats(rows, least)
+        keeper, want = {}, set()
+        for r in numbered:
+            units, again = brute_units(r.whole.text), set()
+            for a, b, u in units:
+                if u in keeper:
+                    again.add((a, b, u))
+                keeper.setdefault(u, rank(r.whole.doc_id))
+            line = lambda a, t=r.whole.text: t.count("\n", 0, a)
+            for a, b, u in again:
+                if len(u) >= least or all(x in again for x in units if line(x[0]) == line(a)):
+                    want.add((rank(r.whole.doc_id), a, b, len(u), keeper[u]))
+        # of several null ids any may keep a unit, so the places are compared by their numbers there
+        real = lambda rows: {x for x in rows if x[0] != 2**63 - 1}
+        found = [(rank(r.doc_id), r.start, r.end, r.words, rank(r.first_doc_id)) for r in got.collect()]
+        assert real(found) == real(want) and len(real(found)) == len([x for x in found if x[0] != 2**63 - 1])
+        clean = repeats.remove(rows, got)
+        assert clean.columns == docs.columns and clean.count() == len(texts)
+    every = repeats.remove(rows, repeats.repeats(rows, 1)).collect()
+    left = Counter(w for r in every for w in re.findall(r"[^\x20\x09-\x0D]+", (r.text or "").translate(LOW)))
+    assert left == Counter(w for u in {u for t in texts for _, _, u in brute_units(t)} for w in u)
 
 
 # --- language
