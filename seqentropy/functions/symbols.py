@@ -93,8 +93,8 @@ def offsets(seqs: DataFrame, gap: int = 1) -> DataFrame:
     return sizes.select("seq_id", "part", F.coalesce(within, F.lit(0)).alias("within")).join(before, "part").select("seq_id", (F.col("before") + F.col("within")).alias("offset"))
 
 
-def corpus_chunks(seqs: DataFrame, left: int, size: int = CHUNK) -> DataFrame:
-    """All sequences in one line, a blank between them, as chunks of the sequence 0."""
+def corpus_chunks(seqs: DataFrame, left: int, size: int = CHUNK, number: int = 0) -> DataFrame:
+    """All sequences in one line, a blank between them, as chunks of the sequence ``number``."""
     placed = seqs.join(offsets(seqs), "seq_id").select("offset", F.concat("t", F.lit(" ")).alias("t"))
     length = F.length("t")
     first, last = F.floor(F.col("offset") / size), F.floor((F.col("offset") + length - 1) / size)
@@ -107,7 +107,7 @@ def corpus_chunks(seqs: DataFrame, left: int, size: int = CHUNK) -> DataFrame:
     tail = whole.select("chunk", "body", F.explode(F.array(*(F.lit(k) for k in range(hops + 1)))).alias("hop")).select((F.col("chunk") + F.col("hop")).alias("chunk"), F.col("hop"), "body")
     joined = tail.groupBy("chunk").agg(F.array_sort(F.collect_list(F.struct((-F.col("hop")).alias("k"), "body"))).alias("rows"))
     text = joined.select("chunk", F.array_join(F.transform(F.filter("rows", lambda r: r["k"] < 0), lambda r: r["body"]), "").alias("before"), F.try_element_at(F.filter("rows", lambda r: r["k"] == 0), F.lit(1))["body"].alias("body"))
-    return text.where("body is not null").select(F.lit(0).cast("long").alias("seq_id"), (F.col("chunk") * size + 1).cast("long").alias("start"), (F.substring(F.col("before"), F.greatest(F.length("before") - left + 1, F.lit(1)), F.lit(left)) if left else F.lit("")).alias("left"), "body")
+    return text.where("body is not null").select(F.lit(number).cast("long").alias("seq_id"), (F.col("chunk") * size + 1).cast("long").alias("start"), (F.substring(F.col("before"), F.greatest(F.length("before") - left + 1, F.lit(1)), F.lit(left)) if left else F.lit("")).alias("left"), "body")
 
 
 def events(chunked: DataFrame, order: int) -> DataFrame:

@@ -8,10 +8,14 @@ each distinct count.
 from __future__ import annotations
 
 import math
+import sys
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark.cloudpickle import register_pickle_by_value
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -21,12 +25,62 @@ METHODS = ["plugin", "first_order", "digamma_parity", "laplace_block", "dirichle
 
 
 def block_counts(chunked: DataFrame, n_max: int, by: list[str] | None = None) -> DataFrame:
-    """[by,] n, word, cnt: the words of 1 to n_max symbols; chunks must have n_max - 1 symbols to their left."""
+    """[by,] n, word, cnt: the words of 1 to n_max symbols; chunks must have n_max - 1 symbols to their left.
+
+    Each batch is counted in arrays first, so only distinct words are shuffled, and no position copies its chunk.
+    """
     by = by or []
-    text = chunked.select(*by, F.length("left").alias("l"), F.length("body").alias("b"), F.concat("left", "body").alias("s"))
-    ends = text.select(*by, "s", F.explode(F.sequence(F.col("l") + 1, F.col("l") + F.col("b"))).alias("e"))
-    words = ends.select(*by, "s", "e", F.explode(F.sequence(F.lit(1), F.least(F.lit(n_max), "e"))).alias("n")).select(*by, "n", F.substring(F.col("s"), F.col("e") - F.col("n") + 1, F.col("n")).alias("word"))
-    return words.groupBy(*by, "n", "word").agg(F.count("*").alias("cnt"))
+    types = dict(chunked.dtypes)
+    schema = ", ".join([*(f"`{c}` {types[c]}" for c in by), "n int", "word string", "cnt long"])
+    return chunked.select(*by, "left", "body").mapInArrow(_chunk_words(n_max, by), schema).groupBy(*by, "n", "word").agg(F.sum("cnt").alias("cnt"))
+
+
+def _chunk_words(n_max: int, by: list[str]):
+    """Kernel: counts of the words that end in the bodies of a batch of chunks."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            table = pa.Table.from_batches([batch])
+            keys = table.select(by).group_by(by).aggregate([]).to_pylist() if by else [{}]
+            for key in keys:
+                mask = np.ones(table.num_rows, bool)
+                for c in by:
+                    mask &= (pc.is_null(table[c]) if key[c] is None else pc.fill_null(pc.equal(table[c], key[c]), False)).to_numpy(zero_copy_only=False)
+                own = table.filter(pa.array(mask)) if by else table
+                for n, words, count in count_words(own["left"], own["body"], n_max):
+                    columns = [pa.array([key[c]] * len(words), table.schema.field(c).type) for c in by]
+                    yield pa.RecordBatch.from_arrays([*columns, pa.array(np.full(len(words), n, np.int32)), pa.array(words, pa.string()), pa.array(count, pa.int64())], [*by, "n", "word", "cnt"])
+
+    return run
+
+
+def count_words(left: pa.ChunkedArray, body: pa.ChunkedArray, n_max: int) -> Iterator[tuple[int, list[str], np.ndarray]]:
+    """(n, words, counts): packed in 64 bits for up to 8 symbols of one byte, by slices otherwise."""
+    both = pc.binary_join_element_wise(left, body, "").combine_chunks().cast(pa.large_string()) if len(body) else pa.array([], pa.large_string())
+    if not len(both):
+        return
+    _, offsets, data = both.buffers()
+    off = np.frombuffer(offsets, np.int64, len(both) + 1, both.offset * 8)
+    data = np.frombuffer(data, np.uint8)[off[0]:off[-1]] if data is not None else np.zeros(0, np.uint8)
+    off = off - off[0]
+    if n_max > 8 or (len(data) and data.max() > 127):
+        counts: list[Counter] = [Counter() for _ in range(n_max + 1)]
+        for text, have in zip(both.to_pylist(), pc.utf8_length(left).to_pylist(), strict=True):
+            for n in range(1, n_max + 1):
+                counts[n].update(text[k - n + 1:k + 1] for k in range(max(have, n - 1), len(text)))
+        yield from ((n, list(c), np.array(list(c.values()), np.int64)) for n, c in enumerate(counts) if c)
+        return
+    row = np.repeat(np.arange(len(both)), np.diff(off))
+    at = np.arange(len(data)) - off[row]
+    first = pc.utf8_length(left).combine_chunks().to_numpy(zero_copy_only=False)[row]
+    code = data.astype(np.uint64)
+    wide = code
+    for n in range(1, n_max + 1):
+        if n > 1:
+            code = (code[:-1] << np.uint64(8)) | wide[n - 1:]
+        words, count = np.unique(code[at[n - 1:] >= np.maximum(first[n - 1:], n - 1)], return_counts=True)
+        text = words.astype(">u8").tobytes()
+        yield n, [text[8 * k + 8 - n:8 * k + 8].decode("ascii") for k in range(len(words))], count
 
 
 def _packed_words(n_max: int):
@@ -177,3 +231,6 @@ def check_monotone(h: DataFrame, slack: float = 1e-9) -> DataFrame:
     """Rows where h_diff exceeds that of the shorter block (there should be none while the counts suffice)."""
     own = Window.partitionBy("method").orderBy("n")
     return h.withColumn("before", F.lag("h_diff").over(own)).where(F.col("h_diff") > F.col("before") + slack)
+
+
+register_pickle_by_value(sys.modules[__name__])

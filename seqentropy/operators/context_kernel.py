@@ -88,22 +88,9 @@ def levels(sym: np.ndarray, bound: np.ndarray, t: Tree):
                 alive, key = alive[live], key[live]
             if not len(alive):
                 return
-        order, rank = _ranks(key)
-        n = np.empty(len(alive), np.int64)
-        n[order] = rank
-        order2, rank2 = _ranks(_number(key * base + sym[alive]))
-        na = np.empty(len(alive), np.int64)
-        na[order2] = rank2
-        p = (na + t.beta) / (n + t.beta * t.d)
-        gain = np.full(len(alive), -1.0)
-        if j:
-            step = np.log(p_parent[alive]) - np.log(p)
-            if t.gain_from == "second":
-                step[n == 0] = 0.0
-            s = step[order]
-            run = np.concatenate([[0.0], np.cumsum(s)])[:-1]
-            start = np.arange(len(s)) - rank
-            gain[order] = np.round(run - run[start], 9)  # sums that cancel out are ties
+        n, na, p, gain = _counts(alive, key, sym, base, t, p_parent)
+        if not j:
+            gain[:] = -1.0
         yield j, alive, n, na, p, gain, len(np.unique(key))
         p_parent[alive] = p
         run_parent[:] = 0
@@ -111,17 +98,73 @@ def levels(sym: np.ndarray, bound: np.ndarray, t: Tree):
         j += 1
 
 
-def predict(sym: np.ndarray, bound: np.ndarray, t: Tree) -> tuple[np.ndarray, np.ndarray]:
-    """The probability given to each symbol, and the length of the context it is from (the deepest one for blends)."""
-    size = len(sym)
-    p = np.full(size, 1.0 / t.d)
-    used = np.zeros(size, np.int32)
-    flag, candidate, level, done = np.zeros(size, bool), p.copy(), np.zeros(size, np.int32), np.zeros(size, bool)
-    total, best = np.zeros(size), np.zeros(size)
-    novel = np.ones(size)
-    going = np.ones(size, bool)
-    seen = np.full(size, -1)
-    for j, alive, n, _, pj, gain, _ in levels(sym, bound, t):
+def deeper(sym: np.ndarray, older: np.ndarray, at: np.ndarray, t: Tree, start: int, born: np.ndarray, run_parent: np.ndarray, p_parent: np.ndarray):
+    """Levels from ``start`` on of events, in order, that share their last ``start`` symbols: what ``levels`` yields.
+
+    older: column k has the symbol k + 1 places back, -1 before the sequence; born, run_parent and p_parent are the
+    events' state after the level before (the birth of its context, its count of the event's symbol, its probability).
+    """
+    alive, key = np.arange(len(sym)), np.zeros(len(sym), np.int64)
+    base = int(max(sym.max(initial=0), older.max(initial=0))) + 1
+    born, run_parent, p_parent = born.copy(), run_parent.copy(), p_parent.copy()
+    for j in range(start, t.order + 1):
+        if j > start:
+            ok = older[alive, j - 1] >= 0
+            alive, key = alive[ok], key[ok]
+            key = _number(key * base + older[alive, j - 1])
+        if not len(alive):
+            return
+        if t.tree == "incremental":
+            birth = np.full(key.max() + 1, np.iinfo(np.int64).max)
+            may = (at[alive] > born[alive]) & (run_parent[alive] >= 2)
+            np.minimum.at(birth, key[may], at[alive][may])
+            live = at[alive] >= birth[key]
+            alive, key, own = alive[live], key[live], birth[key][live]
+            born[alive] = own
+        else:
+            live = np.bincount(key)[key] > 1
+            alive, key = alive[live], key[live]
+        if not len(alive):
+            return
+        n, na, p, gain = _counts(alive, key, sym, base, t, p_parent)
+        yield j, alive, n, na, p, gain, key
+        p_parent[alive] = p
+        run_parent[:] = 0
+        run_parent[alive] = na + 1
+
+
+def _counts(alive: np.ndarray, key: np.ndarray, sym: np.ndarray, base: int, t: Tree, p_parent: np.ndarray) -> tuple[np.ndarray, ...]:
+    """What a level knows before each event: visits, those with its symbol, its probability, and the context's gain."""
+    order, rank = _ranks(key)
+    n = np.empty(len(alive), np.int64)
+    n[order] = rank
+    order2, rank2 = _ranks(_number(key * base + sym[alive]))
+    na = np.empty(len(alive), np.int64)
+    na[order2] = rank2
+    p = (na + t.beta) / (n + t.beta * t.d)
+    step = np.log(p_parent[alive]) - np.log(p)
+    if t.gain_from == "second":
+        step[n == 0] = 0.0
+    s = step[order]
+    run = np.concatenate([[0.0], np.cumsum(s)])[:-1]
+    gain = np.empty(len(alive))
+    gain[order] = np.round(run - run[np.arange(len(s)) - rank], 9)  # sums that cancel out are ties
+    return n, na, p, gain
+
+
+class Fold:
+    """One probability for each event from the levels, which come one after the other."""
+
+    def __init__(self, size: int, t: Tree):
+        self.t, self.size = t, size
+        self.p, self.used = np.full(size, 1.0 / t.d), np.zeros(size, np.int32)
+        self.flag, self.candidate, self.level, self.done = np.zeros(size, bool), self.p.copy(), np.zeros(size, np.int32), np.zeros(size, bool)
+        self.total, self.best, self.novel, self.going = np.zeros(size), np.zeros(size), np.ones(size), np.ones(size, bool)
+
+    def step(self, j: int, alive: np.ndarray, n: np.ndarray, pj: np.ndarray, gain: np.ndarray) -> None:
+        t, p, used = self.t, self.p, self.used
+        if t.order is not None and j > t.order:
+            return
         ok = (n >= max(1, t.n_min)) | (j == 0)
         good = ok & (gain < -t.delta) if j else np.ones(len(alive), bool) & (gain < -t.delta)
         if t.rule == "fixed":
@@ -135,52 +178,76 @@ def predict(sym: np.ndarray, bound: np.ndarray, t: Tree) -> tuple[np.ndarray, np
             p[alive[take]], used[alive[take]] = pj[take], j
         elif t.rule == "walk_gain":
             if j:
-                going[alive[ok & (gain > 0)]] = False
-                going[alive[~ok]] = False
-            take = (good if j else ok) & going[alive]
+                self.going[alive[ok & (gain > 0)]] = False
+                self.going[alive[~ok]] = False
+            take = (good if j else ok) & self.going[alive]
             p[alive[take]], used[alive[take]] = pj[take], j
         elif t.rule == "min_total_gain":
             if j == 0:
                 p[alive] = pj
             else:
-                total[alive[ok]] += gain[ok]
-                take = ok & (total[alive] < best[alive] - t.delta)
-                best[alive[take]] = total[alive[take]]
+                self.total[alive[ok]] += gain[ok]
+                take = ok & (self.total[alive] < self.best[alive] - t.delta)
+                self.best[alive[take]] = self.total[alive[take]]
                 p[alive[take]], used[alive[take]] = pj[take], j
         elif t.rule == "shortest_gain":
             if j == 0:
                 p[alive] = pj
             else:
-                stop = np.ones(size, bool)  # a missing child ends the search
+                stop = np.ones(self.size, bool)  # a missing child ends the search
                 stop[alive] = ~ok | (gain >= 0 if t.tie == "stop" else gain > 0)
-                end = flag & stop & ~done
-                p[end], used[end] = candidate[end], level[end]
-                done |= end
-            flag = np.zeros(size, bool)
-            flag[alive] = good
-            candidate[alive], level[alive] = pj, j
+                end = self.flag & stop & ~self.done
+                p[end], used[end] = self.candidate[end], self.level[end]
+                self.done |= end
+            self.flag = np.zeros(self.size, bool)
+            self.flag[alive] = good
+            self.candidate[alive], self.level[alive] = pj, j
         elif t.rule == "blend":
             if t.static is not None:
                 if j == 0:
                     p[:] = 0.0
-                    candidate[:] = 1.0 / t.d
-                candidate[alive[ok]] = pj[ok]
-                p += (t.static[j] if j < len(t.static) else 0.0) * candidate
+                    self.candidate[:] = 1.0 / t.d
+                self.candidate[alive[ok]] = pj[ok]
+                p += (t.static[j] if j < len(t.static) else 0.0) * self.candidate
             else:
                 e = np.where(n > 0, t.q / (n + t.q), 1.0)
                 p[alive] = (1 - e) * pj + e * p[alive]
-                novel[alive] *= e
+                self.novel[alive] *= e
             used[alive[n > 0]] = j
         else:
             raise ValueError(t.rule)
-        seen[alive] = j
-    if t.rule == "shortest_gain":
-        end = flag & ~done
-        p[end], used[end] = candidate[end], level[end]
-    if t.rule == "blend" and t.residual == "renormalise" and t.static is None:
-        rest = novel < 1
-        p[rest] = (p[rest] - novel[rest] / t.d) / (1 - novel[rest])
-    return p, used
+
+    def finish(self) -> tuple[np.ndarray, np.ndarray]:
+        t, p = self.t, self.p
+        if t.rule == "shortest_gain":
+            end = self.flag & ~self.done
+            p[end], self.used[end] = self.candidate[end], self.level[end]
+        if t.rule == "blend" and t.residual == "renormalise" and t.static is None:
+            rest = self.novel < 1
+            p[rest] = (p[rest] - self.novel[rest] / t.d) / (1 - self.novel[rest])
+        return p, self.used
+
+
+def predict_many(sym: np.ndarray, bound: np.ndarray, trees: list[Tree]) -> list[tuple[np.ndarray, np.ndarray]]:
+    """``predict`` for several rules; trees that differ in the rule alone are grown once."""
+    folds = [Fold(len(sym), t) for t in trees]
+    alike: dict[tuple, list[int]] = {}
+    for k, t in enumerate(trees):
+        alike.setdefault((t.d, t.order, t.tree, t.beta, t.gain_from), []).append(k)
+    for group in alike.values():
+        for j, alive, n, _, pj, gain, _ in levels(sym, bound, trees[group[0]]):
+            for k in group:
+                folds[k].step(j, alive, n, pj, gain)
+        for k in group:
+            if trees[k].static is not None:  # levels that no position has reached
+                for later in range(j + 1, len(trees[k].static)) if len(sym) else ():
+                    folds[k].step(later, np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0), np.zeros(0))
+    return [f.finish() for f in folds]
+
+
+def predict(sym: np.ndarray, bound: np.ndarray, t: Tree) -> tuple[np.ndarray, np.ndarray]:
+    """The probability given to each symbol, and the length of the context it is from (the deepest one for blends)."""
+    return predict_many(sym, bound, [t])[0]
 
 
 def fit_static(sym: np.ndarray, bound: np.ndarray, t: Tree, rounds: int = 50, tol: float = 1e-6) -> list[float]:

@@ -64,6 +64,15 @@ def arithmetic_round_trip(sym: list[int], p_of) -> tuple[str, list[int]]:
     return bits, out
 
 
+def rate_curve(pred: DataFrame, grid: list[int], p: str = "p", by: list[str] | None = None, units: str = "bits") -> DataFrame:
+    """[by,] n, h: the mean code length of the first n symbols for every n of grid that a sequence has, from sums of bins."""
+    by = by or ["seq_id"]
+    points = F.array(*(F.lit(g).cast("long") for g in sorted(grid)))
+    binned = pred.select(*by, "pos", F.array_min(F.filter(points, lambda g: g >= F.col("pos"))).alias("n"), (-F.ln(p)).alias("nats")).where("n is not null").groupBy(*by, "n").agg(F.sum("nats").alias("nats"), F.max("pos").alias("last"))
+    run = F.sum("nats").over(Window.partitionBy(*by).orderBy("n"))
+    return binned.withColumn("nats", run).where("last = n").select(*by, "n", (F.col("nats") / F.col("n") / unit(units)).alias("h"))
+
+
 def geometric_grid(n: int, first: int = 200, ratio: float = 1.3) -> list[int]:
     out, x = [], float(first)
     while x < n:

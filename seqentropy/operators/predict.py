@@ -16,7 +16,10 @@ from pyspark.cloudpickle import register_pickle_by_value
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.symbols import events as symbol_events
+from ..sources.scratch import written
 from . import context_kernel as C
+from .blocks import block_counts
 from .context_kernel import Tree
 
 PIECE = 200_000
@@ -56,8 +59,7 @@ def gamble(seqs: DataFrame, trees: dict[str, Tree], grid: list[int] | None = Non
         for batch in batches:
             for names, sym, bound in batch_sequences(batch):
                 rows = []
-                for method, t in trees.items():
-                    p, _ = C.predict(sym, bound, t)
+                for method, (p, _) in zip(trees, C.predict_many(sym, bound, list(trees.values())), strict=True):
                     code = np.concatenate([[0.0], np.cumsum(-np.log(p))])
                     for k, name in enumerate(names):
                         size = int(bound[k + 1] - bound[k])
@@ -134,13 +136,21 @@ def _before(df: DataFrame, name: str, value: Column, keys: list[str], block: int
         w = Window.partitionBy(*keys).orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
         return df.withColumn(name, F.coalesce(F.sum(value).over(w), F.lit(0)))
     df = df.withColumn("_v", value).withColumn("_block", F.floor(F.col("pos") / block))
-    sums = df.groupBy(*keys, "_block").agg(F.sum("_v").alias("_s"))
+    # a row for each key and block, written, so that plans don't double at every sum
+    sums = written(df.groupBy(*keys, "_block").agg(F.sum("_v").alias("_s")), "sums")
     running = Window.partitionBy(*keys).orderBy("_block").rowsBetween(Window.unboundedPreceding, -1)
     sums = sums.select(*keys, "_block", F.coalesce(F.sum("_s").over(running), F.lit(0)).alias("_earlier"))
     w = Window.partitionBy(*keys, "_block").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
     return df.join(sums, [*keys, "_block"]).withColumn(name, F.col("_earlier") + F.coalesce(F.sum("_v").over(w), F.lit(0))).drop("_v", "_block", "_earlier")
 
 
+def _born(df: DataFrame, may: Column, deep: Column) -> DataFrame:
+    """alive and born at a level of the incremental tree: a key is born at the first event that may make it (an aggregate with partial minima, so a common key is no task's alone)."""
+    births = written(df.where(may).groupBy("seq_id", "key").agg(F.min("pos").alias("birth")), "births")
+    df = df.join(births, ["seq_id", "key"], "left")
+    return df.withColumn("alive", F.coalesce(F.col("alive") & deep & (F.col("pos") >= F.col("birth")), F.lit(False))).withColumn("born", F.coalesce("birth", "born")).drop("birth")
+
+
 def window_predictions(events: DataFrame, t: Tree, block: int | None = None, crowded: int = 2) -> DataFrame:
     """seq_id, pos, sym, p for events (seq_id, pos, sym, past) with pasts of t.order symbols; contexts of up to ``crowded`` symbols are counted in blocks if a block size is given."""
     df = events.select("seq_id", "pos", "sym", "past")
@@ -153,8 +163,7 @@ def window_predictions(events: DataFrame, t: Tree, block: int | None = None, cro
         df = df.withColumn("key", F.when(deep, F.substring(F.col("past"), F.length("past") - j + 1, F.lit(j))).otherwise("") if j else F.lit(""))
         if j and t.tree == "incremental":
             may = F.col("alive") & (F.col("pos") > F.col("born")) & (F.col("run") >= 2)
-            df = df.withColumn("birth", F.min(F.when(may, F.col("pos"))).over(Window.partitionBy("seq_id", "key")))
-            df = df.withColumn("alive", F.coalesce(F.col("alive") & deep & (F.col("pos") >= F.col("birth")), F.lit(False))).withColumn("born", F.coalesce("birth", "born")).drop("birth")
+            df = _born(df, may, deep)
         else:
             df = df.withColumn("alive", deep)
         live = F.when(F.col("alive"), one).otherwise(zero)
@@ -177,6 +186,144 @@ def window_predictions(events: DataFrame, t: Tree, block: int | None = None, cro
     return df.select("seq_id", "pos", "sym", out.alias("p"))
 
 
+def largest_groups(chunked: DataFrame, order: int) -> dict[int, int]:
+    """For each context length, how often the most frequent context occurs."""
+    c = block_counts(chunked, order) if order else None
+    return {0: 1 << 62} | ({r.n: r.m for r in c.groupBy("n").agg(F.max("cnt").alias("m")).collect()} if order else {})
+
+
+def choose_split(chunked: DataFrame, order: int, most: int) -> int:
+    """The least context length of which no context occurs more than ``most`` times (order + 1: there is none)."""
+    largest = largest_groups(chunked, min(order, 8))
+    return next((j for j in range(1, min(order, 8) + 1) if largest.get(j, 0) <= most), order + 1)
+
+
+def corpus_levels(chunked: DataFrame, t: Tree, split: int = 2, block: int = 65_536) -> DataFrame:
+    """seq_id, pos, sym, past, n, p, gain: for every symbol of sequences of any length, the levels of its contexts as arrays.
+
+    Contexts of fewer than ``split`` symbols hold large parts of all positions: they are counted in windows over blocks of
+    positions.  All longer contexts of an event end in its last ``split`` symbols, so one shuffle by those brings whole
+    subtrees together, and an array kernel takes all further levels there.  ``choose_split`` finds a split whose groups
+    fit a task; beyond the order, everything is done in windows.
+    """
+    df = symbol_events(chunked, t.order)
+    one, zero = F.lit(1), F.lit(0)
+    df = df.withColumns({"born": F.lit(-1).cast("long"), "alive": F.lit(True), "run": F.lit(0).cast("long"), "p_up": F.lit(1.0 / t.d), "levels": F.array().cast("array<struct<n:bigint,p:double,gain:double>>")})
+    for j in range(min(split, t.order + 1)):
+        deep = F.length("past") >= j
+        df = df.withColumn("key", F.when(deep, F.right("past", F.lit(j))).otherwise("") if j else F.lit(""))
+        if j and t.tree == "incremental":
+            may = F.col("alive") & (F.col("pos") > F.col("born")) & (F.col("run") >= 2)
+            df = _born(df, may, deep)
+        else:
+            df = df.withColumn("alive", deep)
+        live = F.when(F.col("alive"), one).otherwise(zero)
+        df = _before(_before(df, "n", live, ["seq_id", "key"], block), "na", live, ["seq_id", "key", "sym"], block)
+        df = df.withColumn("p", (F.col("na") + t.beta) / (F.col("n") + t.beta * t.d))
+        if j:
+            counts = F.col("alive") & (F.col("n") > 0) if t.gain_from == "second" else F.col("alive")
+            df = _before(df, "gain", F.when(counts, F.ln("p_up") - F.ln("p")).otherwise(0.0), ["seq_id", "key"], block).withColumn("gain", F.round("gain", 9))
+        else:
+            df = df.withColumn("gain", F.lit(-1.0))
+        own = F.struct(F.col("n").cast("long").alias("n"), "p", "gain")
+        df = df.withColumn("levels", F.when(F.col("alive"), F.concat("levels", F.array(own))).otherwise(F.col("levels")))
+        df = df.withColumn("run", F.when(F.col("alive"), F.col("na") + 1).otherwise(0)).withColumn("p_up", F.when(F.col("alive"), F.col("p")).otherwise(F.col("p_up"))).drop("n", "na", "p", "gain", "key")
+    out = "seq_id long, pos long, sym string, past string, n array<long>, p array<double>, gain array<double>"
+    plain = ["seq_id", "pos", "sym", "past", F.col("levels.n").alias("n"), F.col("levels.p").alias("p"), F.col("levels.gain").alias("gain")]
+    if split > t.order:
+        return df.select(*plain)
+    going = F.col("alive") & (F.length("past") >= split)
+    state = df.select(*plain, "born", F.col("run").cast("long").alias("run"), "p_up", F.when(going, F.right("past", F.lit(split))).otherwise("").alias("key"), F.when(going, 0).otherwise(F.pmod("pos", F.lit(64))).alias("salt"))
+    return state.groupBy("seq_id", "key", "salt").applyInArrow(_subtrees(t, split), out)
+
+
+def _subtrees(t: Tree, split: int):
+    def run(table: pa.Table) -> pa.Table:
+        names = ["seq_id", "pos", "sym", "past", "n", "p", "gain"]
+        if not table["key"][0].as_py():  # events that have no longer context
+            return table.select(names)
+        table = table.sort_by("pos")
+        size = table.num_rows
+        point = lambda texts: np.frombuffer("".join(texts).encode("utf-32-le"), np.uint32).astype(np.int64)
+        sym, past = point(table["sym"].to_pylist()), table["past"].to_pylist()
+        width = np.array([len(x) for x in past])
+        older = point([x.rjust(t.order, "\0") for x in past]).reshape(size, t.order)[:, ::-1].copy()
+        older[np.arange(t.order)[None, :] >= width[:, None]] = -1
+        at, born, run_, p_up = (table[c].to_numpy() for c in ("pos", "born", "run", "p_up"))
+        rows = []
+        for _, alive, n, _, p, gain, _ in C.deeper(sym, older, at, t, split, born, run_, p_up):
+            rows.append((alive, n, p, gain))
+        if not rows:
+            return table.select(names)
+        owner = np.concatenate([r[0] for r in rows])
+        order = np.argsort(owner, kind="stable")
+        more = np.bincount(owner, minlength=size)
+        have = table["n"].combine_chunks().value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+        bound = np.concatenate([[0], np.cumsum(have + more)])
+        first, place = np.cumsum(more) - more, np.empty(len(owner), np.int64)
+        place[:] = bound[:-1][owner[order]] + have[owner[order]] + np.arange(len(owner)) - first[owner[order]]
+        old = np.repeat(bound[:-1] - np.concatenate([[0], np.cumsum(have)[:-1]]), have) + np.arange(int(have.sum()))
+        lists = []
+        for k, c in enumerate(("n", "p", "gain"), 1):
+            flat = np.empty(int(bound[-1]), np.int64 if c == "n" else np.float64)
+            flat[old] = table[c].combine_chunks().flatten().to_numpy()
+            flat[place] = np.concatenate([r[k] for r in rows])[order]
+            lists.append(pa.ListArray.from_arrays(pa.array(bound.astype(np.int32)), pa.array(flat)))
+        return pa.Table.from_arrays([*(table[c] for c in names[:4]), *lists], names)
+
+    return run
+
+
+def choose(leveled: DataFrame, trees: dict[str, Tree]) -> DataFrame:
+    """seq_id, pos, sym, and for each tree's name its probability: rules (and smaller orders) over rows of ``corpus_levels``."""
+
+    def run(batches):
+        for batch in batches:
+            k = batch.schema.get_field_index
+            n, p, gain = (batch.column(k(c)) for c in ("n", "p", "gain"))
+            have = n.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+            start = np.cumsum(have) - have
+            n, p, gain = (x.flatten().to_numpy() for x in (n, p, gain))
+            folds = [C.Fold(batch.num_rows, t) for t in trees.values()]
+            for j in range(int(have.max(initial=0))):
+                alive = np.flatnonzero(have > j)
+                at = start[alive] + j
+                for f in folds:
+                    f.step(j, alive, n[at], p[at], gain[at])
+            yield pa.RecordBatch.from_arrays([*(batch.column(k(c)) for c in ("seq_id", "pos", "sym")), *(pa.array(f.finish()[0]) for f in folds)], ["seq_id", "pos", "sym", *trees])
+
+    return leveled.select("seq_id", "pos", "sym", "n", "p", "gain").mapInArrow(run, "seq_id long, pos long, sym string, " + ", ".join(f"`{name}` double" for name in trees))
+
+
+def trained_tree(leveled: DataFrame, t: Tree) -> tuple[DataFrame, DataFrame]:
+    """The tree that sequences leave: nodes (depth, ctx, n, gain) and counts (depth, ctx, sym, cnt).
+
+    A node's gain is the sum of what it has saved over its parent at all its events; both are sums over events, counted in
+    batches before they are shuffled.
+    """
+
+    def run(batches):
+        for batch in batches:
+            k = batch.schema.get_field_index
+            n, p = (batch.column(k(c)) for c in ("n", "p"))
+            have = n.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+            start = np.cumsum(have) - have
+            n, p = n.flatten().to_numpy(), p.flatten().to_numpy()
+            sym, past = batch.column(k("sym")).to_pylist(), batch.column(k("past")).to_pylist()
+            for j in range(min(t.order + 1, int(have.max(initial=0)))):
+                alive = np.flatnonzero(have > j)
+                at = start[alive] + j
+                step = np.log(p[at - 1]) - np.log(p[at]) if j else np.zeros(len(at))
+                if t.gain_from == "second":
+                    step[n[at] == 0] = 0.0
+                words, back, count = np.unique(np.array([past[i][len(past[i]) - j:] + sym[i] for i in alive.tolist()]), return_inverse=True, return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(words), j, np.int32)), pa.array([w[:-1] for w in words.tolist()], pa.string()), pa.array([w[-1] for w in words.tolist()], pa.string()), pa.array(count), pa.array(np.bincount(back, step, len(words)))], ["depth", "ctx", "sym", "cnt", "gain"])
+
+    cells = leveled.select("sym", "past", "n", "p").mapInArrow(run, "depth int, ctx string, sym string, cnt long, gain double").groupBy("depth", "ctx", "sym").agg(F.sum("cnt").alias("cnt"), F.sum("gain").alias("gain"))
+    nodes = cells.groupBy("depth", "ctx").agg(F.sum("cnt").alias("n"), F.round(F.sum("gain"), 9).alias("gain"))
+    return nodes, cells.drop("gain")
+
+
 def _fold(df: DataFrame, j: int, t: Tree) -> DataFrame:
     alive, p, gain, out = F.col("alive"), F.col("p"), F.col("gain"), F.col("out")
     ok = alive & (F.col("n") >= max(1, t.n_min)) if j else F.lit(True)
@@ -220,11 +367,9 @@ def additive(c: Column, n: Column, d: int, beta: float | str = 0.5) -> Column:
 
 
 def context_counts(chunked: DataFrame, order: int) -> DataFrame:
-    """depth, ctx, sym, cnt: how often each symbol followed each context of up to ``order`` symbols (superposed tree in long form)."""
-    text = chunked.select(F.length("left").alias("l"), F.length("body").alias("b"), F.concat("left", "body").alias("s"))
-    ends = text.select("s", F.explode(F.sequence(F.col("l") + 1, F.col("l") + F.col("b"))).alias("e"))
-    rows = ends.select("s", "e", F.explode(F.sequence(F.lit(0), F.least(F.lit(order), F.col("e") - 1))).alias("depth"))
-    return rows.groupBy("depth", F.substring(F.col("s"), F.col("e") - F.col("depth"), F.col("depth")).alias("ctx"), F.substring(F.col("s"), F.col("e"), F.lit(1)).alias("sym")).agg(F.count("*").alias("cnt"))
+    """depth, ctx, sym, cnt: how often each symbol followed each context of up to ``order`` symbols (superposed tree in long form); counts of words that are one longer."""
+    words = block_counts(chunked, order + 1)
+    return words.select((F.col("n") - 1).alias("depth"), F.expr("substring(word, 1, n - 1)").alias("ctx"), F.expr("substring(word, n, 1)").alias("sym"), "cnt")
 
 
 def forecast(counts: DataFrame, context: str, d: int, beta: float, alphabet: list[str]) -> DataFrame:

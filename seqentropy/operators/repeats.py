@@ -138,11 +138,19 @@ def prefix_tree(seqs: DataFrame, n: int) -> DataFrame:
     words = ends.select("seq_id", "i", "t", F.explode(F.sequence(F.lit(1), F.length("t") - F.col("i") + 1)).alias("p")).select("seq_id", "i", "p", F.substring(F.col("t"), F.col("i"), F.col("p")).alias("node"))
     counted = words.groupBy("seq_id", "node").agg(F.count("*").alias("visits"), F.min("i").alias("key_pos"), F.first("p").alias("depth"))
     inner = counted.where("visits > 1").select("seq_id", F.col("node").alias("up"))
-    root = F.length("node") == 1
-    leaf = counted.where("visits = 1").join(inner, ["seq_id"], "left").where(root | (F.col("up") == F.substring(F.col("node"), F.lit(1), F.col("depth") - 1))).select("seq_id", "node", "depth", F.lit(True).alias("is_leaf"), "key_pos", "visits").distinct()
+    single = counted.where("visits = 1").withColumn("up", F.expr("substring(node, 1, depth - 1)"))
+    leaf = single.where("depth > 1").join(inner, ["seq_id", "up"], "left_semi").unionByName(single.where("depth = 1")).select("seq_id", "node", "depth", F.lit(True).alias("is_leaf"), "key_pos", "visits")
     return leaf.unionAll(counted.where("visits > 1").select("seq_id", "node", "depth", F.lit(False).alias("is_leaf"), F.lit(None).cast("int").alias("key_pos"), "visits"))
 
 
+def suffix_words(seqs: DataFrame, precursor: str = "") -> DataFrame:
+    """seq_id, k, word: the leaf of each position in the suffix tree of a sequence after a precursor: the shortest word ending at k that ends at no other of its positions."""
+    ends = seqs.select("seq_id", F.concat(F.lit(precursor), "t").alias("s"), F.explode(F.sequence(F.lit(1), F.length("t"))).alias("k")).withColumn("e", F.col("k") + len(precursor))
+    words = ends.select("seq_id", "k", F.expr("explode(sequence(1, e))").alias("p"), "s", "e").select("seq_id", "k", "p", F.expr("substring(s, e - p + 1, p)").alias("word"))
+    own = words.groupBy("seq_id", "word").agg(F.count("*").alias("n"), F.min("k").alias("k"), F.min("p").alias("p")).where("n = 1")
+    return own.groupBy("seq_id", "k").agg(F.min_by("word", "p").alias("word"))
+
+
 # --- parsings --------------------------------------------------------------------------------------------------------
 
 _PHRASES = "seq_id long, k long, start long, len int, ref long, new_sym string, complete boolean"

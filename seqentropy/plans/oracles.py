@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from ..functions.mathx import sql_digamma
+from ..functions.mathx import sql_digamma, sql_lgamma
 
 LN2 = math.log(2)
 
@@ -57,7 +57,35 @@ def events(order: int) -> str:
   FROM ({places("SELECT * FROM seqs", order, "seq_id")}))"""
 
 
-def levels(order: int, d: int, beta: float, rule: str, delta: float = 0.0, tree: str = "full", q: float = 1.0) -> str:
+def line_events(order: int, seqs: str = "seqs", name: str = "events") -> str:
+    """name(seq_id, pos, sym, past) from seqs with very long texts, cut in two steps."""
+    o = order
+    return f"""{name}_big AS (SELECT seq_id, s0, s0 - greatest(s0 - {o}, 1) AS k0, substr(t, greatest(s0 - {o}, 1), 8192 + s0 - greatest(s0 - {o}, 1)) AS t FROM (SELECT seq_id, t, unnest(range(1, len(t) + 1, 8192)) AS s0 FROM {seqs})),
+{name}_cut AS (SELECT seq_id, s0 + s - k0 - 1 AS s1, s - greatest(s - {o}, 1) AS k1, substr(t, greatest(s - {o}, 1), 256 + s - greatest(s - {o}, 1)) AS t FROM (SELECT *, unnest(range(k0 + 1, len(t) + 1, 256)) AS s FROM {name}_big)),
+{name} AS (SELECT seq_id, CAST(s1 + e - k1 - 1 AS BIGINT) AS pos, substr(t, e, 1) AS sym, substr(t, greatest(e - {o}, 1), e - greatest(e - {o}, 1)) AS past FROM (SELECT *, unnest(range(k1 + 1, len(t) + 1)) AS e FROM {name}_cut))"""
+
+
+def trained(order: int) -> str:
+    """nodes(depth, ctx, n, gain) and cells(depth, ctx, sym, cnt) after levels()."""
+    rows = " UNION ALL ".join(f"SELECT {j} AS depth, key AS ctx, sym, count(*) AS cnt, sum({'CASE WHEN n > 0 THEN ln(p_up) - ln(p) ELSE 0.0 END' if j else '0.0'}) AS gain FROM e{j} WHERE alive GROUP BY key, sym" for j in range(order + 1))
+    return f"cells AS MATERIALIZED ({rows}), nodes AS MATERIALIZED (SELECT depth, ctx, sum(cnt) AS n, round(sum(gain), 9) AS gain FROM cells GROUP BY depth, ctx)"
+
+
+def mixture(depth: int, d: int) -> str:
+    """w0(seq_id, w) from events(seq_id, sym, past): log probability of the half-and-half mixture over trees."""
+    out = [f"ev AS (SELECT seq_id, sym, past FROM events WHERE len(past) = {depth})"]
+    for j in range(depth, -1, -1):
+        key = f"right(past, {j})" if j else "''"
+        out.append(f"k{j} AS (SELECT seq_id, ctx, sum({sql_lgamma('c + 0.5')} - {sql_lgamma('0.5')}) - max({sql_lgamma(f'n + {0.5 * d}')} - {sql_lgamma(repr(0.5 * d))}) AS kt FROM (SELECT seq_id, ctx, sym, c, sum(c) OVER (PARTITION BY seq_id, ctx) AS n FROM (SELECT seq_id, {key} AS ctx, sym, count(*) AS c FROM ev GROUP BY ALL)) GROUP BY seq_id, ctx)")
+        if j == depth:
+            out.append(f"w{j} AS (SELECT seq_id, ctx, kt AS w FROM k{j})")
+        else:
+            below = f"SELECT seq_id, right(ctx, {j}) AS ctx, sum(w) AS w FROM w{j + 1} GROUP BY ALL" if j else f"SELECT seq_id, '' AS ctx, sum(w) AS w FROM w{j + 1} GROUP BY seq_id"
+            out.append(f"w{j} AS (SELECT seq_id, ctx, ln(0.5) + greatest(kt, b.w) + ln(exp(kt - greatest(kt, b.w)) + exp(b.w - greatest(kt, b.w))) AS w FROM k{j} JOIN ({below}) b USING (seq_id, ctx))")
+    return ", ".join(out)
+
+
+def levels(order: int, d: int, beta: float, rule: str, delta: float = 0.0, tree: str = "full", q: float = 1.0, static: list[float] | None = None) -> str:
     """pred(seq_id, pos, sym, p) from events, a window query for each level."""
     out = [f"l_start AS (SELECT seq_id, pos, sym, past, CAST(-1 AS BIGINT) AS born, true AS alive, 0 AS run, 1.0 / {d} AS p_up, 1.0 / {d} AS res, false AS flag, 1.0 / {d} AS cand, false AS done, true AS going, 0.0 AS total, 0.0 AS best FROM events)"]
     prev = "l_start"
@@ -100,6 +128,9 @@ def levels(order: int, d: int, beta: float, rule: str, delta: float = 0.0, tree:
             else:
                 s["res"] = "p"
             s["flag"], s["cand"] = good, "CASE WHEN alive THEN p ELSE cand END"
+        elif static is not None:
+            s["cand"] = f"CASE WHEN {ok} THEN p ELSE cand END"
+            s["res"] = f"({static[j]} * ({s['cand']}) + {'res' if j else '0.0'})"
         elif rule == "blend":
             e = f"(CASE WHEN alive AND n > 0 THEN {q} / (n + {q}) ELSE 1.0 END)"
             s["res"] = f"(1 - {e}) * p + {e} * res"

@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import math
-import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -17,6 +16,7 @@ from ..operators import language as L
 from ..operators import predict as P
 from ..operators import repeats as R
 from ..operators.context_kernel import Tree
+from ..sources.scratch import scratch, written
 from ..sources.tables import table
 from ..streaming import online as O
 from . import oracles as Q
@@ -74,11 +74,6 @@ USERS = "SELECT user_id AS seq_id, string_agg(sym, '' ORDER BY ts, event_id) AS
 CUSTOMERS = "SELECT o_custkey AS seq_id, string_agg(sym, '' ORDER BY o_orderdate, o_orderkey) AS t FROM (SELECT o_custkey, o_orderdate, o_orderkey, CAST(dense_rank() OVER (ORDER BY o_orderpriority) - 1 AS VARCHAR) AS sym FROM orders WHERE o_custkey IS NOT NULL AND o_orderpriority IS NOT NULL) GROUP BY o_custkey"
 
 
-def scratch(spark: SparkSession, name: str) -> str:
-    folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir") or "/tmp/checkpoints/seqentropy"
-    return f"{folder.rstrip('/')}/{name}-{uuid.uuid4().hex}"
-
-
 # --- symbols ---------------------------------------------------------------------------------------------------------
 
 
@@ -197,7 +192,10 @@ def b12(spark, d):
     return B.min_count_entropy(B.block_counts_arrow(docs27(spark, d), 5), 3).select("n", r6("h_block").alias("h_block"))
 
 
-@query("b13_assumed_tail")
+_B13 = "(w_kept * ln(w) - coalesce(clogc, 0)) / w + CASE WHEN once > 0 THEN -(once / w) * ln((once / w) / greatest(exp(5 * ln(27.0)) - often, once, 1.0)) ELSE 0.0 END"
+
+
+@query("b13_assumed_tail", f"WITH {Q.with_seqs(Q.DOCS27)}, {Q.words(5)}, g AS (SELECT n, CAST(sum(cnt) AS DOUBLE) AS w, coalesce(sum(cnt) FILTER (cnt > 1), 0) AS w_kept, sum(cnt * ln(cnt)) FILTER (cnt > 1) AS clogc, count(*) FILTER (cnt = 1) AS once, count(*) FILTER (cnt > 1) AS often FROM counts GROUP BY n) SELECT n, round(({_B13}) / {Q.LN2!r}, 6) AS h_block FROM g")
 def b13(spark, d):
     return B.assumed_tail_entropy(B.block_counts_arrow(docs27(spark, d), 5), 27.0**5).select("n", r6("h_block").alias("h_block"))
 
@@ -281,6 +279,23 @@ def _parses(kind: str):
 query("p1_p3_p8_dictionary_parse")(_parses("dictionary"))
 query("p2_p3_p8_substring_parse")(_parses("substring"))
 
+_PARSED = f"SELECT seq_id, count(*) FILTER (complete) AS phrases, CAST(sum(len) FILTER (complete) AS BIGINT) AS n, round(sum(len) FILTER (complete) / count(*) FILTER (complete), 6) AS mean_len, round(ln(sum(len) FILTER (complete)) * count(*) FILTER (complete) / sum(len) FILTER (complete) / {Q.LN2!r}, 6) AS rate, round(sum({{}} + log2(5)), 4) AS bits FROM p GROUP BY seq_id"
+_DICTIONARY = f"WITH RECURSIVE {Q.with_seqs(CUSTOMERS)}, s AS (SELECT seq_id, t, 0 AS k, 1 AS start, 0 AS len, false AS complete, CAST([] AS VARCHAR[]) AS known FROM seqs UNION ALL SELECT seq_id, t, k + 1, start + len, CASE WHEN start + len + m <= len(t) THEN m + 1 ELSE m END, start + len + m <= len(t), list_append(known, substr(t, start + len, m + 1)) FROM (SELECT *, coalesce(list_max(list_transform(known, lambda x: CASE WHEN starts_with(substr(t, start + len), x) THEN len(x) ELSE 0 END)), 0) AS m FROM s WHERE start + len <= len(t))), p AS (SELECT * FROM s WHERE k > 0)"
+_SUBSTRING = f"WITH RECURSIVE {Q.with_seqs(CUSTOMERS)}, {_LENGTHS}, m AS (SELECT seq_id, i, min(p) AS len FROM g WHERE first = i GROUP BY seq_id, i), f AS (SELECT seq_id, len(t) AS size FROM seqs), s AS (SELECT seq_id, size, CAST(0 AS BIGINT) AS k, CAST(1 AS BIGINT) AS start, CAST(0 AS BIGINT) AS len, false AS complete FROM f UNION ALL SELECT s.seq_id, size, k + 1, s.start + s.len, coalesce(m.len, size - (s.start + s.len) + 1), m.len IS NOT NULL FROM s LEFT JOIN m ON m.seq_id = s.seq_id AND m.i = s.start + s.len WHERE s.start + s.len <= size), p AS (SELECT * FROM s WHERE k > 0)"
+
+
+def _history_parses(kind: str):
+    def run(spark, d):
+        phrases = R.parse(customers(spark, d), kind)
+        rates = R.parse_rate(phrases, by=["seq_id"]).join(R.parse_code_bits(phrases, 5, kind), "seq_id")
+        return rates.select("seq_id", "phrases", "n", r6("mean_len").alias("mean_len"), r6("rate").alias("rate"), F.round("bits", 4).alias("bits"))
+
+    return run
+
+
+query("p1_p3_p8_dictionary_histories", f"{_DICTIONARY} {_PARSED.format('log2(k)')}")(_history_parses("dictionary"))
+query("p2_p3_p8_substring_histories", f"{_SUBSTRING} {_PARSED.format('log2(greatest(start, 1)) + 2 * floor(log2(len)) + 1')}")(_history_parses("substring"))
+
 
 @query("p9_decoded_parses", f"SELECT seq_id, md5(t) AS dictionary, md5(t) AS substrings FROM ({Q.DOCS27})")
 def p9(spark, d):
@@ -335,6 +350,49 @@ def c1(spark, d):
     return P.context_counts(S.chunks(seq, 2), 2).where("ctx in ('', '1', '11')").select("ctx", "sym", F.col("cnt").cast("int").alias("cnt"))
 
 
+def _tree_statistics(tree: str, order: int) -> str:
+    alive = " UNION ALL ".join(f"SELECT {j} AS depth, seq_id, key FROM b{j} WHERE alive" for j in range(order + 1))
+    least = "WHERE visits > 1" if tree == "full" else ""
+    return f"SELECT '{tree}' AS tree, CAST(depth AS INTEGER) AS depth, count(*) AS nodes, CAST(sum(visits) AS BIGINT) AS visits FROM (WITH {Q.levels(order, 5, 0.5, 'fixed', tree=tree)} SELECT depth, seq_id, key, count(*) AS visits FROM ({alive}) GROUP BY ALL) {least.replace('visits', '(depth = 0 OR visits')}{')' if least else ''} GROUP BY depth"
+
+
+@query("c3_c6_tree_statistics_users", f"WITH {Q.with_seqs(USERS)}, {Q.events(4)} {_tree_statistics('full', 4)} UNION ALL {_tree_statistics('incremental', 4)}")
+def c6u(spark, d):
+    """Nodes and visits by depth of the trees of user histories."""
+    out = None
+    for tree in ("full", "incremental"):
+        s = P.tree_statistics(users(spark, d), Tree(5, 4, tree))
+        row = s.groupBy(F.lit(tree).alias("tree"), "depth").agg(F.sum("nodes").alias("nodes"), F.sum("visits").alias("visits"))
+        out = row if out is None else out.unionAll(row)
+    return out
+
+
+@query("c1_suffix_words", "SELECT * FROM (VALUES ('1010', 1, '11'), ('1010', 2, '110'), ('1010', 3, '01'), ('1010', 4, '010'), ('10101', 1, '11'), ('10101', 2, '110'), ('10101', 3, '1101'), ('10101', 4, '010'), ('10101', 5, '0101')) v(t, k, word)")
+def c1w(spark, d):
+    """Worked suffix trees after an aperiodic precursor: the leaf of every position."""
+    seqs = spark.createDataFrame([(0, "1010"), (1, "10101")], "seq_id long, t string")
+    return R.suffix_words(seqs, "01101").join(F.broadcast(seqs), "seq_id").select("t", F.col("k").cast("int").alias("k"), "word")
+
+
+_ROOT = S.root_half(24)
+
+
+@query("s8_counts_after_a_precursor", f"WITH seqs AS (SELECT seq_id, '{_ROOT}' || translate(t, '01234', '00111') AS t FROM ({CUSTOMERS})), e AS ({Q.places('SELECT * FROM seqs', 3)}), r AS (SELECT t, e, unnest(range(0, least(3, e - 1) + 1)) AS depth FROM e) SELECT CAST(depth AS INTEGER) AS depth, substr(t, e - depth, depth) AS ctx, substr(t, e, 1) AS sym, count(*) AS cnt FROM r GROUP BY ALL")
+def s8(spark, d):
+    """Contexts of binary histories that begin after a fixed aperiodic precursor."""
+    bits = customers(spark, d).select("seq_id", F.translate("t", "01234", "00111").alias("t"))
+    return P.context_counts(S.chunks(S.with_precursor(bits, _ROOT), 3), 3)
+
+
+@query("s6_sign_partition", "SELECT user_id AS seq_id, md5(string_agg(CASE WHEN value - 50 >= 0 THEN '1' ELSE '0' END, '' ORDER BY ts, event_id)) AS digest FROM events WHERE user_id IS NOT NULL AND value IS NOT NULL GROUP BY user_id")
+def s6(spark, d):
+    """Event values as above or below 50, a binary sequence for each user."""
+    e = table(spark, d, "events")
+    rows = S.symbols_from_events(e, "user_id", ["ts", "event_id"], S.sign_partition(F.col("value") - 50))
+    both = S.gather(rows.join(F.broadcast(spark.createDataFrame([("0",), ("1",)], "sym string")), "sym"))
+    return both.select("seq_id", F.md5("t").alias("digest"))
+
+
 @query("c3_c6_tree_statistics")
 def c6(spark, d):
     """Nodes and depth of the full and the incremental trees of whole documents."""
@@ -379,7 +437,19 @@ def e7(spark, d):
     return rate.withColumn("weights", F.lit(",".join(f"{x:.4f}" for x in c)))
 
 
-@query("e9_tree_mixture")
+_STATIC = [0.1, 0.2, 0.3, 0.4]
+
+
+@query("e7_given_weights", f"WITH {Q.with_seqs(USERS)}, {Q.events(3)}, {Q.levels(3, 5, 0.5, 'blend', static=_STATIC)} {Q.RATE}")
+def e7g(spark, d):
+    """Blend with given weights of the levels, the same for all positions."""
+    return _rate(users(spark, d), Tree(5, 3, rule="blend", static=_STATIC))
+
+
+_BITS2 = CUSTOMERS.replace("SELECT o_custkey AS seq_id, string_agg(sym, '' ORDER BY o_orderdate, o_orderkey) AS t", "SELECT o_custkey AS seq_id, translate(string_agg(sym, '' ORDER BY o_orderdate, o_orderkey), '01234', '00111') AS t")
+
+
+@query("e9_tree_mixture", f"WITH {Q.with_seqs(_BITS2)}, {Q.events(4)}, {Q.mixture(4, 2)} SELECT (SELECT count(*) FROM ev) AS n, round(-sum(w) / (SELECT count(*) FROM ev) / {Q.LN2!r}, 6) AS bits FROM w0")
 def e9(spark, d):
     """Mixture over all binary trees of depth 4, of order histories as above or below the middle priority."""
     bits = customers(spark, d).select("seq_id", F.translate("t", "01234", "00111").alias("t"))
@@ -455,11 +525,16 @@ _BITS = "SELECT l_suppkey AS seq_id, string_agg(CASE WHEN CAST('0x' || substr(md
 
 
 def supplier_bits(spark, d) -> DataFrame:
+    return line_bits(spark, d)
+
+
+def line_bits(spark, d, groups: int | None = None) -> DataFrame:
+    """Biased bits from hashes of line items, a sequence for each supplier, or for each of some groups of suppliers."""
     from pyspark.sql import Window
 
-    rows = table(spark, d, "lineitem")
-    pos = F.row_number().over(Window.partitionBy("l_suppkey").orderBy("l_orderkey", "l_linenumber", "l_partkey", "l_shipdate"))
-    return S.gather(D.bernoulli_bits(rows.withColumn("pos", pos), "l_suppkey", "pos", ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"], 0.05))
+    rows = table(spark, d, "lineitem").withColumn("group", F.pmod("l_suppkey", F.lit(groups)) if groups else F.col("l_suppkey"))
+    pos = F.row_number().over(Window.partitionBy("group").orderBy("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate") if groups else Window.partitionBy("group").orderBy("l_orderkey", "l_linenumber", "l_partkey", "l_shipdate"))
+    return S.gather(D.bernoulli_bits(rows.withColumn("pos", pos), "group", "pos", ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey"], 0.05))
 
 
 def _taps(steps: int) -> str:
@@ -476,6 +551,21 @@ def g4(spark, d):
     return out
 
 
+@query("y3_exact_rates", f"SELECT * FROM (VALUES ('bits 0.05', round(-(0.05 * log2(0.05) + 0.95 * log2(0.95)), 6)), ('chain', round((0.75 * -(0.9 * log2(0.9) + 0.1 * log2(0.1)) + 0.25 * -(0.3 * log2(0.3) + 0.7 * log2(0.7))), 6)), ('letters', round(log2(27), 6))) v(source, bits)")
+def y3(spark, d):
+    """Exact rates of biased bits, of a chain of order 1 and of equally likely letters."""
+    rows = [("bits 0.05", D.entropy_bernoulli(0.05)), ("chain", D.entropy_markov([[0.9, 0.1], [0.3, 0.7]])), ("letters", math.log2(27))]
+    return spark.createDataFrame(rows, "source string, bits double").select("source", r6("bits").alias("bits"))
+
+
+@query("y4_accuracy", f"WITH {Q.with_seqs(Q.DOCS27)}, {Q.words(4)}, {Q.block_entropy(27)}, x AS (SELECT n, max(h_block) FILTER (method = 'plugin') AS a, max(h_block) FILTER (method = 'digamma_parity') AS b FROM h GROUP BY n) SELECT n, round((a - b) / b, 6) AS rel_error, a >= b AS is_above, round(a / log2(27), 6) AS ratio FROM x")
+def y4(spark, d):
+    """How far the likelihood estimate is under the corrected one, and both against a plain code."""
+    h = B.block_entropy(B.block_counts_arrow(docs27(spark, d), 4), 27, methods=["plugin", "digamma_parity"])
+    both = h.groupBy("n").agg(F.max(F.when(F.col("method") == "plugin", F.col("h_block"))).alias("estimate"), F.max(F.when(F.col("method") != "plugin", F.col("h_block"))).alias("reference"))
+    return G.accuracy(both, 27).select("n", r6("rel_error").alias("rel_error"), "is_above", r6("ratio").alias("ratio"))
+
+
 @query("g6_y3_chains_with_known_rates")
 def g6(spark, d):
     """Chains of order 1 and 3: prediction and block rates against the exact one."""
@@ -496,7 +586,7 @@ def w1(spark, d):
     """Block entropies of the plane map's bits against the length, with its Lyapunov exponent (nats)."""
     start = D.seeds(table(spark, d, "supplier"), "s_suppkey", 10).select("seq_id", (F.col("x0") * 0.1).alias("x0"))
     seqs = D.map_symbols(start, "plane", 20000, a=D.PLANE_A)
-    h = B.block_curve(S.chunks(seqs, 24), [8, 12, 20, 22, 24], [1000, 4000, 20000], 2, "nats", ["plugin", "digamma_parity"], by=["seq_id"])
+    h = B.block_curve(S.chunks(seqs, 24), [8, 12, 20, 22, 24, 25], [1000, 4000, 20000], 2, "nats", ["plugin", "digamma_parity"], by=["seq_id"])
     return h.groupBy("length", "n", "method").agg(F.avg("h_per_symbol").alias("h_per_symbol"), F.avg("h_diff").alias("h_diff"))
 
 
@@ -513,101 +603,197 @@ query("w3_repeat_rate_chaotic")(_repeat_workload(D.CHAOTIC))
 query("w4_repeat_rate_accumulation")(_repeat_workload(D.ACCUMULATION))
 
 
-def _map_workload(kind: str, a: float, n: int, known: float, h0: float | None = None, replicas: int = 50):
+def _length(spark, d, most: int = 10**6) -> int:
+    """Symbols of a replica: 20,000 on the smaller tables, then in proportion to them, to the experiments' million."""
+    return min(most, max(20_000, 13 * table(spark, d, "customer").count()))
+
+
+def _map_workload(kind: str, a: float, known: float, h0: float | None = None, replicas: int = 50, most: int = 10**6):
+    """Gambling by full trees, as deep as contexts repeat."""
+
     def run(spark, d):
-        seqs = D.map_symbols(D.seeds(table(spark, d, "customer"), "c_custkey", replicas), kind, n, a=a)
-        grid = G.geometric_grid(n)
-        trees = {"shortest_gain": Tree(2, 24), "min_total_gain": Tree(2, 24, rule="min_total_gain", delta=2.0), "deepest_gain": Tree(2, 24, rule="deepest_gain", delta=2.0)}
-        curve = G.mean_curve(G.curve(P.gamble(seqs, trees, grid), "nats", by=["seq_id", "method"]), by=["method"])
-        fit = G.fit_tail(curve, by=["method"], h0=h0)
-        last = curve.groupBy("method").agg(F.max_by("h", "n").alias("h_last"))
-        return fit.join(last, "method").withColumn("reference", F.lit(known))
+        n = _length(spark, d, most)
+        start = D.seeds(table(spark, d, "customer"), "c_custkey", replicas).repartition(replicas)
+        seqs = D.map_symbols(start, kind, n, a=a)
+        trees = {"shortest_gain": Tree(2), "min_total_gain": Tree(2, rule="min_total_gain", delta=2.0), "deepest_gain": Tree(2, rule="deepest_gain", delta=2.0)}
+        curve = G.mean_curve(G.curve(P.gamble(seqs, trees, G.geometric_grid(n)), "nats", by=["seq_id", "method"]), by=["method"])
+        curve = written(curve, "curve")
+        last = curve.groupBy("method").agg(F.max_by("h", "n").alias("h_last"), F.max("n").alias("n"))
+        return G.fit_tail(curve, by=["method"], h0=h0).join(last, "method").withColumn("reference", F.lit(known))
 
     return run
 
 
-query("w7_gambling_chaotic")(_map_workload("quadratic", D.CHAOTIC, 20000, 0.405))
-query("w7_gambling_intermittent")(_map_workload("quadratic", D.INTERMITTENT, 20000, 0.184))
-query("w8_gambling_accumulation")(_map_workload("quadratic", D.ACCUMULATION, 10000, 0.0, h0=0.0))
-query("w9_gambling_laser")(_map_workload("laser", 0.0, 20000, 0.508))
+query("w7_gambling_chaotic")(_map_workload("quadratic", D.CHAOTIC, 0.405))
+query("w7_gambling_intermittent")(_map_workload("quadratic", D.INTERMITTENT, 0.184))
+query("w8_gambling_accumulation")(_map_workload("quadratic", D.ACCUMULATION, 0.0, h0=0.0, replicas=8, most=10_000))
+query("w9_gambling_laser")(_map_workload("laser", 0.0, 0.508))
 
 
 @query("w10_gambling_automaton")
 def w10(spark, d):
-    """Rule 150 after 0, 2, 4 and 6 steps: the rate should stay that of the bits (0.286 bits)."""
-    bits = supplier_bits(spark, d)
+    """Rule 150 after 0, 2, 4 and 6 steps, by full trees: last rates and fitted limits against that of the bits (0.286 bits)."""
+    bits = written(line_bits(spark, d, 10), "bits")
     out = None
     for s in (0, 2, 4, 6):
         seqs = bits if not s else D.automaton_150(bits, s)
-        g = P.gamble(seqs, {"min_total_gain": Tree(2, 2 * s + 2, rule="min_total_gain", delta=2.0), "shortest_gain": Tree(2, 2 * s + 2)})
-        row = g.groupBy(F.lit(s).alias("steps"), "method").agg((F.sum("nats") / F.sum("n") / math.log(2)).alias("estimate"), F.lit(D.entropy_bernoulli(0.05)).alias("reference"))
+        g = P.gamble(seqs, {"min_total_gain": Tree(2, rule="min_total_gain", delta=2.0), "shortest_gain": Tree(2)}, G.geometric_grid(100_000))
+        row = G.curve(g, by=["seq_id", "method"]).select("seq_id", F.concat_ws(" ", F.lit(s).cast("string"), "method").alias("method"), "n", "h")
         out = row if out is None else out.unionAll(row)
-    return G.accuracy(out)
+    curve = G.mean_curve(out, by=["method"]).where("replicas >= 5")
+    curve = written(curve, "curve")
+    fit = G.fit_tail(curve, by=["method"], least_n=500).select("method", F.col("h").alias("estimate"), "gamma", "ok")
+    both = fit.join(curve.groupBy("method").agg(F.max_by("h", "n").alias("h_last"), F.max("n").alias("n")), "method").withColumn("reference", F.lit(D.entropy_bernoulli(0.05)))
+    return G.accuracy(both)
+
+
+# --- corpora as one sequence -----------------------------------------------------------------------------------------
+
+CORPORA = ["en", "de", "fr", "es", "conversations", "benchmark"]
+
+
+def corpora(spark, d, left: int, names: list[str]) -> DataFrame:
+    """Each corpus as one sequence (seq_id its place in CORPORA), its texts in the order of their ids."""
+    out = None
+    for name in names:
+        seqs = turns27(spark, d) if name == "conversations" else bench27(spark, d) if name == "benchmark" else S.sequences(table(spark, d, "documents").where(F.col("lang") == name), "doc_id", S.normalise_27(F.col("text")))
+        part = S.corpus_chunks(seqs, left, number=CORPORA.index(name))
+        out = part if out is None else out.unionAll(part)
+    return written(out, "corpora")
+
+
+def corpus_predictions(chunked: DataFrame, trees: dict[str, Tree], split: int = 2) -> DataFrame:
+    """Probabilities of all trees (that differ in rule and order alone) from one run of the corpus engine."""
+    most = max(trees.values(), key=lambda t: t.order)
+    return P.choose(P.corpus_levels(chunked, most, split), trees)
+
+
+def _corpus_sql(names: list[str], source: str = "{}") -> str:
+    lang = "SELECT * FROM (SELECT doc_id AS seq_id, trim(regexp_replace(lower(text), '[^a-z]+', ' ', 'g')) AS t FROM documents WHERE text IS NOT NULL AND lang = '{}') WHERE t <> ''"
+    return " UNION ALL ".join(f"SELECT {CORPORA.index(n)} AS seq_id, string_agg(t, ' ' ORDER BY seq_id) || ' ' AS t FROM ({lang.format(n)})" for n in names)
 
 
 @query("w11_corpora")
 def w11(spark, d):
-    """Documents by language, conversations and benchmark: incremental tree, beta 1/27, and the limit of the mean curve."""
-    sources = {lang: S.sequences(table(spark, d, "documents").where(F.col("lang") == lang), "doc_id", S.normalise_27(F.col("text"))) for lang in ("en", "de", "fr", "es")} | {"conversations": turns27(spark, d), "benchmark": bench27(spark, d)}
-    out = None
-    for name, seqs in sources.items():
-        g = P.gamble(seqs, {"shortest_gain": Tree(27, 10, "incremental", 1 / 27)}, G.geometric_grid(100000))
-        c = g.groupBy(F.lit(name).alias("corpus"), "n").agg((F.sum("nats") / F.sum("n") / math.log(2)).alias("h"), F.count("*").alias("sequences"))
-        out = c if out is None else out.unionAll(c)
-    return G.fit_tail(out.where("sequences >= 3"), by=["corpus"], least_n=200)
+    """Six corpora, each bet on as one sequence: incremental tree of up to 8 letters, beta 1/27; last rate and the limit of the curve."""
+    pred = corpus_predictions(corpora(spark, d, 8, CORPORA), {"p": Tree(27, 8, "incremental", 1 / 27)})
+    curve = written(G.rate_curve(pred, G.geometric_grid(10**8, 1000)[:-1]), "curve")
+    fit = G.fit_tail(curve, by=["seq_id"])
+    last = curve.groupBy("seq_id").agg(F.max_by("h", "n").alias("h_last"), F.max("n").alias("n"))
+    name = F.element_at(F.array(*(F.lit(c) for c in CORPORA)), (F.col("seq_id") + 1).cast("int"))
+    return fit.join(last, "seq_id").select(name.alias("corpus"), "n", "h_last", "h", "c", "gamma", "sse", "n_points", "ok")
+
+
+_GRID11 = [1000, 3000, 10000, 30000, 100000]
+
+
+@query("w11_corpus_curves", f"WITH seqs AS ({_corpus_sql(['de', 'fr', 'es'])}), {Q.line_events(4)}, {Q.levels(4, 27, 1 / 27, 'shortest_gain', tree='incremental')}, g AS (SELECT unnest({_GRID11}) AS n) SELECT seq_id, CAST(n AS BIGINT) AS n, round(sum(-ln(p)) / n / {Q.LN2!r}, 6) AS h FROM pred JOIN g ON pos <= n GROUP BY seq_id, n HAVING count(*) = n")
+def w11c(spark, d):
+    """Convergence of the incremental tree's code on whole corpora."""
+    pred = corpus_predictions(corpora(spark, d, 4, ["de", "fr", "es"]), {"p": Tree(27, 4, "incremental", 1 / 27)})
+    return G.rate_curve(pred, _GRID11).select(F.col("seq_id").cast("int").alias("seq_id"), "n", r6("h").alias("h"))
 
 
 @query("w12_ascii_against_compressors")
 def w12(spark, d):
-    """7-bit English: gambling and blending against general compressors, bits a character."""
+    """7-bit English as one sequence: gambling and blending against general compressors (on stretches of a million characters), bits a character."""
     seqs = S.sequences(table(spark, d, "documents").where("lang = 'en'"), "doc_id", S.ascii7(F.col("text")))
-    g = P.gamble(seqs, {"shortest_gain": Tree(128, 6, "incremental", 1 / 128), "blend": Tree(128, 6, "full", 1 / 128, "blend")})
-    out = g.groupBy("method").agg((F.sum("nats") / F.sum("n") / math.log(2)).alias("bits"))
+    chunked = written(S.corpus_chunks(seqs, 6), "ascii")
+    out = None
+    for name, t in (("shortest_gain", Tree(128, 6, "incremental", 1 / 128)), ("blend", Tree(128, 6, "full", 1 / 128, "blend"))):
+        row = corpus_predictions(chunked, {"p": t}).agg(F.lit(name).alias("method"), (F.sum(-F.ln("p")) / F.count("*") / math.log(2)).alias("bits"))
+        out = row if out is None else out.unionAll(row)
+    whole = written(S.corpus_chunks(seqs, 0, 1 << 20).select(F.col("start").alias("seq_id"), F.col("body").alias("t")), "stretches")
     for tool in ("zlib", "bz2", "lzma", "lzw"):
-        out = out.unionAll(R.compressor_bits(seqs, tool).agg(F.lit(tool).alias("method"), (F.sum("bits") / F.sum("n")).alias("bits")))
+        out = out.unionAll(R.compressor_bits(whole, tool).agg(F.lit(tool).alias("method"), (F.sum("bits") / F.sum("n")).alias("bits")))
     return out
 
 
-@query("w13_truncated_trees")
+_W13 = " UNION ALL ".join(f"SELECT {n} AS n, bits FROM (WITH {Q.levels(n - 1, 27, 1 / 27, 'shortest_gain', tree='incremental')} {Q.RATE})" for n in (4, 5, 6))
+
+
+@query("w13_truncated_trees", f"WITH seqs AS ({_corpus_sql(['en'])}), {Q.line_events(5)}, words AS (SELECT past || sym AS w, unnest(range(1, len(past) + 2)) AS n FROM events), counts AS (SELECT CAST(n AS INTEGER) AS n, right(w, n) AS word, count(*) AS cnt FROM words GROUP BY ALL), {Q.block_entropy(27)}, r AS (SELECT n, h_block - lag(h_block) OVER (ORDER BY n) AS reference FROM h WHERE method = 'digamma_parity'), x AS ({_W13}) SELECT CAST(x.n AS INTEGER) AS n, bits AS estimate, round(reference, 6) AS reference, bits >= reference AS is_above FROM x JOIN r ON r.n = x.n")
 def w13(spark, d):
-    """Trees cut at depth 3, 4, 5 against block entropies of 4, 5, 6 letters (an upper bound on them)."""
-    seqs = docs27(spark, d)
-    g = P.gamble(seqs, {str(n): Tree(27, n - 1, "incremental", 1 / 27) for n in (4, 5, 6)}).groupBy(F.col("method").cast("int").alias("n")).agg((F.sum("nats") / F.sum("n") / math.log(2)).alias("estimate"))
-    h = B.block_entropy(B.block_counts_arrow(seqs, 6), 27, methods=["digamma_parity"]).select("n", F.col("h_diff").alias("reference"))
-    return G.accuracy(g.join(h, "n"))
+    """English as one sequence: trees cut at depth 3, 4, 5 against block entropies of 4, 5, 6 letters of the same text."""
+    chunked = corpora(spark, d, 5, ["en"])
+    trees = {f"p{n}": Tree(27, n - 1, "incremental", 1 / 27) for n in (4, 5, 6)}
+    rates = corpus_predictions(chunked, trees).agg(*((F.sum(-F.ln(c)) / F.count("*") / math.log(2)).alias(c) for c in trees))
+    g = rates.select(F.explode(F.array(*(F.struct(F.lit(n).alias("n"), F.col(f"p{n}").alias("estimate")) for n in (4, 5, 6)))).alias("x")).select("x.*")
+    h = B.block_entropy(B.block_counts(chunked, 6), 27, methods=["digamma_parity"]).select("n", F.col("h_diff").alias("reference"))
+    return G.accuracy(g.join(h, "n")).select("n", r6("estimate").alias("estimate"), r6("reference").alias("reference"), "is_above")
+
+
+def english_tree(spark, d, order: int, letters: int | None = None) -> tuple[DataFrame, DataFrame]:
+    """The incremental tree that the first letters of the English corpus leave (all of it without a number)."""
+    chunked = corpora(spark, d, order, ["en"])
+    if letters:
+        chunked = chunked.where(F.col("start") <= letters)
+    t = Tree(27, order, "incremental", 1 / 27)
+    nodes, cells = P.trained_tree(P.corpus_levels(chunked, t), t)
+    return nodes, written(cells, "cells")
 
 
 @query("w14_greedy_continuation")
 def w14(spark, d):
-    """Most probable continuations of the benchmark's texts, trained on growing numbers of documents' letters, and the share of words the training text doesn't have."""
-    seqs = english(spark, d)
-    placed = seqs.join(S.offsets(seqs), "seq_id")
+    """Most probable continuations of the benchmark's texts by trees trained on growing parts of the English corpus, and the share of words the training text doesn't have."""
     prompts = bench27(spark, d).select("seq_id", F.right("t", F.lit(12)).alias("t"))
+    seqs = english(spark, d)
+    placed = written(seqs.join(S.offsets(seqs), "seq_id"), "placed")
     out = None
-    for size in (10_000, 100_000, 1_000_000):
-        part = placed.where(F.col("offset") < size).select("seq_id", "t")
-        counts = P.context_counts(S.chunks(part, 5), 5)
-        new = L.generate_greedy(prompts, counts.where("cnt > 1 or depth < 3"), 60, 5)
-        share = L.unknown_word_share(new.select("seq_id", F.col("continuation").alias("t")), part)
+    for size in (100_000, 1_000_000, 5_500_000):  # the experiment's training sizes
+        nodes, cells = english_tree(spark, d, 5, size)
+        new = L.generate_greedy(prompts, nodes, cells, 60, 5)
+        share = L.unknown_word_share(new.select("seq_id", F.col("continuation").alias("t")), placed.where(F.col("offset") < size).select("seq_id", "t"))
         row = share.select(F.lit(size).alias("letters"), "words", "unknown", "share")
         out = row if out is None else out.unionAll(row)
     return out
 
 
-_K = "k AS (SELECT depth, ctx, sym, cnt FROM (SELECT depth, substr(t, e - depth, depth) AS ctx, substr(t, e, 1) AS sym, count(*) AS cnt FROM (SELECT t, e, unnest(range(0, least(3, e - 1) + 1)) AS depth FROM ({s})) GROUP BY ALL))"
+_TEST = f"tseqs AS ({Q.BENCH27}), {Q.line_events(3, 'tseqs', 'tests')}"
+_PATH = "asked AS (SELECT t.*, g1.gain AS g1, g2.gain AS g2, g3.gain AS g3 FROM tests t LEFT JOIN nodes g1 ON g1.depth = 1 AND len(past) >= 1 AND g1.ctx = right(past, 1) LEFT JOIN nodes g2 ON g2.depth = 2 AND len(past) >= 2 AND g2.ctx = right(past, 2) LEFT JOIN nodes g3 ON g3.depth = 3 AND len(past) >= 3 AND g3.ctx = right(past, 3)), chosen AS (SELECT *, CASE WHEN g1 IS NULL OR g1 >= 0 THEN 0 WHEN g2 IS NULL OR g2 >= 0 THEN 1 WHEN g3 IS NULL OR g3 >= 0 THEN 2 ELSE 3 END AS depth FROM asked)"
 
 
-@query("w15_forecast_table", f"WITH {Q.with_seqs(Q.BENCH27)}, {Q.events(3)}, {_K.format(s=Q.places(EN27, 3))}, c AS (SELECT seq_id, pos, sym AS actual, unnest(range(0, len(past) + 1)) AS depth, past FROM events), j AS (SELECT seq_id, pos, actual, k.sym AS letter, cnt, c.depth, max(c.depth) OVER (PARTITION BY seq_id, pos) AS most FROM c JOIN k ON k.depth = c.depth AND k.ctx = right(past, c.depth)), o AS (SELECT seq_id, pos, actual, letter, (cnt + {1 / 27!r}) / (sum(cnt) OVER (PARTITION BY seq_id, pos) + 1) AS p FROM j WHERE depth = most) SELECT seq_id, pos, actual, CAST(row_number() OVER (PARTITION BY seq_id, pos ORDER BY p DESC, letter) AS INTEGER) AS rank, letter, round(p, 6) AS p, CASE WHEN p >= 0.6 THEN '0.6' WHEN p >= 0.25 THEN '0.25' ELSE '0.1' END AS band FROM o WHERE p >= 0.1")
+@query("w15_forecast_table", f"WITH seqs AS ({_corpus_sql(['en'])}), {Q.line_events(3)}, {Q.levels(3, 27, 1 / 27, 'fixed', tree='incremental')}, {Q.trained(3)}, {_TEST}, {_PATH}, o AS (SELECT seq_id, pos, c.sym AS actual, k.sym AS letter, (cnt + {1 / 27!r}) / (sum(cnt) OVER (PARTITION BY seq_id, pos) + 1) AS p FROM chosen c JOIN cells k ON k.depth = c.depth AND k.ctx = CASE WHEN c.depth > 0 THEN right(past, c.depth) ELSE '' END) SELECT seq_id, pos, actual, CAST(row_number() OVER (PARTITION BY seq_id, pos ORDER BY p DESC, letter) AS INTEGER) AS rank, letter, round(p, 6) AS p, CASE WHEN p >= 0.6 THEN '0.6' WHEN p >= 0.25 THEN '0.25' ELSE '0.1' END AS band FROM o WHERE p >= 0.1")
 def w15(spark, d):
-    """Letters forecast at every place of the benchmark's texts by the documents' contexts."""
+    """Letters forecast at every place of the benchmark's texts by the English corpus's tree: contexts chosen by the gains they have reached."""
+    nodes, cells = english_tree(spark, d, 3)
     ev = S.events(S.chunks(bench27(spark, d), 3), 3)
-    counts = P.context_counts(S.chunks(english(spark, d), 3), 3)
-    return L.forecast_table(ev, counts, 3, 27, 1 / 27).withColumn("p", r6("p"))
+    return L.forecast_table(ev, written(nodes, "nodes"), cells, 3, 27, 1 / 27).withColumn("p", r6("p"))
 
 
 @query("w16_scramble_gap")
 def w16(spark, d):
-    return L.scramble_gap(english(spark, d), Tree(27, 8, "incremental", 1 / 27))
+    """English as one sequence and with every text's words scrambled: incremental tree of up to 6 letters."""
+    seqs = english(spark, d)
+    rates = []
+    for number, s in enumerate((seqs, S.scramble_words(seqs))):
+        pred = corpus_predictions(written(S.corpus_chunks(s, 6), "corpora"), {"p": Tree(27, 6, "incremental", 1 / 27)})
+        rates.append(pred.agg(F.lit(number).alias("scrambled"), F.count("*").alias("n"), (F.sum(-F.ln("p")) / F.count("*") / math.log(2)).alias("bits")))
+    both = rates[0].unionAll(rates[1])
+    return both.agg(F.max("n").alias("n"), F.max(F.when(F.col("scrambled") == 0, F.col("bits"))).alias("bits"), F.max(F.when(F.col("scrambled") == 1, F.col("bits"))).alias("bits_scrambled")).withColumn("gap", F.col("bits_scrambled") - F.col("bits"))
+
+
+_MIXED = f"SELECT seq_id, string_agg(w, ' ' ORDER BY md5(concat(i - 1, ':0'))) AS t FROM (SELECT seq_id, unnest(string_split(t, ' ')) AS w, unnest(range(1, len(string_split(t, ' ')) + 1)) AS i FROM ({Q.BENCH27} UNION ALL SELECT seq_id + 1000000, t FROM ({Q.TURNS27}))) GROUP BY seq_id"
+_UNMIXED = f"{Q.BENCH27} UNION ALL SELECT seq_id + 1000000, t FROM ({Q.TURNS27})"
+
+
+def _v4(source: str) -> str:
+    return f"(WITH {Q.with_seqs(source)}, {Q.events(3)}, {Q.levels(3, 27, 1 / 27, 'shortest_gain', tree='incremental')} {Q.RATE})"
+
+
+@query("v4_scramble_gap_sequences", f"SELECT a.n, a.bits, b.bits AS bits_scrambled, round(b.bits - a.bits, 5) AS gap FROM {_v4(_UNMIXED)} a, {_v4(_MIXED)} b")
+def v4(spark, d):
+    """The scramble gap of the benchmark's texts and the conversations' turns, a tree for each."""
+    seqs = bench27(spark, d).unionAll(turns27(spark, d).select((F.col("seq_id") + 1000000).alias("seq_id"), "t"))
+    g = L.scramble_gap(seqs, Tree(27, 3, "incremental", 1 / 27))
+    return g.select(F.col("n").cast("long").alias("n"), r6("bits").alias("bits"), r6("bits_scrambled").alias("bits_scrambled"), F.round(r6("bits_scrambled") - r6("bits"), 5).alias("gap"))
+
+
+@query("w17_corpus_information", f"WITH seqs AS ({_corpus_sql(['en'])}), {Q.line_events(3)}, {Q.levels(3, 27, 1 / 27, 'shortest_gain', tree='incremental')}, w AS (SELECT *, pos - coalesce(last_value(CASE WHEN sym = ' ' THEN pos END IGNORE NULLS) OVER (PARTITION BY seq_id ORDER BY pos), 0) AS letter_no FROM pred) SELECT CAST(letter_no AS INTEGER) AS letter_no, count(*) AS n, round(avg(-log2(p)), 6) AS bits FROM w GROUP BY letter_no")
+def w17c(spark, d):
+    """Information by place in the word, English as one sequence."""
+    pred = corpus_predictions(corpora(spark, d, 3, ["en"]), {"p": Tree(27, 3, "incremental", 1 / 27)})
+    return L.info_by_letter(pred).select("letter_no", "n", r6("bits").alias("bits"))
 
 
 @query("w17_information_by_letter", f"WITH {Q.with_seqs(EN27)}, {Q.events(2)}, {Q.levels(2, 27, 0.5, 'fixed')}, w AS (SELECT *, pos - coalesce(last_value(CASE WHEN sym = ' ' THEN pos END IGNORE NULLS) OVER (PARTITION BY seq_id ORDER BY pos), 0) AS letter_no FROM pred) SELECT CAST(letter_no AS INTEGER) AS letter_no, count(*) AS n, round(avg(-log2(p)), 6) AS bits FROM w GROUP BY letter_no")
@@ -617,17 +803,21 @@ def w17(spark, d):
 
 @query("w17_information_by_letter_scrambled")
 def w17b(spark, d):
-    t = Tree(27, 8, "incremental", 1 / 27)
+    """The same with 6 letters of context, plain and with every text's words scrambled."""
     seqs = english(spark, d)
-    plain = L.info_by_letter(P.predictions(seqs, t)).withColumn("scrambled", F.lit(False))
-    return plain.unionAll(L.info_by_letter(P.predictions(S.scramble_words(seqs), t)).withColumn("scrambled", F.lit(True)))
+    out = None
+    for mixed, s in ((False, seqs), (True, S.scramble_words(seqs))):
+        pred = corpus_predictions(written(S.corpus_chunks(s, 6), "corpora"), {"p": Tree(27, 6, "incremental", 1 / 27)})
+        row = L.info_by_letter(pred).withColumn("scrambled", F.lit(mixed))
+        out = row if out is None else out.unionAll(row)
+    return out
 
 
 @query("w18_ablations")
 def w18(spark, d):
-    """Tree kind, rule, beta, delta, least count and q on the benchmark's and conversations' text and on a chaotic map."""
+    """Tree kind, rule, beta, delta, least count and q on the benchmark's and conversations' text and on the chaotic map's replicas."""
     text = turns27(spark, d).unionAll(bench27(spark, d))
-    bits = D.map_symbols(D.seeds(table(spark, d, "customer"), "c_custkey", 4), "quadratic", 20000)
+    bits = D.map_symbols(D.seeds(table(spark, d, "customer"), "c_custkey", 50).repartition(25), "quadratic", 20000)
     out = None
     for name, seqs, size in (("text", text, 27), ("map", bits, 2)):
         trees = {}
@@ -706,7 +896,7 @@ def w21b(spark, d):
     return got.groupBy("user_id").agg(F.max("n").alias("n"))
 
 
-@query("w21_online_code_lengths")
+@query("w21_online_code_lengths", "WITH e AS (SELECT user_id, ts, event_id, event_type, lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS past FROM events WHERE user_id IS NOT NULL), c AS (SELECT *, count(*) OVER (PARTITION BY user_id, past ORDER BY ts, event_id) - 1 AS n, count(*) OVER (PARTITION BY user_id, past, event_type ORDER BY ts, event_id) - 1 AS na FROM e) SELECT user_id, count(*) AS n, round(sum(-ln((na + 0.5) / (n + 2.5))), 6) AS nats FROM c GROUP BY user_id")
 def w21c(spark, d):
     got = O.run_available(O.online_gamble(O.event_stream(spark, d), O.TYPES), scratch(spark, "gamblers"), "update")
     return got.groupBy("user_id").agg(F.max("n").alias("n"), r6(F.max_by("nats", "n")).alias("nats"))
@@ -770,11 +960,54 @@ def p4l(spark, d):
 # --- limits ----------------------------------------------------------------------------------------------------------
 
 
+_PLANTED = [(1, 0.4, 1.5, 0.5), (2, 1.7, 4.0, 0.35), (3, 0.0, 0.8, 0.9)]
+
+
+def _fit_sql(h0: float | None) -> str:
+    """The search for gamma, each grid around the last one's best."""
+    u = "ln(x) / pow(x, gamma)"
+    if h0 is None:
+        parts = "regr_intercept(y, u) AS h, regr_slope(y, u) AS c, greatest(regr_syy(y, u) - regr_slope(y, u) * regr_slope(y, u) * regr_sxx(y, u), 0.0) AS sse, min(y) AS low"
+        fair = "c > 0 AND h >= 0 AND h <= low"
+    else:
+        parts = f"{h0} AS h, sum(u * (y - {h0})) / sum(u * u) AS c, greatest(sum((y - {h0}) * (y - {h0})) - sum(u * (y - {h0})) / sum(u * u) * sum(u * (y - {h0})), 0.0) AS sse, min(y) AS low"
+        fair = "c > 0 AND h >= 0"
+    out, at = [], "SELECT DISTINCT curve, g * 0.05 AS gamma FROM points, (SELECT unnest(range(1, 31)) AS g)"
+    for k, step in enumerate((0.05, 0.01, 0.002)):
+        if k:
+            at = f"SELECT curve, gamma FROM (SELECT curve, round(gamma + i * {step}, 6) AS gamma FROM b{k - 1}, (SELECT unnest(range(-5, 6)) AS i)) WHERE gamma >= 0.05 AND gamma <= 1.5"
+        out.append(f"f{k} AS (SELECT curve, gamma, {parts} FROM (SELECT p.curve, gamma, y, {u} AS u FROM points p JOIN ({at}) a ON a.curve = p.curve) GROUP BY curve, gamma), b{k} AS (SELECT * FROM f{k} WHERE {fair} QUALIFY row_number() OVER (PARTITION BY curve ORDER BY sse, gamma) = 1)")
+    return ", ".join(out) + " SELECT curve, round(h, 5) AS h, round(c, 4) AS c, round(gamma, 4) AS gamma FROM b2"
+
+
+_POINTS = "points AS (SELECT curve, CAST(x AS DOUBLE) AS x, h + c * ln(x) / pow(x, gamma) + 0.001 * sin(x) AS y FROM (VALUES " + ", ".join(f"({k}, {h}, {c}, {g})" for k, h, c, g in _PLANTED) + ") v(curve, h, c, gamma), (SELECT 1000 * pow(2, unnest(range(0, 11))) AS x))"
+
+
+def _planted(spark) -> DataFrame:
+    rows = [(k, float(1000 * 2**i), h, c, g) for k, h, c, g in _PLANTED for i in range(11)]
+    v = spark.createDataFrame(rows, "curve int, n double, h0 double, c double, g double")
+    return v.select("curve", "n", (F.col("h0") + F.col("c") * F.ln("n") / F.pow("n", "g") + 0.001 * F.sin("n")).alias("h"))
+
+
+def _fits(h0: float | None, curves: list[int]):
+    def run(spark, d):
+        fit = G.fit_tail(_planted(spark).where(F.col("curve").isin(curves)), by=["curve"], h0=h0)
+        return fit.select("curve", F.round("h", 5).alias("h"), F.round("c", 4).alias("c"), F.round("gamma", 4).alias("gamma"))
+
+    return run
+
+
+query("x1_tail_fits", f"WITH {_POINTS.replace('unnest(range(0, 11))) AS x))', 'unnest(range(0, 11))) AS x) WHERE curve < 3)')}, {_fit_sql(None)}")(_fits(None, [1, 2]))
+query("x2_tail_fit_of_known_limit", f"WITH {_POINTS.replace('unnest(range(0, 11))) AS x))', 'unnest(range(0, 11))) AS x) WHERE curve = 3)')}, {_fit_sql(0.0)}")(_fits(0.0, [3]))
+
+
 @query("x3_block_extrapolation")
 def x3(spark, d):
-    """Limits of the block estimates over the length of the English corpus."""
-    grid = [2000, 5000, 10000, 20000, 50000, 100000, 200000]
-    h = B.block_curve(S.corpus_chunks(english(spark, d), 5), [1, 2, 3, 4, 5, 6], grid, 27, methods=["plugin", "digamma_parity"])
+    """Limits of the block estimates over the whole length of the English corpus."""
+    chunked = corpora(spark, d, 5, ["en"])
+    length = chunked.agg(F.max(F.col("start") + F.length("body") - 1)).first()[0] or 1
+    grid = sorted({max(1, length >> k) for k in range(8)})
+    h = written(B.block_curve(chunked, [1, 2, 3, 4, 5, 6], grid, 27, methods=["plugin", "digamma_parity"]), "curve")
     # block estimates rise to their limit: the fit is of what is missing, mirrored at the largest estimate
     top = h.groupBy("n", "method").agg(F.max("h_diff").alias("top"))
     mirrored = h.join(top, ["n", "method"]).select(F.concat_ws(" ", "method", F.col("n")).alias("estimate"), F.col("length").alias("n"), (2 * F.col("top") - F.col("h_diff")).alias("h"), "top")
