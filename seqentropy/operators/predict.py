@@ -198,36 +198,54 @@ def choose_split(chunked: DataFrame, order: int, most: int) -> int:
     return next((j for j in range(1, min(order, 8) + 1) if largest.get(j, 0) <= most), order + 1)
 
 
-def corpus_levels(chunked: DataFrame, t: Tree, split: int = 2, block: int = 65_536) -> DataFrame:
+def _earlier(sums: DataFrame, keys: list[str], name: str) -> DataFrame:
+    """Of sums _s by keys and block: what the earlier blocks hold."""
+    running = Window.partitionBy(*keys).orderBy("_block").rowsBetween(Window.unboundedPreceding, -1)
+    return sums.select(*keys, "_block", F.sum("_s").over(running).alias(name)).where(F.col(name).isNotNull())
+
+
+def corpus_levels(chunked: DataFrame, t: Tree, split: int = 2, block: int = 16_384) -> DataFrame:
     """seq_id, pos, sym, past, n, p, gain: for every symbol of sequences of any length, the levels of its contexts as arrays.
 
-    Contexts of fewer than ``split`` symbols hold large parts of all positions: they are counted in windows over blocks of
-    positions.  All longer contexts of an event end in its last ``split`` symbols, so one shuffle by those brings whole
-    subtrees together, and an array kernel takes all further levels there.  ``choose_split`` finds a split whose groups
-    fit a task; beyond the order, everything is done in windows.
+    Contexts of fewer than ``split`` symbols hold large parts of all positions: they are counted in blocks of positions,
+    to which what the earlier blocks hold is added.  Rows are partitioned by block, so all windows sort where they are.
+    All longer contexts of an event end in its last ``split`` symbols, so one shuffle by those brings whole subtrees
+    together, and an array kernel takes all further levels there.  ``choose_split`` finds a split whose groups fit a task;
+    beyond the order, everything is done in blocks.
     """
-    df = symbol_events(chunked, t.order)
-    one, zero = F.lit(1), F.lit(0)
-    df = df.withColumns({"born": F.lit(-1).cast("long"), "alive": F.lit(True), "run": F.lit(0).cast("long"), "p_up": F.lit(1.0 / t.d), "levels": F.array().cast("array<struct<n:bigint,p:double,gain:double>>")})
-    for j in range(min(split, t.order + 1)):
+    placed = symbol_events(chunked, t.order).withColumn("_block", F.floor(F.col("pos") / block))
+    df = placed.withColumns({"born": F.lit(-1).cast("long"), "alive": F.lit(True), "run": F.lit(0).cast("long"), "p_up": F.lit(1.0 / t.d), "levels": F.array().cast("array<struct<n:bigint,p:double,gain:double>>")}).repartition("seq_id", "_block")
+    by_key, by_sym = ["seq_id", "key"], ["seq_id", "key", "sym"]
+    top = min(split, t.order + 1) - 1
+    for j in range(top + 1):
         deep = F.length("past") >= j
         df = df.withColumn("key", F.when(deep, F.right("past", F.lit(j))).otherwise("") if j else F.lit(""))
         if j and t.tree == "incremental":
-            may = F.col("alive") & (F.col("pos") > F.col("born")) & (F.col("run") >= 2)
-            df = _born(df, may, deep)
+            df = _born(df, F.col("alive") & (F.col("pos") > F.col("born")) & (F.col("run") >= 2), deep)
         else:
             df = df.withColumn("alive", deep)
-        live = F.when(F.col("alive"), one).otherwise(zero)
-        df = _before(_before(df, "n", live, ["seq_id", "key"], block), "na", live, ["seq_id", "key", "sym"], block)
+        live = F.when(F.col("alive"), F.lit(1)).otherwise(F.lit(0))
+        cells = written(df.groupBy(*by_sym, "_block").agg(F.sum(live).alias("_s")), "cells")
+        per_key = _earlier(cells.groupBy(*by_key, "_block").agg(F.sum("_s").alias("_s")), by_key, "_n")
+        df = df.join(per_key, [*by_key, "_block"], "left").join(_earlier(cells, by_sym, "_na"), [*by_sym, "_block"], "left")
+        before = lambda keys: Window.partitionBy(*keys, "_block").orderBy("pos").rowsBetween(Window.unboundedPreceding, -1)
+        count = lambda name, keys: F.coalesce(name, F.lit(0)) + F.coalesce(F.sum(live).over(before(keys)), F.lit(0))
+        df = df.withColumn("n", count("_n", by_key)).withColumn("na", count("_na", by_sym)).drop("_n", "_na")
         df = df.withColumn("p", (F.col("na") + t.beta) / (F.col("n") + t.beta * t.d))
         if j:
+            df = written(df, "level").repartition("seq_id", "_block")
             counts = F.col("alive") & (F.col("n") > 0) if t.gain_from == "second" else F.col("alive")
-            df = _before(df, "gain", F.when(counts, F.ln("p_up") - F.ln("p")).otherwise(0.0), ["seq_id", "key"], block).withColumn("gain", F.round("gain", 9))
+            step = F.when(counts, F.ln("p_up") - F.ln("p")).otherwise(0.0)
+            sums = written(df.groupBy(*by_key, "_block").agg(F.sum(step).alias("_s")), "gains")
+            df = df.join(_earlier(sums, by_key, "_gain"), [*by_key, "_block"], "left")
+            df = df.withColumn("gain", F.round(F.coalesce("_gain", F.lit(0.0)) + F.coalesce(F.sum(step).over(before(by_key)), F.lit(0.0)), 9)).drop("_gain")
         else:
             df = df.withColumn("gain", F.lit(-1.0))
         own = F.struct(F.col("n").cast("long").alias("n"), "p", "gain")
         df = df.withColumn("levels", F.when(F.col("alive"), F.concat("levels", F.array(own))).otherwise(F.col("levels")))
         df = df.withColumn("run", F.when(F.col("alive"), F.col("na") + 1).otherwise(0)).withColumn("p_up", F.when(F.col("alive"), F.col("p")).otherwise(F.col("p_up"))).drop("n", "na", "p", "gain", "key")
+        if j < top:
+            df = written(df, "level").repartition("seq_id", "_block")
     out = "seq_id long, pos long, sym string, past string, n array<long>, p array<double>, gain array<double>"
     plain = ["seq_id", "pos", "sym", "past", F.col("levels.n").alias("n"), F.col("levels.p").alias("p"), F.col("levels.gain").alias("gain")]
     if split > t.order:

@@ -1,7 +1,9 @@
 """Worked examples, ground truth, invariants and brute force."""
 
 import math
+import random
 from fractions import Fraction
+from itertools import product
 
 import numpy as np
 import pytest
@@ -234,14 +236,54 @@ def test_zero_probability_is_refused():
 
 
 def test_generation_and_forecast(spark):
-    frame = seqs(spark, "abcabcabcabcabc")
-    counts = P.context_counts(S.chunks(frame, 2), 2)
-    out = L.generate_greedy(seqs(spark, "ab"), counts, 6, 2).first().continuation
+    frame = seqs(spark, "abcabcabcabcabcabcabc")
+    chunked, t = S.chunks(frame, 2), Tree(3, 2)
+    nodes, cells = P.trained_tree(P.corpus_levels(chunked, t, 1, 4), t)
+    out = L.generate_greedy(seqs(spark, "ab"), nodes, cells, 6, 2).first().continuation
     assert out == "cabcab"
-    table = L.forecast_table(S.events(S.chunks(seqs(spark, "abc"), 2), 2), counts, 2, 3, 1 / 3).where("rank = 1").collect()
-    assert {r.pos: r.letter for r in table} == {1: "a", 2: "b", 3: "c"}
+    table = L.forecast_table(S.events(S.chunks(seqs(spark, "abc"), 2), 2), nodes, cells, 2, 3, 1 / 3).where("rank = 1").collect()
+    assert {r.pos: r.letter for r in table if r.pos > 1} == {2: "b", 3: "c"} and all(r.p >= 0.6 for r in table if r.pos > 1)
     with pytest.raises(ValueError):
-        L.model_table(counts, 2)
+        L.model_table(nodes, cells, 2)
+
+
+def test_chosen_context_is_that_of_the_joins(spark):
+    rng = random.Random(12)
+    nodes = {"": 0.0} | {w: rng.choice([-1.5, -0.2, 0.0, 0.7]) for n in (1, 2, 3) for w in map("".join, product("ab", repeat=n)) if rng.random() < 0.8}
+    frame = spark.createDataFrame([(len(k), k, 5, g) for k, g in nodes.items()], "depth int, ctx string, n long, gain double")
+    texts = ["".join(rng.choices("ab", k=9)) for _ in range(20)]
+    ev = S.events(S.chunks(seqs(spark, *texts), 3), 3)
+    for delta in (0.0, 1.0):
+        got = {(r.seq_id, r.pos): r.ctx for r in L.choose_contexts(ev, frame, 3, delta).collect()}
+        table = {k: (g, {"a": 1}) for k, g in nodes.items()}
+        assert got == {(i, k + 1): L.chosen_context(table, t[:k], 3, delta) for i, t in enumerate(texts) for k in range(9)}
+
+
+@pytest.mark.parametrize("tree", ["full", "incremental"])
+@pytest.mark.parametrize("split", [1, 2, 9])
+def test_corpus_engine_is_the_kernel(spark, tree, split):
+    rng = random.Random(5)
+    texts = ["".join(rng.choices("abc", weights=[6, 3, 1], k=400)), "abcab" * 60, "c"]
+    frame = seqs(spark, *texts)
+    trees = {rule: Tree(3, 4, tree, 0.5, rule, delta) for rule, delta in (("shortest_gain", 0.0), ("deepest_gain", 2.0), ("walk_gain", 0.0), ("min_total_gain", 2.0), ("deepest", 0.0), ("blend", 0.0), ("fixed", 0.0))}
+    trees["shorter"] = Tree(3, 2, tree, 0.5)
+    got = P.choose(P.corpus_levels(S.chunks(frame, 4, 32), Tree(3, 4, tree, 0.5), split, 50), trees).collect()
+    assert len(got) == sum(map(len, texts))
+    for name, t in trees.items():
+        want = {(r.seq_id, r.pos): r.p for r in P.predictions(frame, t).collect()}
+        assert all(abs(r[name] - want[r.seq_id, r.pos]) < 1e-9 for r in got), name
+
+
+def test_split_and_word_counts(spark):
+    frame = seqs(spark, "abab" * 50, "çab", "a")
+    assert P.choose_split(S.chunks(frame, 3), 3, 120) == 1 and P.choose_split(S.chunks(frame, 3), 3, 10) == 4
+    from collections import Counter
+
+    want = Counter((n, t[k:k + n]) for t in ("abab" * 50, "çab", "a") for n in (1, 2, 3) for k in range(len(t) - n + 1))
+    assert {(r.n, r.word): r.cnt for r in B.block_counts(S.chunks(frame, 2, 7), 3).collect()} == dict(want)
+    by = S.chunks(frame, 9, 7).withColumn("odd", F.when(F.col("seq_id") > 0, F.col("seq_id") % 2))
+    got = {(r.odd, r.n, r.word): r.cnt for r in B.block_counts(by, 10, ["odd"]).collect()}
+    assert got[None, 10, "ababababab"] == 96 and got[1, 3, "çab"] == 1 and got[0, 1, "a"] == 1
 
 
 def test_scramble_keeps_words(spark):

@@ -7,7 +7,8 @@ from seqentropy.plans.queries import REGISTRY
 
 from .oracle import same
 
-NAMES = ["s3_symbol_counts", "s7_corpus_offsets", "b2_b11_block_entropies", "b5_b10_conditional", "p4_match_lengths", "p7_prefix_tree", "p9_decoded_parses", "w5_worked_parses", "c1_suffix_tree_counts", "e4_window_engine", "e5_shortest_gain_incremental_users", "e5_blend_full_users", "e5_min_total_gain_full_users", "a2_final_capital", "a5_convergence", "g1_map_orbits", "g4_g5_automaton", "w17_information_by_letter", "w20_supplier_histories", "w21_windowed_entropy", "r_asof_join", "r_window_functions"]
+NAMES = ["s3_symbol_counts", "s7_corpus_offsets", "b2_b11_block_entropies", "b5_b10_conditional", "p4_match_lengths", "p7_prefix_tree", "p9_decoded_parses", "w5_worked_parses", "c1_suffix_tree_counts", "e4_window_engine", "e5_shortest_gain_incremental_users", "e5_blend_full_users", "e5_min_total_gain_full_users", "a2_final_capital", "a5_convergence", "g1_map_orbits", "g4_g5_automaton", "w17_information_by_letter", "w20_supplier_histories", "w21_windowed_entropy", "r_asof_join", "r_window_functions",
+         "b13_assumed_tail", "p1_p3_p8_dictionary_histories", "p2_p3_p8_substring_histories", "c3_c6_tree_statistics_users", "c1_suffix_words", "s6_sign_partition", "s8_counts_after_a_precursor", "e7_given_weights", "e9_tree_mixture", "y3_exact_rates", "x1_tail_fits", "x2_tail_fit_of_known_limit", "w21_online_code_lengths", "v4_scramble_gap_sequences", "w13_truncated_trees", "w15_forecast_table"]
 
 
 @pytest.mark.parametrize("name", NAMES)
