@@ -73,8 +73,8 @@ def _cutter(vocabulary: str, length: int):
                         number += 1
                     if whole < n:
                         own = ids[whole:]
-                        salt = int(K.mix(np.array([number], np.uint64))[0] >> np.uint64(1))
-                        rows.append((doc, whole, n - whole, crc(own), n, None, salt, own.astype("<u4").tobytes() if ids.max() > 65535 else own.astype("<u2").tobytes()))
+                        salt = number * 0x9E3779B97F4A7C15 % (1 << 63)
+                        rows.append((doc, whole, n - whole, None, n, None, salt, own.astype("<u4").tobytes() if ids.max() > 65535 else own.astype("<u2").tobytes()))
                         number += 1
                 columns = list(zip(*rows, strict=True))
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, [pa.int64()] * 7 + [pa.binary()], strict=True)], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "salt", "ids"])
@@ -261,7 +261,7 @@ def packed(docs: DataFrame, vocabulary: str = VOCABULARY, length: int = LENGTH,
     order = [*(f"route{k}" for k in range(ROUTE)), "salt"]
     routed = tails.mapInArrow(_router(df, seen.n, (seen.ids or 1) / max(1, seen.n)), f"{', '.join(f'route{k} int' for k in range(ROUTE))}, doc_id long, start long, length long, doc_tokens long, salt long, ids binary")
     tasks = max(1, -(-seen.n // TAILS_A_TASK), min(-(-seen.n // shard_docs), docs.sparkSession.sparkContext.defaultParallelism))
-    placed = routed.repartitionByRange(tasks, *order).sortWithinPartitions(*order)
+    placed = cut(routed, "routed").repartitionByRange(tasks, *order).sortWithinPartitions(*order)
     return whole.unionAll(placed.mapInArrow(_packer(length, shard_docs), SCHEMA))
 
 
@@ -324,8 +324,8 @@ def _cutter(vocabulary: str, length: int):
                         number += 1
                     if whole < n:
                         own = ids[whole:]
-                        salt = int(K.mix(np.array([number], np.uint64))[0] >> np.uint64(1))
-                        rows.append((doc, whole, n - whole, crc(own), n, None, salt, own.astype("<u4").tobytes() if ids.max() > 65535 else own.astype("<u2").tobytes()))
+                        salt = number * 0x9E3779B97F4A7C15 % (1 << 63)
+                        rows.append((doc, whole, n - whole, None, n, None, salt, own.astype("<u4").tobytes() if ids.max() > 65535 else own.astype("<u2").tobytes()))
                         number += 1
                 columns = list(zip(*rows, strict=True))
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, [pa.int64()] * 7 + [pa.binary()], strict=True)], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "salt", "ids"])
@@ -512,7 +512,7 @@ def packed(docs: DataFrame, vocabulary: str = VOCABULARY, length: int = LENGTH,
     order = [*(f"route{k}" for k in range(ROUTE)), "salt"]
     routed = tails.mapInArrow(_router(df, seen.n, (seen.ids or 1) / max(1, seen.n)), f"{', '.join(f'route{k} int' for k in range(ROUTE))}, doc_id long, start long, length long, doc_tokens long, salt long, ids binary")
     tasks = max(1, -(-seen.n // TAILS_A_TASK), min(-(-seen.n // shard_docs), docs.sparkSession.sparkContext.defaultParallelism))
-    placed = routed.repartitionByRange(tasks, *order).sortWithinPartitions(*order)
+    placed = cut(routed, "routed").repartitionByRange(tasks, *order).sortWithinPartitions(*order)
     return whole.unionAll(placed.mapInArrow(_packer(length, shard_docs), SCHEMA))
 
 
