@@ -88,6 +88,48 @@ def test_licenses(spark, sf):
     assert not re.search("Exchange|Python|Arrow", plan)
 
 
+def brute_detections(text):
+    """Labels by trying every rule at every anchor, keywords or not, and comparing all detections there."""
+    w, labels, best = WORD.findall((text or "").translate(LOW)), set(), 0.0
+    for a in (i for i, x in enumerate(w) if x in licenses.ANCHORS):
+        window = " ".join([*w[max(0, a - licenses.REACH):a], "@" + w[a], *w[a + 1:a + 1 + licenses.REACH]])
+        seen = []
+        for k, (_, pattern, label, priority, weight, back) in enumerate(licenses.rules()):
+            m = next((m.group() for m in re.finditer(pattern, window) if "@" in m.group()), None)
+            if m is not None:
+                seen.append((window.index(m), window.index(m) + len(m), priority, k, label, weight, back))
+        for lo, hi, priority, k, label, weight, back in seen:
+            beaten = any(x <= lo and y >= hi and (p > priority or p == priority and (y - x > hi - lo or y - x == hi - lo and j < k and b < 0)) for x, y, p, j, _, _, b in seen)
+            if back >= 0 or not beaten:
+                labels.add(label)
+                best = max(best, weight)
+    return ",".join(sorted(labels)), best
+
+
+def test_license_rules_against_brute_force(spark, sf):
+    own = [
+        "Licensed under the Apache License, Version 2.0 (the License); you may not use this file except in compliance with the License.",
+        "as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version. See gnu.org/licenses/gpl-3.0.html",
+        "https://creativecommons.org/licenses/by-nc-sa/4.0/ and creativecommons.org/publicdomain/zero/1.0, some rights reserved",
+        "Copyright (c) 2019 Acme Works. All rights reserved. Proprietary and confidential.", "All rights reserved. All rights reserved.",
+        "SPDX-License-Identifier: Apache-2.0 OR MIT", "do what the fuck you want to public license version 2", "dual licensed under GPL v2 or later and the CC BY-SA 4.0 license",
+        "Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer.", "common public licence license license",
+    ]
+    rows = spark.read.parquet(f"{sf}/documents.parquet").select("text").collect()
+    texts = [*ODD, *own, *(r.text for r in rows), *own]
+    got = {r.doc_id: r for r in licenses.summary(licenses.scan(frame(spark, texts))).collect()}
+    assert {k: (r.labels, r.score) for k, r in got.items()} == {k: brute_detections(t) for k, t in enumerate(texts)}
+    assert [got[len(ODD) + k].labels for k in (1, 2, 5)] == ["gpl,gpl-family", "cc-by-nc-sa,cc0", "apache,spdx-expression"]
+
+
+def test_license_rules_are_bounded_and_gated():
+    for words, pattern, label, *_ in licenses.rules():
+        assert words and ")*" not in pattern and ")+" not in pattern and "@?" in pattern, label
+    for words, pattern, label, *_ in licenses.SIGNATURES:
+        ways = pattern.split("|") if "|" in licenses._outside(pattern) else [pattern]
+        assert all(words in licenses._outside(w) for w in ways), label
+
+
 # --- near duplicates
 
 
