@@ -53,13 +53,23 @@ def _mark(edges: DataFrame) -> tuple:
     return r.n, r.h
 
 
+def _jump(home: DataFrame) -> DataFrame:
+    """Of rows u, v: each with v's smallest parent in v's place, if it has one; one row for a row, however many parents there are.
+
+    What was connected stays so: each node's smallest parents lead to a root whose children keep it, and a row joins
+    u's line to v's.
+    """
+    parents = home.groupBy(F.col("u").alias("v")).agg(F.min("v").alias("w"))
+    return home.join(parents, "v", "left").select("u", F.coalesce("w", "v").alias("v"))
+
+
 def components(edges: DataFrame, most: int = 40) -> DataFrame:
     """edges: u, v (any direction).  Returns node, root: the smallest node that is reachable, for nodes other than roots.
 
     A task's edges become a forest of at most as many rows as it has nodes, so a node with very many edges shrinks to
     one row a task before anything is shuffled.  Rounds then bring a node's rows together, replace them by a forest
-    again, and let every node point to what its parent points to, until nothing changes: each node then has one parent,
-    and no parent has one.  What a task holds is bounded by its partition of the edges.
+    again, and let every node point to the smallest node that its parent points to, until nothing changes: each node then
+    has one parent, and no parent has one.  What a task holds is bounded by its partition of the edges.
     """
     now = cut(edges.select("u", "v").where("u <> v").mapInArrow(_forest, "u long, v long"), "edges")
     mark = _mark(now)
@@ -67,9 +77,7 @@ def components(edges: DataFrame, most: int = 40) -> DataFrame:
         if not mark[0]:
             break
         home = now.repartition("u").mapInArrow(_forest, "u long, v long")
-        parents = home.select(F.col("u").alias("v"), F.col("v").alias("w"))
-        # a node keeps the edge to its parent's other parents through the parent's own rows
-        now = cut(home.join(parents, "v", "left").select("u", F.coalesce("w", "v").alias("v")).distinct(), "edges")
+        now = cut(_jump(home).distinct(), "edges")
         last, mark = mark, _mark(now)
         if mark == last:
             break

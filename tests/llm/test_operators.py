@@ -194,6 +194,16 @@ def test_components(spark):
     assert got == {k: top(k) for k in {x for e in edges for x in e} if top(k) != k}
 
 
+def test_components_keep_a_row_a_row(spark):
+    """A node with many children and many parents: its children don't meet every one of them."""
+    home = [(1000 + k, 500) for k in range(200)] + [(500, k) for k in range(1, 101)]
+    got = [tuple(r) for r in graph._jump(spark.createDataFrame(home, "u long, v long")).collect()]
+    assert sorted(got) == sorted([(1000 + k, 1) for k in range(200)] + [(500, k) for k in range(1, 101)])
+    edges = [(1000 + k, 500 + j) for k in range(60) for j in range(3)] + [(500 + j, j * 7 + k) for j in range(3) for k in range(1, 9)]
+    answer = graph.components(spark.createDataFrame(edges, "u long, v long").repartition(50))
+    assert {r.root for r in answer.collect()} == {1} and answer.count() == len({x for e in edges for x in e}) - 1
+
+
 def test_hashes_of_long_runs(monkeypatch):
     rng = np.random.default_rng(1)
     body = rng.integers(0, 256, 5000).astype(np.uint8)
