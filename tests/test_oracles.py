@@ -15,3 +15,12 @@ NAMES = ["s3_symbol_counts", "s7_corpus_offsets", "b2_b11_block_entropies", "b5_
 def test_equals_sql(spark, sf, name):
     f, sql = REGISTRY[name]
     same(spark, sf, f, sql)
+
+
+def test_equal_values_go_by_the_id(spark, tmp_path):
+    """The first of several least and largest values, in any order of the rows; null values don't count."""
+    values = [None, 5.0, 0.0, 0.0, 9.0, 3.0, 9.0, 0.0, 9.0, 4.0]
+    rows = [(k, k % 3, "view", v) for k, v in enumerate(values)]
+    spark.createDataFrame(rows[::-1], "event_id long, user_id long, event_type string, value double").repartition(4, "event_id").write.parquet(f"{tmp_path}/events.parquet")
+    got = REGISTRY["r_aggregates"][0](spark, str(tmp_path)).first()
+    assert (got.least, got.most, got.n) == (2, 4, 10)
