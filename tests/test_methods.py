@@ -307,3 +307,16 @@ def test_sql_names(spark):
     assert [r.word for r in spark.sql("select * from block_words('abc', 2)").collect()] == ["ab", "bc"]
     assert choose_engine(10**9, 10**12, Tree(2, 8))["engine"] == "windows"
     assert explain_plan(seqs(spark, "ab"), Tree(2, 8))["engine"] == "kernel"
+
+
+@pytest.mark.parametrize("at_once", [1, 20, 1 << 16])
+def test_repeat_lengths_in_levels_by_brute_force(spark, monkeypatch, at_once):
+    """Over chunks' borders, of short and of long sequences, and no words are joined to positions."""
+    monkeypatch.setattr(R, "LEVELS_AT_ONCE", at_once)
+    rng = random.Random(3)
+    texts = ["".join(rng.choice("ab ") for _ in range(n)) for n in (150, 1, 40, 3)]
+    got = R.match_lengths_levels(S.chunks(seqs(spark, *texts), 3, 16).repartition(5), 4)
+    want = {(k, i): None for k, t in enumerate(texts) for i in range(1, len(t) + 1)} | {(k, i): n for k, t in enumerate(texts) for i, n in brute_lengths(t, "past").items() if n <= 4}
+    assert {(r.seq_id, r.pos): r.len for r in got.collect()} == want
+    joins = [x for x in got._jdf.queryExecution().optimizedPlan().toString().splitlines() if "Join " in x]
+    assert joins and all("LeftAnti" in x or "LeftSemi" in x for x in joins)
