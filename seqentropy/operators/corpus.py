@@ -227,11 +227,15 @@ def _unpacked(table: pa.Table, layout: list[tuple[str, int]]) -> dict[str, np.nd
             d = (z >> 1) ^ -(z & 1)
             x = np.cumsum(d)
             x -= np.repeat(x[begin] - d[begin], size)
-            out[c] = x.astype(np.int8) if c in ("alive", "sym", "gain") else x
+            out[c] = x.astype(np.int8) if c in ("alive", "sym", "gain") else x if c == "at" or x.max() >> 31 else x.astype(np.int32)
+            del z, d, x
         k += wide
+    del planes
     out["at"] += np.repeat(table["start"].to_numpy(), size)
     order = np.argsort(out["at"])
-    return {c: x[order] for c, x in out.items()}
+    for c in out:  # one after the other: a common pair has millions of events
+        out[c] = out[c][order]
+    return out
 
 
 def _descent(e: dict, t: Tree, bits: int, size: int, last: bool, prune: bool):
@@ -240,19 +244,19 @@ def _descent(e: dict, t: Tree, bits: int, size: int, last: bool, prune: bool):
     alive = np.flatnonzero(e["alive"])
     n, na = (e[c][alive].astype(np.int64) for c in ("n", "na"))
     p = (na + t.beta) / (n + t.beta * t.d)
-    every = np.arange(len(p0))
-    yield 0, every, e["at"] - 1, p0, np.full(len(p0), -1.0)
+    yield 0, np.arange(len(p0)), e["at"] - 1, p0, np.full(len(p0), -1.0)
     if t.order >= 1:
         yield 1, alive, n, p, e["gain"][alive]
     if t.order >= 2 and last:
-        may, up, code = np.zeros(len(p0), bool), p0.copy(), e["code"]
+        may, up, code = np.zeros(len(p0), bool), p0, e["code"]
         may[alive], up[alive] = na >= 1, p
+        del alive, n, na, p, p0
 
         def older(alive, j):
             back = (code[alive] >> (bits * (j - 3))) & ((1 << bits) - 1)
             return back < size, back
 
-        for j, alive, n, _, p, gain, _ in C._descend(e["sym"].astype(np.int64), size + 1, every, np.zeros(len(p0), np.int64), t, 2, older, may, up, prune):
+        for j, alive, n, _, p, gain, _ in C._descend(e["sym"].astype(np.int64), size + 1, np.arange(len(up)), np.zeros(len(up), np.int64), t, 2, older, may, up, prune):
             yield j, alive, n, p, gain
 
 
@@ -285,6 +289,7 @@ def code_lengths(chunked: DataFrame, trees: dict[str, Tree], bins: str | list[in
     def run(key, table):
         name, pair = (k.as_py() for k in key)
         e = _unpacked(table, layout)
+        del table
         folds = [C.Fold(len(e["at"]), t) for t in trees.values()]
         for j, alive, n, p, gain in _descent(e, most, bits, size, pair // (size + 1) < size, prune):
             for f in folds:
@@ -322,7 +327,7 @@ def tree_of(chunked: DataFrame, t: Tree) -> tuple[DataFrame, DataFrame]:
                 step = up[alive] - log
                 if t.gain_from == "second":
                     step[n == 0] = 0.0
-                words, back, count = np.unique((e["code"][alive] & ((1 << (bits * (j - 2))) - 1)) << bits | e["sym"][alive], return_inverse=True, return_counts=True)
+                words, back, count = np.unique((e["code"][alive].astype(np.int64) & ((1 << (bits * (j - 2))) - 1)) << bits | e["sym"][alive], return_inverse=True, return_counts=True)
                 parts = [[names[(w >> (bits * k)) & ((1 << bits) - 1)] for k in range(j - 1)] for w in words.tolist()]
                 for c, x in zip(rows, ([j] * len(words), ["".join(w[:0:-1]) + tail for w in parts], [w[0] for w in parts], count.tolist(), np.bincount(back, step, len(words)).tolist()), strict=True):
                     c += x
