@@ -417,3 +417,43 @@ def test_block_curve_counts_parts(spark):
                     want[i, g, n] = (w, len(c), math.log2(w) - sum(x * math.log2(x) for x in c.values()) / w)
     assert got.keys() == want.keys()
     assert all(got[k][:2] == want[k][:2] and abs(got[k][2] - want[k][2]) < 1e-9 for k in want)
+
+
+@pytest.mark.parametrize("tree", ["full", "incremental"])
+@pytest.mark.parametrize("order", [0, 1, 3])
+def test_probabilities_of_all_levels(tree, order):
+    texts = ["", "a", "abab", "ba", "the cat sat on the mat and the rat", "aaaaaaa", "", "mississippi", "b"]
+    sym = np.array([ord(c) for c in "".join(texts)], np.int64)
+    bound = np.concatenate([[0], np.cumsum([len(x) for x in texts])])
+    t = Tree(27, order, tree, 1 / 27)
+    want = np.full((order + 1, len(sym)), 1 / 27)
+    for j, alive, n, _, p, *_ in C.levels(sym, bound, t):
+        seen = alive[(n >= 1) | (j == 0)]
+        want[j:, seen] = p[(n >= 1) | (j == 0)]
+    assert (C.level_probabilities(sym, bound, t) == want).all()
+    assert C.level_probabilities(sym[:0], np.array([0]), t).shape == (order + 1, 0)
+
+
+@pytest.mark.parametrize("order", [0, 2, 3])
+def test_static_weights_make_levels_once(spark, sf, order):
+    """The weights, and the code length, are those of rounds over all symbols; only a few jobs read the texts."""
+    docs = spark.read.parquet(f"{sf}/documents.parquet").selectExpr("doc_id AS seq_id", "lower(substr(text, 1, 300)) AS t").where("t <> ''").limit(60).cache()
+    texts, t = [r.t for r in docs.collect()], Tree(300, order, beta=1 / 300, rule="blend")
+    p = np.concatenate([C.level_probabilities(np.array([ord(c) for c in x], np.int64), np.array([0, len(x)]), t) for x in texts], axis=1)
+    want = np.full(order + 1, 1 / (order + 1))
+    for _ in range(20):
+        part = want[:, None] * p
+        new = (part / part.sum(0)).mean(1)
+        if np.abs(new - want).max() < 1e-5:
+            break
+        want = new
+    sc = spark.sparkContext
+    sc.setJobGroup(f"static {order}", "")
+    got = P.static_weights(docs, t)
+    jobs = len(sc.statusTracker().getJobIdsForGroup(f"static {order}"))
+    sc.setJobGroup("other", "")
+    assert np.allclose(got, want, rtol=0, atol=1e-7) and jobs <= 4
+    for fit in (P.static_fit, P._static_fit_by_rounds):
+        c, n, nats = fit(docs, t, 20)
+        assert np.allclose(c, want, rtol=0, atol=1e-7) and n == p.shape[1] and abs(nats + np.log(want @ p).sum()) < 1e-7 * n
+    assert P.static_fit(docs.where("false"), t) == ([1 / (order + 1)] * (order + 1), 0, 0.0)
