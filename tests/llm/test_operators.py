@@ -362,6 +362,20 @@ def test_ids_equal_the_tokenizer():
     assert [x.tolist() for x in got] == [whole.encode(t or "", add_special_tokens=False).ids for t in texts]
 
 
+@pytest.mark.parametrize("kept", [0, 4, 1 << 17])
+def test_pre_tokens_are_merged_in_one_call(monkeypatch, kept):
+    """One call for a piece, of those that aren't kept from pieces before; zero bytes are no separators of a text's own."""
+    monkeypatch.setattr(tokens, "_KEPT", kept)
+    own, calls = tokens.Encoder(), []
+    monkeypatch.setattr(own, "merge", lambda text, merge=own.merge: calls.append(text) or merge(text))
+    texts = ["the cat sat on the mat", "", None, "a\x00b the\x00\x00 cat", "\x00", " " * 9, "mat 12 on cats, the antidisestablishmentarian", "y\n\nz  é ü!!"]
+    for k in range(3):
+        now = texts[k:] + texts[:k] + [f"new{k} words{k}"]
+        (piece,) = kernels.pieces(pa.array(now))
+        assert [x.tolist() for x in own.encode(piece)] == [own.whole.encode(t or "", add_special_tokens=False).ids for t in now]
+    assert len(calls) == 3 and ("\x00 cat\x00" in calls[2]) == (not kept)
+
+
 def test_packing(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").unionByName(spark.createDataFrame([(-1, None), (-2, ""), (-3, "a b " * 3000)], "doc_id long, text string"))
     texts = {r.doc_id: r.text for r in docs.collect()}
